@@ -2,7 +2,8 @@
 
 from __future__ import annotations
 
-from . import bpe, packing, sharding, simhash, tokens, urlfilter
+from . import bpe, embeddings, media, packing, sharding, simhash, tokens, toxicity, urlfilter
 
-QUERIES = {**sharding.QUERIES, **tokens.QUERIES, **simhash.QUERIES, **urlfilter.QUERIES, **bpe.QUERIES, **packing.QUERIES}
-ORACLE = {**sharding.ORACLE, **urlfilter.ORACLE}
+MODULES = (sharding, tokens, simhash, urlfilter, bpe, media, embeddings, toxicity, packing)
+QUERIES = {name: fn for m in MODULES for name, fn in m.QUERIES.items()}
+ORACLE = {name: sql for m in MODULES for name, sql in getattr(m, "ORACLE", {}).items()}
