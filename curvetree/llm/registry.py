@@ -2,8 +2,8 @@
 
 from __future__ import annotations
 
-from . import bpe, embeddings, media, packing, sharding, simhash, tokens, toxicity, urlfilter
+from . import bpe, embeddings, media, packing, passages, sharding, simhash, tokens, toxicity, urlfilter
 
-MODULES = (sharding, tokens, simhash, urlfilter, bpe, media, embeddings, toxicity, packing)
+MODULES = (sharding, tokens, simhash, urlfilter, bpe, media, embeddings, passages, toxicity, packing)
 QUERIES = {name: fn for m in MODULES for name, fn in m.QUERIES.items()}
 ORACLE = {name: sql for m in MODULES for name, sql in getattr(m, "ORACLE", {}).items()}
