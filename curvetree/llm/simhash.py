@@ -14,7 +14,7 @@ from __future__ import annotations
 
 import numpy as np
 import xxhash
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .common import connected_components, map_columns, materialise, table
@@ -95,6 +95,17 @@ def near_duplicates(docs: DataFrame, shingle: int = 4, max_distance: int = 4, se
     return own.join(named, "fp", "left").select(key, "fp", F.when(F.col(key).isNotNull(), F.col("component_id")).alias("component_id"))
 
 
+def keep_one(docs: DataFrame, key: str = "doc_id", text: str = "text", **options) -> DataFrame:
+    """The rows and columns of ``docs`` less near duplicates: of each group the row of the smallest key stays, one row if
+    that key repeats. Rows with a null key stay."""
+    groups = near_duplicates(docs, key=key, text=text, **options)
+    stay = groups.filter(F.col(key) == F.col("component_id")).select(F.col(key).alias("__stay")).distinct()
+    kept = docs.join(stay, docs[key] == F.col("__stay"), "left_semi")
+    first = Window.partitionBy(key).orderBy(F.col(text).asc_nulls_first())
+    kept = kept.withColumn("__nth", F.row_number().over(first)).filter("__nth = 1").drop("__nth")
+    return kept.union(docs.filter(F.col(key).isNull()))
+
+
 def op3_simhash_groups(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All documents: fingerprints of four-word shingles, linked at 4 or fewer differing bits."""
     out = near_duplicates(table(spark, sf_dir, "documents"), shingle=4, max_distance=4)

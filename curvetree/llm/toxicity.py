@@ -16,9 +16,11 @@ from __future__ import annotations
 import math
 import re
 from collections import Counter
+from collections.abc import Iterator
 from dataclasses import dataclass, field
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -148,6 +150,18 @@ def score_documents(docs: DataFrame, model: Classifier, threshold: float = 0.7,
     return map_columns(docs, run, f"{key} {kind}, score double, predicted int", [key, text])
 
 
+def drop_toxic(docs: DataFrame, model: Classifier, threshold: float = 0.7, text: str = "text") -> DataFrame:
+    """The rows and columns of ``docs`` whose text scores below the threshold; nothing is shuffled."""
+    shared, at = docs.sparkSession.sparkContext.broadcast(model), docs.columns.index(text)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            clean = pa.array([shared.value.score(t) < threshold for t in batch.column(at).to_pylist()], pa.bool_())
+            yield batch.filter(clean)
+
+    return docs.mapInArrow(run, docs.schema)
+
+
 def op9_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     """A score for every document."""
     docs = table(spark, sf_dir, "documents")
