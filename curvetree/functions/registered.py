@@ -3,10 +3,11 @@
 from __future__ import annotations
 
 from collections.abc import Iterator
+from typing import Any
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import SparkSession
+from pyspark.sql import Column, SparkSession
 from pyspark.sql import functions as F
 
 from .curves import np_encode
@@ -46,9 +47,7 @@ def register(spark: SparkSession, grid: GridSpec) -> None:
     spark.udtf.register("octant_cover", F.udtf(OctantCover, returnType="level: int, prefix: long"))
 
 
-@F.pandas_udf("array<struct<lo:bigint,hi:bigint>>")
-def range_union(ranges: pd.Series) -> list:
-    """Aggregate: the union of rows' range lists, sorted, touching ones put together."""
+def _union(ranges: pd.Series) -> Any:
     spans = sorted((s["lo"], s["hi"]) for rs in ranges for s in rs)
     out: list[list[int]] = []
     for lo, hi in spans:
@@ -57,3 +56,8 @@ def range_union(ranges: pd.Series) -> list:
         else:
             out.append([lo, hi])
     return [{"lo": lo, "hi": hi} for lo, hi in out]
+
+
+def range_union(ranges: Column | str) -> Column:
+    """Aggregate: the union of rows' range lists, sorted, touching ones put together. A group's ranges meet in one task."""
+    return F.pandas_udf("array<struct<lo:bigint,hi:bigint>>")(_union)(ranges)

@@ -11,12 +11,19 @@ from ..functions.kernels import Kernel, d2
 from ..session import materialise, small
 from .tiles import top_k
 
-P, Q = tuple(map(F.col, "xyz")), tuple(map(F.col, ("qx", "qy", "qz")))
+
+
+def _point() -> tuple[F.Column, ...]:
+    return tuple(map(F.col, "xyz"))
+
+
+def _centre() -> tuple[F.Column, ...]:
+    return tuple(map(F.col, ("qx", "qy", "qz")))
 
 
 def radius_brute(points: DataFrame, centres: DataFrame, kernel: Kernel, r: float) -> DataFrame:
     """(cid, pid) by testing every pair: for small inputs, as a yardstick."""
-    return points.join(F.broadcast(centres), kernel.hits(P, Q, F.lit(float(r)))).select("cid", "pid")
+    return points.join(F.broadcast(centres), kernel.hits(_point(), _centre(), F.lit(float(r)))).select("cid", "pid")
 
 
 def summarise(pairs: DataFrame, centres: DataFrame) -> DataFrame:
@@ -35,7 +42,7 @@ def frontier_search(tree: DataFrame, centres: DataFrame, kernel: Kernel, r: floa
     frontier = centres.select("cid", "qx", "qy", "qz", F.lit(0).alias("level"), F.lit(0).cast("long").alias("prefix"))
     seen = []
     while True:
-        at = frontier.join(nodes, ["level", "prefix"]).withColumn("place", kernel.classify(lo, hi, Q, F.lit(float(r))))
+        at = frontier.join(nodes, ["level", "prefix"]).withColumn("place", kernel.classify(lo, hi, _centre(), F.lit(float(r))))
         whole = (F.col("place") == "INSIDE") & F.lit(mode != "leafscan") & (F.lit(contain_leaves) | ~F.col("is_leaf"))
         step = F.when(F.col("place") == "OUTSIDE", "drop").when(whole, "take").when(F.col("is_leaf"), "test").otherwise("open")
         round_ = materialise(at.withColumn("step", step).select("cid", "qx", "qy", "qz", "level", "prefix", "cnt", "idx_lo", "idx_hi", "step"), "frontier")
@@ -53,7 +60,7 @@ def frontier_search(tree: DataFrame, centres: DataFrame, kernel: Kernel, r: floa
 def radius_frontier(tree: DataFrame, labelled: DataFrame, centres: DataFrame, kernel: Kernel, r: float, mode: str = "prune", chunk: int = 4096) -> DataFrame:
     """(cid, pid). ``labelled`` points carry idx and the (level, prefix) of their leaf."""
     take, test, _ = frontier_search(tree, centres, kernel, r, mode)
-    tested = test.select("cid", "qx", "qy", "qz", "level", "prefix").join(labelled, ["level", "prefix"]).filter(kernel.hits(P, Q, F.lit(float(r)))).select("cid", "pid")
+    tested = test.select("cid", "qx", "qy", "qz", "level", "prefix").join(labelled, ["level", "prefix"]).filter(kernel.hits(_point(), _centre(), F.lit(float(r)))).select("cid", "pid")
     cut = take.withColumn("c", F.explode(F.sequence(F.expr(f"idx_lo div {chunk}"), F.expr(f"(idx_hi - 1) div {chunk}"))))
     keyed = labelled.select("pid", "idx", F.expr(f"idx div {chunk}").alias("c"))
     bulk = cut.join(keyed, "c").filter((F.col("idx") >= F.col("idx_lo")) & (F.col("idx") < F.col("idx_hi"))).select("cid", "pid")
@@ -95,11 +102,11 @@ def radius_gridjoin(points: DataFrame, centres: DataFrame, kernel: Kernel, r: fl
         else:
             wide = wide.withColumn(f"c{a}", zero.cast("int"))
     cover = wide.select("cid", "qx", "qy", "qz", morton_encode(*(F.col(f"c{a}") for a in "xyz")).alias("cell")).distinct()
-    return keyed.join(cover, "cell").filter(kernel.hits(P, Q, F.lit(float(r)))).select("cid", "pid")
+    return keyed.join(cover, "cell").filter(kernel.hits(_point(), _centre(), F.lit(float(r)))).select("cid", "pid")
 
 
 def knn_brute(points: DataFrame, centres: DataFrame, k: int) -> DataFrame:
-    pairs = points.crossJoin(F.broadcast(centres)).select("cid", "pid", d2(P, Q).alias("d2"))
+    pairs = points.crossJoin(F.broadcast(centres)).select("cid", "pid", d2(_point(), _centre()).alias("d2"))
     return top_k(pairs, k)
 
 
@@ -136,5 +143,5 @@ def knn_relational(points: DataFrame, centres: DataFrame, k: int, grid: GridSpec
             cover = cover.withColumn(f"k{a}", F.lit(0).cast("long"))
     cover = cover.withColumn("cell", morton_encode(*(F.col(f"k{a}") for a in "xyz")))
     near = coded.withColumn("cell", F.shiftright("code", 3 * (grid.levels - level))).join(cover, "cell")
-    pairs = near.select("cid", "pid", d2(P, Q).alias("d2"), "bound").filter("d2 <= bound").select("cid", "pid", "d2")
+    pairs = near.select("cid", "pid", d2(_point(), _centre()).alias("d2"), "bound").filter("d2 <= bound").select("cid", "pid", "d2")
     return top_k(pairs, k)
