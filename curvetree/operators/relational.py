@@ -5,7 +5,6 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.curves import morton_encode
 from ..functions.grid import GridSpec, quantise
 from ..functions.kernels import Kernel, d2
 from ..session import materialise, small
@@ -21,6 +20,11 @@ def _centre() -> tuple[F.Column, ...]:
     return tuple(map(F.col, ("qx", "qy", "qz")))
 
 
+def _packed(cx: F.Column, cy: F.Column, cz: F.Column) -> F.Column:
+    """One join key from three cell numbers of up to 21 bits."""
+    return F.shiftleft(cx.cast("long"), 42).bitwiseOR(F.shiftleft(cy.cast("long"), 21)).bitwiseOR(cz.cast("long"))
+
+
 def radius_brute(points: DataFrame, centres: DataFrame, kernel: Kernel, r: float) -> DataFrame:
     """(cid, pid) by testing every pair: for small inputs, as a yardstick."""
     return points.join(F.broadcast(centres), kernel.hits(_point(), _centre(), F.lit(float(r)))).select("cid", "pid")
@@ -90,7 +94,7 @@ def radius_gridjoin(points: DataFrame, centres: DataFrame, kernel: Kernel, r: fl
         return radius_brute(points, small(centres), kernel, r)
     axes = "xyz"[: kernel.dims]
     zero = F.lit(0)
-    keyed = quantise(points, coarse).withColumn("cell", morton_encode(*(F.col(f"c{a}") if a in axes else zero for a in "xyz")))
+    keyed = quantise(points, coarse).withColumn("cell", _packed(*(F.col(f"c{a}") if a in axes else zero for a in "xyz")))
     moved = centres.withColumns({a: F.col(f"q{a}") for a in "xyz"})
     wide = moved
     for i, a in enumerate("xyz"):
@@ -101,7 +105,7 @@ def radius_gridjoin(points: DataFrame, centres: DataFrame, kernel: Kernel, r: fl
             wide = wide.withColumn(f"c{a}", F.greatest(F.lit(0), F.least(F.lit(n - 1), F.col(f"c{a}"))).cast("int"))
         else:
             wide = wide.withColumn(f"c{a}", zero.cast("int"))
-    cover = wide.select("cid", "qx", "qy", "qz", morton_encode(*(F.col(f"c{a}") for a in "xyz")).alias("cell")).distinct()
+    cover = wide.select("cid", "qx", "qy", "qz", _packed(*(F.col(f"c{a}") for a in "xyz")).alias("cell")).distinct()
     return keyed.join(cover, "cell").filter(kernel.hits(_point(), _centre(), F.lit(float(r)))).select("cid", "pid")
 
 
@@ -141,7 +145,7 @@ def knn_relational(points: DataFrame, centres: DataFrame, k: int, grid: GridSpec
             cover = cover.withColumn(f"k{a}", F.explode(F.sequence(to(F.col(f"q{a}") - reach), to(F.col(f"q{a}") + reach))))
         else:
             cover = cover.withColumn(f"k{a}", F.lit(0).cast("long"))
-    cover = cover.withColumn("cell", morton_encode(*(F.col(f"k{a}") for a in "xyz")))
-    near = coded.withColumn("cell", F.shiftright("code", 3 * (grid.levels - level))).join(cover, "cell")
+    cover = cover.withColumn("cell", _packed(*(F.col(f"k{a}") for a in "xyz")))
+    near = coded.withColumn("cell", _packed(*(F.shiftright(f"c{a}", grid.levels - level) for a in "xyz"))).join(cover, "cell")
     pairs = near.select("cid", "pid", d2(_point(), _centre()).alias("d2"), "bound").filter("d2 <= bound").select("cid", "pid", "d2")
     return top_k(pairs, k)

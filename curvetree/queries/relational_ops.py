@@ -40,7 +40,7 @@ SHARED = {
     "op_axis_projection": "SELECT o_orderkey AS pid, o_totalprice / cast(500 AS double) AS x, o_custkey + 0 AS y FROM {orders}",
     "op_attribute_carry": "SELECT o.o_orderkey AS pid, c.c_name AS owner FROM {orders} o JOIN {customer} c ON o.o_custkey = c.c_custkey WHERE o.o_orderstatus = 'O'",
     "op_in_like_case": "SELECT p_partkey, CASE WHEN p_type LIKE '%BRASS' THEN 'brass' WHEN p_size BETWEEN 1 AND 10 THEN 'small' ELSE 'other' END AS class FROM {part} WHERE p_size IN (1, 2, 3, 5, 8, 13, 21, 34)",
-    "op_null_handling": "SELECT count(*) AS n, count(o_totalprice) AS priced, sum(CASE WHEN o_totalprice IS NULL OR isnan(o_totalprice) THEN 1 ELSE 0 END) AS bad FROM {orders}",
+    "op_null_handling": "SELECT count(*) AS n, count(o_totalprice) AS priced, cast(sum(CASE WHEN o_totalprice IS NULL OR isnan(o_totalprice) THEN 1 ELSE 0 END) AS bigint) AS bad FROM {orders}",
     "op_join_broadcast": "SELECT n.n_name, count(*) AS customers FROM {customer} c JOIN {nation} n ON c.c_nationkey = n.n_nationkey GROUP BY n.n_name",
     "op_join_left_outer": "SELECT c.c_custkey, count(o.o_orderkey) AS orders FROM {customer} c LEFT JOIN {orders} o ON o.o_custkey = c.c_custkey GROUP BY c.c_custkey",
     "op_join_full_outer": "SELECT coalesce(a.k, b.k) AS k, a.n AS orders, b.n AS events FROM (SELECT o_custkey AS k, count(*) AS n FROM {orders} GROUP BY 1) a FULL OUTER JOIN (SELECT user_id AS k, count(*) AS n FROM {events} GROUP BY 1) b ON a.k = b.k",
@@ -57,7 +57,7 @@ SHARED = {
     "op_agg_having": "SELECT user_id, count(*) AS n FROM {events} GROUP BY user_id HAVING count(*) > 5",
     "op_agg_arg_min": "SELECT o_custkey, min_by(o_orderkey, o_totalprice) AS cheapest FROM {orders} GROUP BY o_custkey",
     "op_agg_bool": "SELECT o_custkey, bool_or(o_totalprice > 100000) AS some, bool_and(o_totalprice > 1000) AS every_ FROM {orders} GROUP BY o_custkey",
-    "op_agg_moments": "SELECT sum(cast(l_linenumber AS decimal(18,0)) * l_linenumber) AS s2, sum(l_linenumber) AS s1, count(*) AS n FROM {lineitem}",
+    "op_agg_moments": "SELECT cast(sum(l_linenumber * l_linenumber) AS bigint) AS s2, cast(sum(l_linenumber) AS bigint) AS s1, count(*) AS n FROM {lineitem}",
     "op_window_ranking": "SELECT o_orderkey, row_number() OVER w AS rn, rank() OVER w AS rk, dense_rank() OVER w AS dr, ntile(4) OVER (PARTITION BY o_custkey ORDER BY o_orderkey) AS nt FROM {orders} WINDOW w AS (PARTITION BY o_custkey ORDER BY o_orderpriority, o_orderkey)",
     "op_window_analytic": "SELECT event_id, lag(event_id) OVER w AS before, lead(event_id) OVER w AS after, first_value(event_id) OVER w AS first FROM {events} WINDOW w AS (PARTITION BY user_id ORDER BY event_id)",
     "op_window_rows": "SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY event_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS earlier FROM {events}",
@@ -68,7 +68,7 @@ SHARED = {
     "op_except": "SELECT o_custkey AS k FROM {orders} EXCEPT SELECT user_id FROM {events}",
     "op_except_all": "SELECT c_nationkey AS k FROM {customer} EXCEPT ALL SELECT s_nationkey FROM {supplier}",
     "op_sample_hash": "SELECT o_orderkey FROM {orders} WHERE (o_orderkey * 2654435761) % 4294967296 < 42949673",
-    "op_math_functions": "SELECT p_partkey, floor(p_retailprice / 7) AS f, abs(p_size - 25) AS a, least(p_size, 10) AS lo, greatest(p_size, 40) AS hi FROM {part}",
+    "op_math_functions": "SELECT p_partkey, cast(floor(p_retailprice / 7) AS bigint) AS f, abs(p_size - 25) AS a, least(p_size, 10) AS lo, greatest(p_size, 40) AS hi FROM {part}",
     "op_string_functions": "SELECT p_partkey, length(p_name) AS n, upper(substring(p_name, 1, 5)) AS head, lpad(cast(p_size AS varchar(10)), 4, '0') AS padded, replace(p_type, ' ', '_') AS flat FROM {part}",
     "op_union_merge": "SELECT k, count(*) AS times FROM (SELECT DISTINCT o_custkey AS k FROM {orders} UNION ALL SELECT DISTINCT user_id AS k FROM {events}) x GROUP BY k",
 }
