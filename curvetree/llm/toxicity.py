@@ -15,7 +15,6 @@ from __future__ import annotations
 
 import math
 import re
-from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass, field
 
@@ -27,84 +26,120 @@ from pyspark.sql import functions as F
 from .common import map_columns, table
 
 WORD = re.compile(r"[^\W\d_]+")
-
-
-def word_grams(word: str, low: int, high: int) -> set[str]:
-    marked = f" {word} "
-    return {marked[i : i + n] for n in range(low, high + 1) for i in range(len(marked) - n + 1)}
+# fixed value: an odd multiplier that mixes 64-bit numbers
+ROLL = np.uint64(0x9E3779B97F4A7C15)
+
+
+def gram_slots(words: list[str], low: int, high: int, slots: int) -> tuple[np.ndarray, np.ndarray]:
+    """(slot, word number) of all character n-grams of marked words, by rolling hashes over all words at once."""
+    if not words:
+        return np.zeros(0, np.int64), np.zeros(0, np.int64)
+    points = np.frombuffer((" " + "  ".join(words) + " ").encode("utf-32-le"), "<u4").astype(np.uint64)
+    sizes = np.fromiter(map(len, words), np.int64, len(words)) + 2
+    owner, left = np.repeat(np.arange(len(words)), sizes), np.repeat(np.cumsum(sizes), sizes) - np.arange(len(points))
+    found, whose = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
+    h = np.zeros(len(points), np.uint64)
+    for n in range(1, min(high, len(points)) + 1):
+        h[: len(points) - n + 1] = h[: len(points) - n + 1] * ROLL + points[n - 1 :]
+        if n >= low:
+            ok = left >= n
+            mixed = h[ok] ^ h[ok] >> np.uint64(29)
+            found.append(((mixed * ROLL >> np.uint64(32)) % np.uint64(slots)).astype(np.int64))
+            whose.append(owner[ok])
+    return np.concatenate(found), np.concatenate(whose)
 
 
 def distinct_words(text: str | None) -> set[str]:
-    return set(WORD.findall(text.lower())) if text else set()
+    """The maximal runs of letters, lower-cased. Most parts between white space are one; only the others are searched."""
+    if not text:
+        return set()
+    parts = set(text.lower().split())
+    words = {p for p in parts if p.isalpha()}
+    words.update(WORD.findall(" ".join(parts - words)))
+    return words
 
 
 @dataclass
 class Classifier:
-    """``weights``: the part of each n-gram, ratio and regression weight multiplied."""
+    """``weights``: the part of each hashed n-gram in ``places``, ratio and regression weight multiplied."""
 
-    weights: dict[str, float]
+    places: np.ndarray
+    weights: np.ndarray
     bias: float
     low: int
     high: int
-    room: int = 300_000
+    slots: int
+    room: int = 500_000
     parts: dict[str, float] = field(default_factory=dict)
+    table: np.ndarray | None = None
 
     def __getstate__(self):
-        return self.__dict__ | {"parts": {}}
-
-    def _part(self, word: str) -> float:
-        get = self.weights.get
-        part = math.fsum(w for g in word_grams(word, self.low, self.high) if (w := get(g)) is not None)
-        if len(self.parts) < self.room:
-            self.parts[word] = part
-        return part
+        return self.__dict__ | {"parts": {}, "table": None}
+
+    def scores(self, texts: list[str | None], block_chars: int = 2_000_000) -> list[float]:
+        """Between 0 and 1. Texts are taken in blocks of bounded size."""
+        out: list[float] = []
+        start = size = 0
+        for i, t in enumerate(texts):
+            size += len(t or "")
+            if size >= block_chars or i + 1 == len(texts):
+                out += self._block(texts[start : i + 1])
+                start, size = i + 1, 0
+        return out
+
+    def _block(self, texts: list[str | None]) -> list[float]:
+        """The parts of words not seen before are computed together."""
+        if self.table is None:
+            self.table = np.zeros(self.slots)
+            self.table[self.places] = self.weights
+        own, parts = [distinct_words(t) for t in texts], self.parts
+        fresh = [*(set().union(*own) - parts.keys())]
+        for k in range(0, len(fresh), 50_000):
+            words = fresh[k : k + 50_000]
+            slot, owner = gram_slots(words, self.low, self.high, self.slots)
+            parts.update(zip(words, np.bincount(owner, self.table[slot], len(words)).tolist(), strict=True))
+        out = []
+        for words in own:
+            margin = self.bias + math.fsum(map(parts.__getitem__, words))  # exact, whatever the order of a set
+            out.append(1 / (1 + math.exp(-max(-50.0, min(50.0, margin)))))
+        for w in fresh[: max(0, len(parts) - self.room)]:
+            del parts[w]
+        return out
 
     def score(self, text: str | None) -> float:
-        parts, total = self.parts, []
-        for w in distinct_words(text):
-            p = parts.get(w)
-            total.append(self._part(w) if p is None else p)
-        margin = self.bias + math.fsum(total)  # exact, whatever the order of a set
-        return 1 / (1 + math.exp(-max(-50.0, min(50.0, margin))))
+        return self.scores([text])[0]
 
 
-def train(texts: list[str | None], toxic: list[int], low: int = 3, high: int = 6, least: int = 3, features: int = 20_000, penalty: float = 1e-3, rounds: int = 300) -> Classifier:
-    """Fits on the given texts. ``least``: documents that must hold an n-gram; ``features``: those of the largest evidence stay."""
+def train(texts: list[str | None], toxic: list[int], low: int = 3, high: int = 6, least: int = 3, features: int = 20_000, penalty: float = 1e-3, rounds: int = 300, slots: int = 1 << 21) -> Classifier:
+    """Fits on the given texts, in memory bounded by ``slots`` and the documents' selected n-grams.
+
+    ``least``: documents that must hold an n-gram; ``features``: those of the largest evidence stay.
+    """
     y = np.array(toxic, dtype=np.float64)
     share = float(y.mean()) if len(y) else 0.0
     if not 0 < share < 1:
         odds = math.log(share + 1e-9) - math.log(1 - share + 1e-9)
-        return Classifier({}, odds, low, high)
-    docs = [sorted(distinct_words(t)) for t in texts]
-    gram_of: dict[str, list[str]] = {}
-    pos: Counter[str] = Counter()
-    neg: Counter[str] = Counter()
-    for words, label in zip(docs, toxic, strict=True):
-        held: set[str] = set()
-        for w in words:
-            if w not in gram_of:
-                gram_of[w] = [*word_grams(w, low, high)]
-            held.update(gram_of[w])
-        (pos if label else neg).update(held)
+        return Classifier(np.zeros(0, np.int64), np.zeros(0), odds, low, high, slots)
+    count = np.zeros((2, slots), np.int32)
+    for t, label in zip(texts, toxic, strict=True):
+        count[int(label)][np.unique(gram_slots([*distinct_words(t)], low, high, slots)[0])] += 1
     n_pos, n_neg = y.sum(), (1 - y).sum()
-
-    def ratio(g: str) -> float:
-        return math.log((pos[g] + 1) / (n_pos + 2)) - math.log((neg[g] + 1) / (n_neg + 2))
-
-    strong = [g for g in {*pos, *neg} if pos[g] + neg[g] >= least]
-    strong.sort(key=lambda g: (-abs(ratio(g)) * math.sqrt(pos[g] + neg[g]), g))
-    number = {g: i for i, g in enumerate(strong[:features])}
-    ratios = np.array([ratio(g) for g in number])
-    kept = {w: [number[g] for g in grams if g in number] for w, grams in gram_of.items()}
-    rows, cols = [], []
-    for i, words in enumerate(docs):
-        own = [j for w in words for j in kept[w]]
-        rows += [i] * len(own)
-        cols += own
-    row, col = np.array(rows, np.int64), np.array(cols, np.int64)
-    cell, times = np.unique(row * len(ratios) + col, return_counts=True) if len(row) else (np.zeros(0, np.int64), np.zeros(0))
-    row, col = cell // max(1, len(ratios)), cell % max(1, len(ratios))
-    value = times * ratios[col]
+    both = count.sum(axis=0)
+    strong = np.flatnonzero(both >= least)
+    ratios = np.log((count[1][strong] + 1) / (n_pos + 2)) - np.log((count[0][strong] + 1) / (n_neg + 2))
+    best = np.lexsort((strong, -np.abs(ratios) * np.sqrt(both[strong])))[:features]
+    strong, ratios = strong[best], ratios[best]
+    number = np.full(slots, -1, np.int32)
+    number[strong] = np.arange(len(strong))
+    rows, cols, times = [], [], []
+    for i, t in enumerate(texts):
+        own = number[gram_slots([*distinct_words(t)], low, high, slots)[0]]
+        at, n = np.unique(own[own >= 0], return_counts=True)
+        rows.append(np.full(len(at), i, np.int32))
+        cols.append(at)
+        times.append(n)
+    row, col = np.concatenate(rows), np.concatenate(cols)
+    value = np.concatenate(times) * ratios[col]
     weight = np.where(y > 0, 0.5 / n_pos, 0.5 / n_neg) * 0.5 + 0.5 / len(y)
     w, b = np.zeros(len(ratios)), 0.0
     m, v, mb, vb = np.zeros_like(w), np.zeros_like(w), 0.0, 0.0
@@ -118,7 +153,7 @@ def train(texts: list[str | None], toxic: list[int], low: int = 3, high: int = 6
         rate = 0.03 * (1 - (t - 1) / rounds)
         w -= rate * (m / (1 - 0.9**t)) / (np.sqrt(v / (1 - 0.999**t)) + 1e-8)
         b -= rate * (mb / (1 - 0.9**t)) / (math.sqrt(vb / (1 - 0.999**t)) + 1e-8)
-    return Classifier({g: float(w[i] * ratios[i]) for g, i in number.items()}, float(b), low, high)
+    return Classifier(strong, w * ratios, float(b), low, high, slots)
 
 
 def held_out(key: F.Column) -> F.Column:
@@ -126,7 +161,7 @@ def held_out(key: F.Column) -> F.Column:
     return F.coalesce(F.crc32(key.cast("string").cast("binary")) % 3 == 1, F.lit(False))
 
 
-def fit(docs: DataFrame, labels: DataFrame, sample: int = 3000, key: str = "doc_id", text: str = "text", label: str = "toxic", **options) -> Classifier:
+def fit(docs: DataFrame, labels: DataFrame, sample: int = 2000, key: str = "doc_id", text: str = "text", label: str = "toxic", **options) -> Classifier:
     """A classifier from labelled rows outside the held-out third; at most ``sample`` of each label, so 2 * sample rows are broadcast and collected."""
     own = labels.select(F.col(key).alias("__k"), F.col(label).cast("int").alias("__y")).filter(F.col("__k").isNotNull() & F.col("__y").isin(0, 1) & ~held_out(F.col("__k")))
     own = own.withColumn("__h", F.xxhash64("__k"))
@@ -143,7 +178,7 @@ def score_documents(docs: DataFrame, model: Classifier, threshold: float = 0.7,
     shared = spark.sparkContext.broadcast(model)  # at most ``features`` n-grams, whatever the corpus
 
     def run(ids, texts):
-        scores = [shared.value.score(t) for t in texts.to_pylist()]
+        scores = shared.value.scores(texts.to_pylist())
         return [ids, scores, np.array([s >= threshold for s in scores], np.int32)]
 
     kind = docs.schema[key].dataType.simpleString()
@@ -156,7 +191,7 @@ def drop_toxic(docs: DataFrame, model: Classifier, threshold: float = 0.7, text:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            clean = pa.array([shared.value.score(t) < threshold for t in batch.column(at).to_pylist()], pa.bool_())
+            clean = pa.array([s < threshold for s in shared.value.scores(batch.column(at).to_pylist())], pa.bool_())
             yield batch.filter(clean)
 
     return docs.mapInArrow(run, docs.schema)
