@@ -16,6 +16,7 @@ from __future__ import annotations
 
 import re
 import zlib
+from array import array
 from itertools import islice
 
 import numpy as np
@@ -29,14 +30,14 @@ from .common import single_thread, table, tokenizer_path
 ODD = re.compile("[\x1c-\x1f]")
 #: characters that this module leaves to the library: number signs that aren't digits, İ, and all beyond the Latin blocks
 RARE = re.compile("[\xb2\xb3\xb9\xbc-\xbe\u0130\u0250-\U0010ffff]")
-# fixed value: how the vocabulary splits words, for the characters that are left
-STEMS = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[^\W\d_]+|\d|(?:[^\w\s]|_)+")
+# fixed value: how the vocabulary splits words, for the characters that are left; and line ends
+STEMS = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[^\W\d_]+|\d|(?:[^\w\s]|_)+|\n")
 
 
 class WordEncoder:
     """Ids of whole texts under a vocabulary that never merges across white space; words are remembered, as they repeat."""
 
-    def __init__(self, path: str, room: int = 500_000):
+    def __init__(self, path: str, room: int = 600_000):
         single_thread()
         from tokenizers import Tokenizer
 
@@ -48,26 +49,42 @@ class WordEncoder:
         self.room = room
 
     def _ask(self, texts: list[str]) -> list[bytes]:
-        return [np.array(e.ids, "<u4").tobytes() for e in self.library.encode_batch_fast(texts, add_special_tokens=False)]
+        return [array("I", e.ids).tobytes() for e in self.library.encode_batch_fast(texts, add_special_tokens=False)]
+
+    @staticmethod
+    def _parts(words: list[str]) -> dict[str, list[str]]:
+        """The stems of each word: one pass over all words, a line each."""
+        text, alone = "\n".join(words), []
+        if RARE.search(text) or "<|" in text:
+            alone = [w for w in words if RARE.search(w) or "<|" in w]
+            words = [*({*words} - {*alone})]
+            text = "\n".join(words)
+        out: dict[str, list[str]] = {w: [w] for w in alone}
+        stems, start = STEMS.findall(text.lower()), 0
+        ends = [i for i, x in enumerate(stems) if x == "\n"]
+        if words:
+            for w, end in zip(words, [*ends, len(stems)], strict=True):
+                out[w] = stems[start:end]
+                start = end + 1
+        return out
 
     def encode(self, texts: list[str | None]) -> list[bytes]:
         odd = {i: t for i, t in enumerate(texts) if t and ODD.search(t)}
         split = [[] if not t or i in odd else t.split() for i, t in enumerate(texts)]
-        fresh = {w for words in split for w in words if w not in self.known}
-        parts = {w: [w] if RARE.search(w) or "<|" in w else STEMS.findall(w.lower()) for w in fresh}
-        unseen = [*{x for own in parts.values() for x in own if x not in self.stems}]
-        new: dict[str, bytes] = {}
+        known, stems = self.known, self.stems
+        fresh = set().union(*split) - known.keys()
+        parts = self._parts([*fresh])
+        unseen = [*(set().union(*parts.values()) - stems.keys())]
         for k in range(0, len(unseen), 20_000):
-            new.update(zip(unseen[k : k + 20_000], self._ask(unseen[k : k + 20_000]), strict=True))
-        stems = self.stems
-        made = {w: b"".join([stems[x] if x in stems else new[x] for x in own]) for w, own in parts.items()}
-        known = self.known
-
-        out = [b"".join([known[w] if w in known else made[w] for w in words]) for words in split]
+            stems.update(zip(unseen[k : k + 20_000], self._ask(unseen[k : k + 20_000]), strict=True))
+        stem, whole = stems.__getitem__, known.__getitem__
+        known.update((w, b"".join(map(stem, own))) for w, own in parts.items())
+        out = [b"".join(map(whole, words)) for words in split]
         for i, ids in zip(odd, self._ask([*odd.values()]), strict=True):
             out[i] = ids
-        for memo, found in ((known, made), (stems, new)):
-            memo.update(islice(found.items(), max(0, self.room - len(memo))))
+        for memo, new in ((known, parts), (stems, unseen)):  # what is beyond the room is forgotten after the block
+            for w in islice(new, max(0, min(len(new), len(memo) - self.room))):
+                del memo[w]
         return out
 
 
