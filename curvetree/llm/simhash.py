@@ -6,7 +6,8 @@ way: both sides list radius 1, which takes fewer keys than one side's radius 2.
 inside the join, so only true links leave it.
 
 Fingerprints are made equal first: one representative (the smallest id) stands for all rows of a fingerprint, so a
-group of copies costs one row. Null and empty texts, and those of white space, have the fingerprint zero and link like
+group of copies costs one row. A dense group of near copies is put together next, by links to a few hubs of each table
+entry; the search then lists links between such groups only, so it never lists all pairs within one. Null and empty texts, and those of white space, have the fingerprint zero and link like
 any other. Rows with a null id get a fingerprint and a null component. Texts are read whole.
 """
 
@@ -67,8 +68,21 @@ def radii(max_distance: int, count: int) -> list[int]:
     return [least if i <= extra else least - 1 for i in range(count)]
 
 
-def links(reps: DataFrame, max_distance: int, segment_count: int, node: str = "node", fp: str = "fp") -> DataFrame:
-    """(src, dst) for all pairs of distinct fingerprints within max_distance. A pair may appear more than once."""
+def hub_links(reps: DataFrame, max_distance: int, segment_count: int, hubs: int = 4, node: str = "node", fp: str = "fp") -> DataFrame:
+    """(src, dst), some of the links: those between a fingerprint and the hubs of each of its segments' values. Hubs are
+    picked by hash, so there are at most ``hubs`` rows for each fingerprint and segment, however many share a value."""
+    keys = [key for i, (shift, width) in enumerate(segments(segment_count)) for key in _ball(F.col(fp), i, shift, width, 0)]
+    own = reps.select(F.col(node).alias("src"), F.col(fp).alias("fa"), F.explode(F.array(*keys)).alias("k"))
+    picked = [F.min(F.struct(F.xxhash64("src", F.lit(i)).alias("by"), F.col("src").alias("dst"), F.col("fa").alias("fb"))) for i in range(hubs)]
+    heads = own.groupBy("k").agg(F.array_distinct(F.array(*(p.dropFields("by") for p in picked))).alias("heads"), F.count("*").alias("n")).filter("n > 1")
+    near = own.join(heads.select("k", F.explode("heads").alias("h")), "k")
+    return near.filter((F.col("src") != F.col("h.dst")) & (F.bit_count(F.col("fa").bitwiseXOR(F.col("h.fb"))) <= max_distance)).select("src", F.col("h.dst").alias("dst"))
+
+
+def links(reps: DataFrame, max_distance: int, segment_count: int, node: str = "node", fp: str = "fp", group: str | None = None) -> DataFrame:
+    """(src, dst) for all pairs of distinct fingerprints within max_distance. A pair may appear more than once.
+
+    With ``group`` src and dst are the groups of all such pairs that lie in two groups."""
     if BITS // segment_count > 57 or segment_count < 2:
         raise ValueError("at least two segments")
     probe, stored = [], []
@@ -76,8 +90,9 @@ def links(reps: DataFrame, max_distance: int, segment_count: int, node: str = "n
         if r >= 0:
             probe += _ball(F.col(fp), i, shift, width, r - r // 2)
             stored += _ball(F.col(fp), i, shift, width, r // 2)
-    a = reps.select(F.col(node).alias("src"), F.col(fp).alias("fa"), F.explode(F.array(*probe)).alias("k"))
-    b = reps.select(F.col(node).alias("dst"), F.col(fp).alias("fb"), F.explode(F.array(*stored)).alias("k"))
+    end = group or node  # each pair meets both ways round, so < leaves it once
+    a = reps.select(F.col(end).alias("src"), F.col(fp).alias("fa"), F.explode(F.array(*probe)).alias("k"))
+    b = reps.select(F.col(end).alias("dst"), F.col(fp).alias("fb"), F.explode(F.array(*stored)).alias("k"))
     near = F.bit_count(F.col("fa").bitwiseXOR(F.col("fb"))) <= max_distance
     return a.join(b, (a.k == b.k) & (F.col("src") < F.col("dst")) & near).select("src", "dst")
 
@@ -90,8 +105,10 @@ def near_duplicates(docs: DataFrame, shingle: int = 4, max_distance: int = 4, se
     repeated = own.filter(F.col(key).isNotNull()).join(reps, "fp").select(F.col(key).alias("src"), F.col("node").alias("dst")).filter("src <> dst")
     several = own.groupBy(key).agg(F.min("fp").alias("lo"), F.max("fp").alias("hi")).filter("lo <> hi").select(F.col(key).alias("src"))
     ties = repeated.join(several, "src", "left_semi")
-    comps = connected_components(links(reps, max_distance, segment_count).union(ties))
-    named = reps.join(comps, reps.node == comps.node, "left").select("fp", F.coalesce("component", reps.node).alias("component_id"))
+    dense = connected_components(hub_links(reps, max_distance, segment_count).union(ties))
+    grouped = materialise(reps.join(dense, "node", "left").select("fp", F.coalesce("component", "node").alias("group")), "groups")
+    comps = connected_components(links(grouped, max_distance, segment_count, group="group"))
+    named = grouped.join(comps, F.col("group") == F.col("node"), "left").select("fp", F.coalesce("component", "group").alias("component_id"))
     return own.join(named, "fp", "left").select(key, "fp", F.when(F.col(key).isNotNull(), F.col("component_id")).alias("component_id"))
 
 
