@@ -92,6 +92,22 @@ def test_links_are_complete(spark, distance, segments):
     assert got == {(a, b) for a in values for b in values if a < b and (values[a] ^ values[b]).bit_count() <= distance}
 
 
+def test_hubs_of_a_dense_group(spark):
+    """Few links inside a dense group, all of them true; with the links between groups the components are those of all links."""
+    rng = random.Random(3)
+    centre = rng.getrandbits(64)
+    fps = {rng.getrandbits(64) for _ in range(20)} | {centre ^ (1 << i) ^ (1 << j) for i in range(0, 64, 2) for j in range(1, 12, 2)}
+    values = dict(enumerate(sorted(fps)))
+    true = {(a, b) for a in values for b in values if a < b and (values[a] ^ values[b]).bit_count() <= 4}
+    reps = spark.createDataFrame([(i, f - 2**64 if f >= 2**63 else f) for i, f in values.items()], "node long, fp long")
+    hubs = [tuple(sorted(r)) for r in simhash.hub_links(reps, 4, 3).collect()]
+    assert {*hubs} <= true and len(hubs) <= 4 * 3 * len(values) < len(true)
+    group = components(values, hubs)
+    grouped = spark.createDataFrame([(group[i], f) for i, f in reps.collect()], "group long, fp long")
+    between = [tuple(r) for r in simhash.links(grouped, 4, 3, group="group").collect()]
+    assert components(values, hubs + between) == components(values, true)
+
+
 def test_simhash_query(spark, sf_dir):
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text").collect()
     fp = {r["doc_id"]: brute_fingerprint(r["text"], 4) for r in docs}
