@@ -24,18 +24,23 @@ LOWER = bytes(range(65)) + bytes(range(97, 123)) + bytes(range(91, 256))
 BITS = 64
 
 
-def fingerprint(text: str | None, shingle: int, seed: int = 42) -> int:
-    """As a signed 64-bit number. A bit is set if it is set in over half the shingles' hashes, repeats included."""
+def shingle_hashes(text: str | None, shingle: int, seed: int = 42) -> np.ndarray:
+    """Of each run of ``shingle`` words, repeats included; of the whole text if it is shorter."""
     words = (text or "").encode().translate(LOWER).split()
     if not words:
-        return 0
+        return np.zeros(0, np.uint64)
     joined = b" ".join(words)
     ends = np.cumsum(np.fromiter(map(len, words), np.int64, len(words)) + 1)
     starts = np.concatenate((np.zeros(1, np.int64), ends[:-1]))
     n, digest = max(1, len(words) - shingle + 1), xxhash.xxh64_intdigest
     last = ends[shingle - 1 :] if len(words) >= shingle else ends[-1:]
-    hashes = np.array([digest(joined[a:b], seed) for a, b in zip(starts[:n].tolist(), (last - 1).tolist(), strict=True)], "<u8")
-    counts = np.zeros(BITS, np.int64)
+    return np.array([digest(joined[a:b], seed) for a, b in zip(starts[:n].tolist(), (last - 1).tolist(), strict=True)], "<u8")
+
+
+def fingerprint(text: str | None, shingle: int, seed: int = 42) -> int:
+    """As a signed 64-bit number. A bit is set if it is set in over half the shingles' hashes, repeats included."""
+    hashes = shingle_hashes(text, shingle, seed)
+    n, counts = len(hashes), np.zeros(BITS, np.int64)
     for k in range(0, n, 8192):
         counts += np.unpackbits(hashes[k : k + 8192].view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
     return int(np.packbits(counts * 2 > n, bitorder="little").view("<i8")[0])
@@ -115,7 +120,11 @@ def near_duplicates(docs: DataFrame, shingle: int = 4, max_distance: int = 4, se
 def keep_one(docs: DataFrame, key: str = "doc_id", text: str = "text", **options) -> DataFrame:
     """The rows and columns of ``docs`` less near duplicates: of each group the row of the smallest key stays, one row if
     that key repeats. Rows with a null key stay."""
-    groups = near_duplicates(docs, key=key, text=text, **options)
+    return stay_one(docs, near_duplicates(docs, key=key, text=text, **options), key, text)
+
+
+def stay_one(docs: DataFrame, groups: DataFrame, key: str, text: str) -> DataFrame:
+    """Of each group (key, component_id) the row whose key names it; rows with a null key too."""
     stay = groups.filter(F.col(key) == F.col("component_id")).select(F.col(key).alias("__stay")).distinct()
     kept = docs.join(stay, docs[key] == F.col("__stay"), "left_semi")
     first = Window.partitionBy(key).orderBy(F.col(text).asc_nulls_first())
