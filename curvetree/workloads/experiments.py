@@ -87,7 +87,7 @@ def w4(b: Bench, n: int = 500) -> list[Row]:
     return [b.radius(c, s, "sphere", r, n) for c, s, r in product(clouds.SPECS, OWN, (25.0, 50.0, 100.0, 200.0))]
 
 
-def w5(b: Bench, n: int | None = 2000) -> list[Row]:
+def w5(b: Bench, n: int | None = None) -> list[Row]:
     return [b.radius(c, s, "sphere", r, n, bucket=size) for c, s, r, size in product(("ship", "order", "event"), OWN, (50.0, 200.0), (128, 16))]
 
 
@@ -146,11 +146,8 @@ def _local_seconds(b: Bench, name: str, structure: str, curve: str, r: float, n:
 def _order_effect(b: Bench, base: str, changed: str, structures: tuple[str, ...], n: int) -> list[Row]:
     out = []
     for name, s, sets in product(("order", "event"), structures, (n, None)):
-        if sets is None and s == "kd_small":
-            continue  # hours in Python
-        size = sets if sets is not None else 2000
-        a, z = (_local_seconds(b, name, s, c, 100.0, size) for c in (base, changed))
-        out.append({"cloud": name, "structure": s, "centres": size, "base": base, "changed": changed, "base_seconds": a, "seconds": z, "relative": costs.relative_runtime(z, a)})
+        a, z = (_local_seconds(b, name, s, c, 100.0, sets) for c in (base, changed))
+        out.append({"cloud": name, "structure": s, "centres": sets or "all", "base": base, "changed": changed, "base_seconds": a, "seconds": z, "relative": costs.relative_runtime(z, a)})
     return out
 
 
@@ -163,7 +160,7 @@ def w10(b: Bench, n: int = 300) -> list[Row]:
 
 
 def w11(b: Bench, n: int = 200) -> list[Row]:
-    return [b.knn(c, s, k, n) for c, s, k in product(("ship", "event"), ("prune", "resolution", "kd_small", "kd_ten", "kd_sliding"), (1, 10, 50, 100, 300, 500))]
+    return [b.knn(c, s, k, sets) for sets, c, s, k in product((n, None), ("ship", "event"), ("prune", "resolution", "kd_small", "kd_ten", "kd_sliding"), (1, 10, 50, 100, 300, 500))]
 
 
 def w12(b: Bench, cores: tuple[int, ...] = (1, 2, 4, 8), radii: tuple[float, ...] = (50.0, 200.0)) -> list[Row]:
