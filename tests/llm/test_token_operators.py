@@ -75,10 +75,11 @@ def test_round_trip_digests(spark, sf_dir):
         assert r["decoded_sha256"] == hashlib.sha256((docs[r["doc_id"]] or "").encode()).hexdigest()
 
 
-@pytest.mark.parametrize("room", [0, 10, 10**6])
-def test_packed_ids_are_the_librarys(room):
-    encoder, lib = packing.WordEncoder(public_tokenizers.path("word_bpe_49k.json"), room), library("word_bpe_49k.json")
-    texts = [*TEXTS, *wild(500)]
+@pytest.mark.parametrize("widths", [(1,), (4, 9), (8, 16, 32)])
+def test_packed_ids_are_the_librarys(widths):
+    encoder, lib = packing.WordEncoder(public_tokenizers.path("word_bpe_49k.json"), widths), library("word_bpe_49k.json")
+    rng, alphabet = random.Random(5), "ab \n\x1c\x1f\t.,'1é日ßÉİĆ²_\xa0\u2003sT"
+    texts = [*TEXTS, *wild(500), *("".join(rng.choice(alphabet) for _ in range(rng.randint(0, 60))) for _ in range(2000)), "<|endoftext|>x y", "", " "]
     for block in (texts, texts[::-1]):
         assert [np.frombuffer(x, "<u4").tolist() for x in encoder.encode(block)] == [e.ids for e in lib.encode_batch([t or "" for t in block], add_special_tokens=False)]
 
@@ -119,6 +120,15 @@ def test_packing(spark, sf_dir, cut, capacity, group_rows):
     assert cut == "overlong" or padding == 0
 
 
+def test_packing_query(spark, sf_dir):
+    """The registered query on all documents against the library."""
+    texts = dict(map(tuple, spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text").collect()))
+    assert check_pieces(packing.op10_harmonic_packing(spark, sf_dir).collect(), texts, 4096, library("word_bpe_49k.json")) == 0
+    by = {r["cut"]: r for r in packing.packing_figures(spark, sf_dir).collect()}
+    assert by["halves"]["padding"] == 0 and by["overlong"]["classes"] > by["halves"]["classes"] and by["overlong"]["pieces"] < by["halves"]["pieces"]
+    assert {r["documents"] for r in by.values()} == {len(texts)} and by["halves"]["tokens"] == by["overlong"]["tokens"]
+
+
 def test_packing_odd_rows(odd_docs, no_docs):
     assert packing.pack(no_docs).count() == 0
     rows = packing.pack(odd_docs, 128).collect()
@@ -126,3 +136,21 @@ def test_packing_odd_rows(odd_docs, no_docs):
     assert len({(r["sequence_id"], r["offset"]) for r in rows}) == len(rows)
     with pytest.raises(ValueError):
         packing.pack(odd_docs, 100)
+
+
+def test_counted_tokens_query(spark, sf_dir):
+    """The registered query's counts on all documents against the library."""
+    sp = sentencepiece.SentencePieceProcessor(model_file=public_tokenizers.path("piece_bpe_32k.model"))
+    texts = dict(map(tuple, spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text").collect()))
+    got = {r["doc_id"]: (r["n_bytes"], r["n_tokens"], r["over_limit"]) for r in tokens.op2_token_counts(spark, sf_dir).collect()}
+    want = {i: (len((t or "").encode()), len(sp.encode(t or ""))) for i, t in texts.items()}
+    assert got == {i: (b, n, n > 4096) for i, (b, n) in want.items()}
+
+
+def test_one_very_long_text(spark):
+    """Megabytes in one row."""
+    rng = random.Random(12)
+    text = " ".join("".join(rng.choice("abcdeé'1.") for _ in range(rng.randint(1, 12))) for _ in range(400_000))
+    docs = spark.createDataFrame([(1, text), (2, "x")], "doc_id long, text string")
+    ids = len(library("word_bpe_49k.json").encode(text, add_special_tokens=False).ids) + 1
+    assert {r["doc_id"]: r["n"] for r in packing.pack(docs).groupBy("doc_id").sum("length").withColumnRenamed("sum(length)", "n").collect()} == {1: ids, 2: 2}
