@@ -10,6 +10,7 @@ import pandas as pd
 from pyspark.sql import Column, SparkSession
 from pyspark.sql import functions as F
 
+from ..session import small_frame
 from .curves import np_encode
 from .grid import GridSpec
 
@@ -27,8 +28,7 @@ def register(spark: SparkSession, grid: GridSpec) -> None:
 
     class RangePoints:
         def eval(self, lo: int, hi: int) -> Iterator[tuple[int]]:
-            for i in range(lo, hi):
-                yield (i,)
+            return zip(range(lo, hi))
 
     class OctantCover:
         def eval(self, x0: float, x1: float, y0: float, y1: float, z0: float, z1: float, level: int) -> Iterator[tuple[int, int]]:
@@ -47,6 +47,29 @@ def register(spark: SparkSession, grid: GridSpec) -> None:
     spark.udtf.register("octant_cover", F.udtf(OctantCover, returnType="level: int, prefix: long"))
 
 
+def register_knn(spark: SparkSession, cloud, grid: GridSpec, bucket: int = 32) -> None:
+    """knn(cid, x, y, z, k) -> (rank, pid, d2) over a cloud of checked size, which goes to every task; for larger clouds
+    there is ``knn_tiles``. Ties: the point of the centre's own id first, then by id."""
+    from ..operators.local import LinearOctree
+
+    rows = small_frame(cloud.select("pid", "x", "y", "z"))
+    xyz = rows[["x", "y", "z"]].to_numpy(np.float64).reshape(-1, 3)
+    codes = np_encode(grid.np_cells(xyz), "hilbert", grid.levels)
+    order = np.lexsort((rows["pid"].to_numpy(), codes))
+    shared = spark.sparkContext.broadcast((rows["pid"].to_numpy()[order], xyz[order], codes[order]))
+
+    class Knn:
+        def __init__(self):
+            pid, points, own = shared.value
+            self.pid, self.tree = pid, LinearOctree(points, own, grid, "hilbert", bucket)
+
+        def eval(self, cid: int, x: float, y: float, z: float, k: int) -> Iterator[tuple[int, int, float]]:
+            for i, (d2, _, pid) in enumerate(self.tree.knn(np.array([x, y, z]), k, self.pid, cid)):
+                yield i + 1, pid, d2
+
+    spark.udtf.register("knn", F.udtf(Knn, returnType="rank: int, pid: long, d2: double"))
+
+
 def _union(ranges: pd.Series) -> Any:
     spans = sorted((s["lo"], s["hi"]) for rs in ranges for s in rs)
     out: list[list[int]] = []

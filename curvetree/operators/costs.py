@@ -13,6 +13,9 @@ POINT_BYTES = 32
 #: bytes for each node and each point: (T_o, T_p)
 STRUCTURE_BYTES = {"pointer octree": (120, 8), "linear octree": (52, 0), "linear octree without centres": (28, 0), "non-complete octree": (128, 4)}
 
+#: the same for the arrays of this library: boxes 48; codes, ranges and first children 33; eight children of 8; rows' numbers 8 or 4
+LAYOUT_BYTES = {"linear octree": (82, 0), "pointer octree": (129, 8), "non-complete octree": (82, 4)}
+
 
 def mean_neighbours(summary: DataFrame) -> DataFrame:
     """Centres without neighbours count."""
@@ -46,7 +49,7 @@ def memory_table(tree: DataFrame) -> DataFrame:
 
 
 def output_ratio(found: DataFrame) -> DataFrame:
-    """Bytes of ranges against bytes of coordinates."""
+    """Bytes of a result of ranges against bytes of the same neighbours' coordinates."""
     return found.agg((F.sum(F.lit(16.0) * F.col("n_ranges")) / F.sum(F.lit(24.0) * F.col("n"))).alias("ratio"))
 
 

@@ -1,28 +1,45 @@
 """Search structures inside one tile, in NumPy: linear octree, pointer octrees, kd-trees.
 
-All answer the same queries exactly; they differ in layout and work. ``radius`` takes many centres and returns
-(centre, first, end) ranges or (centre, position) hits over the tile's rows, with counters; ``knn`` one centre.
+All answer the same queries exactly; they differ in layout and work. Their nodes are arrays, and a search moves a frontier
+of (centre, node) pairs down the tree, so no centre and no node is handled one by one. ``radius`` gives (centre, first,
+end) ranges over the tile's rows, ``hits`` gives (centre, row), both with counters; ``knn_batch`` gives the nearest of
+many centres, ``knn`` those of one by best first.
 """
 
 from __future__ import annotations
 
 import heapq
-from collections import Counter
 
 import numpy as np
 
 from ..functions.curves import np_decode
 from ..functions.grid import GridSpec
-from ..functions.kernels import Kernel, np_box_d2, np_d2
+from ..functions.kernels import EPS8, Kernel, np_box_d2, np_d2
 
 COUNTERS = ("nodes", "contained", "leaves", "tested", "bulk", "n_ranges")
+CENTRES_AT_ONCE, TESTS_AT_ONCE = 2048, 1 << 20
+NONE = np.zeros(0, np.int64)
+
+
+def spread(first: np.ndarray, n: np.ndarray) -> np.ndarray:
+    """Positions of many ranges end to end."""
+    ends = np.cumsum(n)
+    return np.arange(ends[-1] if len(ends) else 0) + np.repeat(first - ends + n, n)
 
 
 def _expand(lo: np.ndarray, hi: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Positions of many ranges end to end, and which range each comes from."""
     n = np.maximum(hi - lo, 0)
-    which = np.repeat(np.arange(len(lo)), n)
-    return np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n) + np.repeat(lo, n), which
+    return spread(lo, n), np.repeat(np.arange(len(lo)), n)
+
+
+def _portions(sizes: np.ndarray) -> list[slice]:
+    """Successive entries whose sizes add up to about TESTS_AT_ONCE at most."""
+    if not len(sizes):
+        return []
+    share = (np.cumsum(sizes) - sizes) // TESTS_AT_ONCE
+    cuts = np.concatenate(([0], np.flatnonzero(np.diff(share)) + 1, [len(sizes)])).tolist()
+    return [slice(a, b) for a, b in zip(cuts, cuts[1:], strict=False)]
 
 
 def coalesce(who: np.ndarray, lo: np.ndarray, hi: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -37,13 +54,203 @@ def coalesce(who: np.ndarray, lo: np.ndarray, hi: np.ndarray) -> tuple[np.ndarra
     return who[at], lo[at], hi[np.concatenate((at[1:], [len(who)])) - 1]
 
 
-class LinearOctree:
-    """Arrays of nodes over sorted codes: counts by binary search, index ranges for every node, children found by arithmetic."""
+def _far_d2(lo: np.ndarray, hi: np.ndarray, q: np.ndarray) -> np.ndarray:
+    """Squared distance to the farthest corner."""
+    gap = np.maximum(np.abs(q - lo), np.abs(hi - q))
+    return (gap * gap).sum(axis=1)
+
+
+def _per_centre(centres: np.ndarray, sizes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The first entry of each run of equal centres, and how many entries it has."""
+    first = np.flatnonzero(np.concatenate(([True], centres[1:] != centres[:-1]))) if len(centres) else NONE
+    return first, np.diff(np.append(first, len(centres)))
+
+
+class Walk:
+    """What all structures share. Node 0 is the root; a node holds the rows ``members[lo:hi]`` (``members`` None: the rows
+    lo to hi themselves). ``children`` gives the number of children of each internal node and their numbers end to end."""
+
+    xyz: np.ndarray
+    box_lo: np.ndarray
+    box_hi: np.ndarray
+    lo: np.ndarray
+    hi: np.ndarray
+    leaf: np.ndarray
+    members: np.ndarray | None = None
+    shortcut = False
+
+    def children(self, node: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        raise NotImplementedError
+
+    def rows_of(self, node: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """All rows below each node, and which node each comes from."""
+        at, which = _expand(self.lo[node], self.hi[node])
+        return at if self.members is None else self.members[at], which
+
+    # -- fixed radius -------------------------------------------------------------------------------------------------
+    def _search(self, kernel: Kernel, q: np.ndarray, r: np.ndarray, shortcut: bool, contain_leaves: bool) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        """(centre, node) taken whole, (centre, row) that passed the test, and counters."""
+        work = np.zeros((len(q), len(COUNTERS)), np.int64)
+        out: list[list[np.ndarray]] = [[NONE], [NONE], [NONE], [NONE]]
+        for start in range(0, len(q) if len(self.lo) else 0, CENTRES_AT_ONCE):
+            who = np.arange(start, min(start + CENTRES_AT_ONCE, len(q)))
+            node = np.zeros(len(who), np.int64)
+            while len(who):
+                live = self.hi[node] > self.lo[node]
+                who, node = who[live], node[live]
+                np.add.at(work[:, 0], who, 1)
+                place = kernel.np_classify(self.box_lo[node], self.box_hi[node], q[who], r[who])
+                leaf = self.leaf[node]
+                whole = (place == 1) & shortcut & (contain_leaves | ~leaf)
+                np.add.at(work[:, 1], who[whole], 1)
+                np.add.at(work[:, 4], who[whole], self.hi[node[whole]] - self.lo[node[whole]])
+                out[0].append(who[whole])
+                out[1].append(node[whole])
+                test, go = leaf & (place != -1) & ~whole, ~leaf & (place != -1) & ~whole
+                w, n = who[test], node[test]
+                size = self.hi[n] - self.lo[n]
+                np.add.at(work[:, 2], w, 1)
+                np.add.at(work[:, 3], w, size)
+                for part in _portions(size):
+                    row, which = self.rows_of(n[part])
+                    c = w[part][which]
+                    hit = kernel.np_hits(self.xyz[row], q[c], r[c])
+                    out[2].append(c[hit])
+                    out[3].append(row[hit])
+                who = who[go]
+                count, node = self.children(node[go])
+                who = np.repeat(who, count)
+        return (*(np.concatenate(x) for x in out), work)
+
+    def radius(self, kernel: Kernel, q: np.ndarray, r: np.ndarray, mode: str = "ranges", contain_leaves: bool = True) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        """(centre, first, end) ranges of rows, coalesced, and counters (centre x COUNTERS). ``leafscan`` tests every touched
+        leaf's points; other modes of the linear octree take contained octants whole, as ranges."""
+        who, node, c, row, work = self._search(kernel, q, r, self.shortcut and mode != "leafscan", contain_leaves)
+        if self.members is None:
+            lo, hi = self.lo[node], self.hi[node]
+        else:
+            lo, which = self.rows_of(node)
+            who, hi = who[which], lo + 1
+        who, lo, hi = coalesce(np.concatenate((who, c)), np.concatenate((lo, row)), np.concatenate((hi, row + 1)))
+        np.add.at(work[:, 5], who, 1)
+        return who, lo, hi, work
+
+    def hits(self, kernel: Kernel, q: np.ndarray, r: np.ndarray, mode: str = "prune", contain_leaves: bool = True) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(centre, row) of every neighbour, by centre, and counters: contained octants' rows are listed one by one."""
+        who, node, c, row, work = self._search(kernel, q, r, self.shortcut and mode != "leafscan", contain_leaves)
+        rows, which = self.rows_of(node)
+        who, rows = np.concatenate((who[which], c)), np.concatenate((rows, row))
+        order = np.argsort(who, kind="stable")
+        np.add.at(work[:, 5], who, 1)
+        return who[order], rows[order], work
+
+    # -- nearest neighbours -------------------------------------------------------------------------------------------
+    def descend(self, q: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
+        """For each centre a small node that holds k rows, and a squared distance within which they surely lie (infinite
+        if there are no k rows): from the counts and boxes alone, no point is read."""
+        node, far = np.zeros(len(q), np.int64), np.full(len(q), np.inf)
+        if not len(self.lo) or self.hi[0] - self.lo[0] < k:
+            return node, far
+        far = _far_d2(self.box_lo[node], self.box_hi[node], q)
+        live = np.arange(len(q))
+        while True:
+            live = live[~self.leaf[node[live]]]
+            count, kid = self.children(node[live])
+            who = np.repeat(live, count)
+            ok = self.hi[kid] - self.lo[kid] >= k
+            who, kid = who[ok], kid[ok]
+            if not len(who):
+                return node, far * (1 + 1e-12)
+            reach = _far_d2(self.box_lo[kid], self.box_hi[kid], q[who])
+            order = np.lexsort((reach, who))
+            live, first = np.unique(who[order], return_index=True)
+            best = order[first]
+            node[live] = kid[best]
+            far[live] = np.minimum(far[live], reach[best])
+
+    def within(self, q: np.ndarray, bound: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(centre, leaf) of all leaves whose boxes come within the centre's squared distance."""
+        out: list[list[np.ndarray]] = [[NONE], [NONE]]
+        who = np.arange(len(q) if len(self.lo) else 0)
+        node = np.zeros(len(who), np.int64)
+        while len(who):
+            near = (self.hi[node] > self.lo[node]) & (np_box_d2(self.box_lo[node], self.box_hi[node], q[who]) <= bound[who])
+            who, node = who[near], node[near]
+            leaf = self.leaf[node]
+            out[0].append(who[leaf])
+            out[1].append(node[leaf])
+            count, node = self.children(node[~leaf])
+            who = np.repeat(who[~leaf], count)
+        return np.concatenate(out[0]), np.concatenate(out[1])
+
+    def knn_batch(self, q: np.ndarray, k: int, key: np.ndarray, own: np.ndarray, bound: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(centre, d2, key) of the k nearest of each centre within its bound, in two phases: a small node with k rows gives
+        the distance of its k-th nearest; then all leaves within that distance are read."""
+        found: list[list[np.ndarray]] = [[NONE], [np.zeros(0)], [NONE]]
+        node, far = self.descend(q, k)
+        bound = np.minimum(bound, far)
+        sure = np.flatnonzero(np.isfinite(far))
+        for part in _portions(self.hi[node[sure]] - self.lo[node[sure]]):
+            some = sure[part]
+            row, which = self.rows_of(node[some])
+            d = np_d2(self.xyz[row], q[some[which]])
+            first, _ = _per_centre(which, d)
+            bound[some] = np.minimum(bound[some], d[np.lexsort((d, which))[first + k - 1]])
+        for start in range(0, len(q), CENTRES_AT_ONCE):
+            some = slice(start, start + CENTRES_AT_ONCE)
+            who, leaf = self.within(q[some], bound[some])
+            order = np.argsort(who, kind="stable")
+            who, leaf = who[order] + start, leaf[order]
+            first, _ = _per_centre(who, leaf)
+            size = np.add.reduceat(self.hi[leaf] - self.lo[leaf], first) if len(first) else NONE
+            stops = np.append(first, len(who))
+            for part in _portions(size):  # whole centres at a time
+                at = slice(stops[part.start], stops[part.stop])
+                row, which = self.rows_of(leaf[at])
+                c = who[at][which]
+                d = np_d2(self.xyz[row], q[c])
+                ok = d <= bound[c]
+                c, d, item = c[ok], d[ok], key[row[ok]]
+                order = np.lexsort((item, item != own[c], d, c))
+                c, d, item = c[order], d[order], item[order]
+                begin, n = _per_centre(c, d)
+                top = np.arange(len(c)) - np.repeat(begin, n) < k
+                for x, y in zip(found, (c, d, item), strict=True):
+                    x.append(y[top])
+        return tuple(np.concatenate(x) for x in found)
+
+    def knn(self, q: np.ndarray, k: int, key: np.ndarray, own: int | None, bound: float = np.inf) -> list[tuple[float, int, int]]:
+        """(d2, not own, key) of the k nearest of one centre by best first: one queue of octants and points keyed by squared distance."""
+        queue: list[tuple] = [(0.0, 0, 0, 0)]
+        out: list[tuple[float, int, int]] = []
+        while queue and len(out) < k and len(self.lo):
+            dist, kind, other, item = heapq.heappop(queue)
+            if kind:
+                out.append((dist, other, item))
+            elif self.leaf[item]:
+                rows, _ = self.rows_of(np.array([item]))
+                for d, i in zip(np_d2(self.xyz[rows], q[None, :]).tolist(), key[rows].tolist(), strict=True):
+                    if d <= bound:
+                        heapq.heappush(queue, (d, 1, int(i != own), i))
+            else:
+                _, kids = self.children(np.array([item]))
+                kids = kids[self.hi[kids] > self.lo[kids]]
+                for d, i in zip(np_box_d2(self.box_lo[kids], self.box_hi[kids], q[None, :]).tolist(), kids.tolist(), strict=True):
+                    if d <= bound:
+                        heapq.heappush(queue, (d, 0, 0, i))
+        return out
+
+
+class LinearOctree(Walk):
+    """Arrays of nodes over sorted codes: counts by binary search, index ranges for every node, children found by
+    arithmetic. ``boxes`` False keeps no boxes: they are decoded from the prefixes whenever a node is met."""
+
+    shortcut = True
 
     def __init__(self, xyz: np.ndarray, codes: np.ndarray, grid: GridSpec, curve: str, bucket: int, root: tuple[int, int] = (0, 0), tight: bool = False):
-        self.xyz, self.kind = xyz, "linear"
-        level, prefix = [np.array([root[0]])], [np.array([root[1]], np.int64)]
-        lo, hi, child = [np.array([0])], [np.array([len(codes)])], []
+        self.xyz = xyz
+        level, prefix = [np.array([root[0]], np.int8)], [np.array([root[1]], np.int64)]
+        lo, hi = [np.array([0])], [np.array([len(codes)])]
         at, depth = 0, root[0]
         first_child = []
         while True:
@@ -58,207 +265,143 @@ class LinearOctree:
                 break
             kids = (prefix[-1][split][:, None] * 8 + np.arange(8)).ravel()
             depth += 1
-            bounds = kids << 3 * (grid.levels - depth)
-            start = np.searchsorted(codes, bounds)
+            start = np.searchsorted(codes, kids << 3 * (grid.levels - depth))
             end = np.concatenate((start[1:], [0]))
-            last = np.arange(7, 8 * n, 8)
-            end[last] = hi[-1][split]
-            level.append(np.full(8 * n, depth))
+            end[np.arange(7, 8 * n, 8)] = hi[-1][split]
+            level.append(np.full(8 * n, depth, np.int8))
             prefix.append(kids)
             lo.append(start)
             hi.append(end)
             at = base
-        del child
         self.level, self.prefix = np.concatenate(level), np.concatenate(prefix)
         self.lo, self.hi, self.first = np.concatenate(lo), np.concatenate(hi), np.concatenate(first_child)
+        self.leaf = self.first < 0
         cells = np.zeros((len(self.level), 3), np.int64)
         for d in np.unique(self.level):
             m = self.level == d
             cells[m] = np_decode(self.prefix[m], curve, int(d)) if d else 0
         self.box_lo, self.box_hi = grid.np_boxes(self.level, cells)
-        if tight and len(xyz):
-            full = self.hi > self.lo
-            for i in np.flatnonzero(full):
-                part = xyz[self.lo[i] : self.hi[i]]
-                self.box_lo[i], self.box_hi[i] = part.min(axis=0), part.max(axis=0)
+        full = np.flatnonzero(self.hi > self.lo)
+        if tight and len(full):
+            # the last row of a node may be the first of the next: reduceat takes every other result
+            edges = np.stack((self.lo[full], self.hi[full]), axis=1).ravel()
+            padded = np.concatenate((xyz, xyz[-1:]))
+            self.box_lo[full] = np.minimum.reduceat(padded, edges, axis=0)[::2]
+            self.box_hi[full] = np.maximum.reduceat(padded, edges, axis=0)[::2]
 
-    def node_bytes(self, centres: bool = True) -> int:
-        return len(self.level) * (52 if centres else 28)
+    def children(self, node: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        return np.full(len(node), 8), (self.first[node][:, None] + np.arange(8)).ravel()
 
-    def radius(self, kernel: Kernel, q: np.ndarray, r: np.ndarray, mode: str = "ranges", contain_leaves: bool = True) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-        """(centre, first, end) ranges, coalesced, and counters (centre x COUNTERS). Modes: leafscan tests every touched
-        leaf's points; prune and ranges take contained octants whole. Centres x nodes are a frontier, level by level."""
-        work = np.zeros((len(q), len(COUNTERS)), np.int64)
-        who, node = np.arange(len(q)), np.zeros(len(q), np.int64)
-        out_w, out_lo, out_hi = [], [], []
-        while len(who):
-            live = self.hi[node] > self.lo[node]
-            who, node = who[live], node[live]
-            np.add.at(work[:, 0], who, 1)
-            place = kernel.np_classify(self.box_lo[node], self.box_hi[node], q[who], r[who])
-            leaf = self.first[node] < 0
-            whole = (place == 1) & (mode != "leafscan") & (contain_leaves | ~leaf)
-            np.add.at(work[:, 1], who[whole], 1)
-            np.add.at(work[:, 4], who[whole], self.hi[node[whole]] - self.lo[node[whole]])
-            out_w.append(who[whole])
-            out_lo.append(self.lo[node[whole]])
-            out_hi.append(self.hi[node[whole]])
-            test = leaf & (place != -1) & ~whole
-            w, n = who[test], node[test]
-            at, which = _expand(self.lo[n], self.hi[n])
-            np.add.at(work[:, 2], w, 1)
-            np.add.at(work[:, 3], w, self.hi[n] - self.lo[n])
-            hit = kernel.np_hits(self.xyz[at], q[w[which]], r[w[which]]) if len(at) else np.zeros(0, bool)
-            out_w.append(w[which[hit]])
-            out_lo.append(at[hit])
-            out_hi.append(at[hit] + 1)
-            go = ~leaf & (place != -1) & ~whole
-            who = np.repeat(who[go], 8)
-            node = (self.first[node[go]][:, None] + np.arange(8)).ravel()
-        who, lo, hi = coalesce(np.concatenate(out_w or [np.zeros(0, np.int64)]), np.concatenate(out_lo or [np.zeros(0, np.int64)]), np.concatenate(out_hi or [np.zeros(0, np.int64)]))
-        np.add.at(work[:, 5], who, 1)
-        return who, lo, hi, work
-
-    def knn(self, q: np.ndarray, k: int, key: np.ndarray, own: int | None, bound: float = np.inf) -> list[tuple[float, int, int]]:
-        """(d2, not own, key) of the k nearest by best first: one queue of octants and points keyed by squared distance."""
-        queue: list[tuple] = [(0.0, 0, 0, 0)]
-        out: list[tuple[float, int, int]] = []
-        while queue and len(out) < k:
-            dist, kind, other, item = heapq.heappop(queue)
-            if kind:
-                out.append((dist, other, item))
-            elif self.first[item] < 0:
-                rows = slice(self.lo[item], self.hi[item])
-                for d, i in zip(np_d2(self.xyz[rows], q[None, :]).tolist(), key[rows].tolist(), strict=True):
-                    if d <= bound:
-                        heapq.heappush(queue, (d, 1, int(i != own), i))
-            else:
-                kids = self.first[item] + np.arange(8)
-                kids = kids[self.hi[kids] > self.lo[kids]]
-                for d, i in zip(np_box_d2(self.box_lo[kids], self.box_hi[kids], q[None, :]).tolist(), kids.tolist(), strict=True):
-                    if d <= bound:
-                        heapq.heappush(queue, (d, 0, 0, i))
-        return out
-
-
-class _Node:
-    __slots__ = ("lo", "hi", "kids", "rows")
-
-    def __init__(self, lo, hi, rows):
-        self.lo, self.hi, self.rows, self.kids = lo, hi, rows, None
+    def node_bytes(self, centres: bool = True) -> int:
+        """Bytes of the arrays held; without ``centres`` the boxes, which follow from the prefixes, are left out."""
+        held = [self.level, self.prefix, self.lo, self.hi, self.first, self.leaf]
+        return sum(a.nbytes for a in (held + [self.box_lo, self.box_hi] if centres else held))
 
 
-class PointerTree:
-    """A tree of linked node objects, each leaf with scattered row numbers.
+class PointerTree(Walk):
+    """A tree whose nodes name their children one by one, each with the scattered numbers of its rows.
 
     ``kind``: pointer (complete octree), noncomplete (empty children left out; contained branches taken whole if
-    ``shortcut``), resolution (split down to a cell size, not to a count), kd (binary, by ``split``).
+    ``shortcut``), resolution (split down to a cell size, not to a count), kd (binary, by ``split``). Rows stay in the
+    order given, whatever it is. All nodes of a level are split together.
     """
 
     def __init__(self, xyz: np.ndarray, box: tuple[np.ndarray, np.ndarray], kind: str = "pointer", bucket: int = 128, depth: int = 21, cell: float = 0.0, split: str = "median", shortcut: bool = False):
-        self.xyz, self.kind, self.bucket, self.depth, self.cell, self.split, self.shortcut = xyz, kind, bucket, depth, cell, split, shortcut
-        self.count = Counter()
-        lo, hi = (np.asarray(b, np.float64).copy() for b in box)
-        self.root = self._build(np.arange(len(xyz)), lo, hi, 0)
-
-    def _build(self, rows: np.ndarray, lo: np.ndarray, hi: np.ndarray, level: int) -> _Node:
-        node = _Node(lo, hi, rows)
-        self.count["nodes"] += 1
-        if self.kind == "kd":
-            span = self.xyz[rows].max(axis=0) - self.xyz[rows].min(axis=0) if len(rows) else np.zeros(3)
-            if len(rows) <= self.bucket or not span.any():
-                return node
-            axis = int(span.argmax())
-            v = self.xyz[rows, axis]
-            cut = float(np.median(v)) if self.split == "median" else float((lo[axis] + hi[axis]) / 2)
-            left = v < cut
-            if not left.any() or left.all():  # slide the plane to the points, or halve ties
-                cut = float(v.min()) if not left.any() else float(v.max())
-                left = v <= cut if not left.any() else v < cut
-                if left.all() or not left.any():
-                    left = np.arange(len(v)) < len(v) // 2
-            parts = [rows[left], rows[~left]]
-            node.kids = [self._build(p, *self._bounds(p), level + 1) for p in parts]
-            node.rows = None
-            return node
-        stop = (hi - lo).max() <= self.cell if self.kind == "resolution" else len(rows) <= self.bucket
-        if stop or level >= self.depth or not len(rows):
-            return node
-        mid = (lo + hi) / 2
-        which = (self.xyz[rows] >= mid) @ np.array([4, 2, 1])
-        node.kids = []
-        for o in range(8):
-            part = rows[which == o]
-            if not len(part) and self.kind != "pointer":
-                continue
-            up = np.array([o >> 2 & 1, o >> 1 & 1, o & 1], bool)
-            node.kids.append(self._build(part, np.where(up, mid, lo), np.where(up, hi, mid), level + 1))
-        node.rows = None
-        return node
-
-    def _bounds(self, rows: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        return self.xyz[rows].min(axis=0), self.xyz[rows].max(axis=0)
+        self.xyz, self.kind, self.shortcut = xyz, kind, shortcut
+        self.members = np.arange(len(xyz), dtype=np.int64 if kind == "pointer" else np.int32)
+        los, his = [np.array([0])], [np.array([len(xyz)])]
+        lows, highs = ([np.asarray(b, np.float64)[None, :]] for b in box)
+        counts, level = [], 0
+        while True:
+            lo, hi, low, high = los[-1], his[-1], lows[-1], highs[-1]
+            if kind == "kd":
+                parent, start, end, low, high = self._halve(lo, hi, low, high, bucket, split)
+            else:
+                parent, start, end, low, high = self._octants(lo, hi, low, high, (high - low).max(axis=1) > cell if kind == "resolution" else hi - lo > bucket, level < depth)
+            counts.append(np.bincount(parent, minlength=len(lo)))
+            if not len(parent):
+                break
+            los.append(start)
+            his.append(end)
+            lows.append(low)
+            highs.append(high)
+            level += 1
+        self.lo, self.hi, count = np.concatenate(los), np.concatenate(his), np.concatenate(counts)
+        self.box_lo, self.box_hi = np.concatenate(lows), np.concatenate(highs)
+        if kind != "kd":  # halving in reals may put a point an ulp outside its box
+            wide = EPS8 * np.maximum(np.abs(self.box_lo), np.abs(self.box_hi)).max(axis=1, keepdims=True)
+            self.box_lo, self.box_hi = self.box_lo - wide, self.box_hi + wide
+        self.leaf = count == 0
+        first = 1 + np.cumsum(count) - count
+        if kind == "pointer":
+            self.kid = np.where(self.leaf[:, None], -1, first[:, None] + np.arange(8))
+        else:
+            self.kid, self.kid_at, self.kid_n = np.arange(1, len(count)), (first - 1).astype(np.int64), count.astype(np.int8)
+
+    def _octants(self, lo, hi, low, high, wanted, deeper):
+        s = np.flatnonzero(wanted & (hi > lo)) if deeper else NONE
+        if not len(s):
+            return (s, *[NONE] * 4)
+        mid = (low[s] + high[s]) / 2
+        at, which = _expand(lo[s], hi[s])
+        rows = self.members[at]
+        octant = (self.xyz[rows] >= mid[which]) @ np.array([4, 2, 1])
+        place = which * 8 + octant
+        self.members[at] = rows[np.argsort(place, kind="stable")]
+        size = np.bincount(place, minlength=8 * len(s))
+        end = np.cumsum(size.reshape(-1, 8), axis=1).ravel() + np.repeat(lo[s], 8)
+        up = np.array([[o >> 2 & 1, o >> 1 & 1, o & 1] for o in range(8)], bool)[None]
+        below, above = (np.where(up, mid[:, None], low[s][:, None]).reshape(-1, 3), np.where(up, high[s][:, None], mid[:, None]).reshape(-1, 3))
+        keep = np.ones(len(size), bool) if self.kind == "pointer" else size > 0
+        return np.repeat(s, 8)[keep], (end - size)[keep], end[keep], below[keep], above[keep]
+
+    def _halve(self, lo, hi, low, high, bucket, split):
+        full = np.flatnonzero(hi > lo)
+        if not len(full):
+            return (full, *[NONE] * 4)
+        least, most = self._extremes(lo[full], hi[full])
+        low[full], high[full] = least, most
+        span = most - least
+        wide = (hi[full] - lo[full] > bucket) & span.any(axis=1)
+        s, axis = full[wide], span[wide].argmax(axis=1)
+        if not len(s):
+            return (s, *[NONE] * 4)
+        at, which = _expand(lo[s], hi[s])
+        rows = self.members[at]
+        v = self.xyz[rows, axis[which]]
+        order = np.lexsort((v, which))
+        self.members[at] = rows[order]
+        size = hi[s] - lo[s]
+        if split == "median":
+            left = size // 2
+        else:  # the middle of the box; where it parts nothing off, the plane slides to the nearest point
+            i = np.arange(len(s))
+            bottom, top = low[s][i, axis], high[s][i, axis]
+            count = lambda test: np.bincount(which[test], minlength=len(s))
+            left = count(v < ((bottom + top) / 2)[which])
+            left = np.where(left == 0, count(v <= bottom[which]), left)
+            left = np.where(left == size, count(v < top[which]), left)
+        start = np.stack((lo[s], lo[s] + left), axis=1).ravel()
+        end = np.stack((lo[s] + left, hi[s]), axis=1).ravel()
+        least, most = self._extremes(start, end)
+        return np.repeat(s, 2), start, end, least, most
+
+    def _extremes(self, lo: np.ndarray, hi: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        at, _ = _expand(lo, hi)
+        first = np.cumsum(hi - lo) - (hi - lo)
+        points = self.xyz[self.members[at]]
+        return np.minimum.reduceat(points, first, axis=0), np.maximum.reduceat(points, first, axis=0)
+
+    def children(self, node: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        if self.kind == "pointer":
+            return np.full(len(node), 8), self.kid[node].ravel()
+        n = self.kid_n[node].astype(np.int64)
+        return n, self.kid[spread(self.kid_at[node], n)]
 
     def node_bytes(self) -> int:
-        per_node, per_point = {"pointer": (120, 8), "noncomplete": (128, 4), "resolution": (128, 4), "kd": (64, 4)}[self.kind]
-        return self.count["nodes"] * per_node + len(self.xyz) * per_point
-
-    def _all(self, node: _Node) -> list[np.ndarray]:
-        return [node.rows] if node.kids is None else [r for k in node.kids for r in self._all(k)]
-
-    def radius(self, kernel: Kernel, q: np.ndarray, r: np.ndarray, mode: str = "", contain_leaves: bool = True) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-        work = np.zeros((len(q), len(COUNTERS)), np.int64)
-        who, rows = [], []
-        pad = 8 * 2.0**-52
-        for c in range(len(q)):
-            stack, centre, reach = [self.root], q[c : c + 1], r[c : c + 1]
-            while stack:
-                node = stack.pop()
-                if node.kids is None and not len(node.rows):
-                    continue
-                work[c, 0] += 1
-                wide = pad * np.maximum(np.abs(node.lo), np.abs(node.hi)).max() if self.kind != "kd" else 0.0
-                place = kernel.np_classify(node.lo[None, :] - wide, node.hi[None, :] + wide, centre, reach)[0]
-                if place == -1:
-                    continue
-                if place == 1 and self.shortcut:
-                    got = np.concatenate(self._all(node))
-                    work[c, 1] += 1
-                    work[c, 4] += len(got)
-                elif node.kids is None:
-                    work[c, 2] += 1
-                    work[c, 3] += len(node.rows)
-                    got = node.rows[kernel.np_hits(self.xyz[node.rows], np.repeat(centre, len(node.rows), axis=0), np.repeat(reach, len(node.rows)))]
-                else:
-                    stack.extend(node.kids)
-                    continue
-                who.append(np.full(len(got), c))
-                rows.append(got)
-        who = np.concatenate(who) if who else np.zeros(0, np.int64)
-        rows = np.concatenate(rows) if rows else np.zeros(0, np.int64)
-        who, lo, hi = coalesce(who, rows, rows + 1)
-        np.add.at(work[:, 5], who, 1)
-        return who, lo, hi, work
-
-    def knn(self, q: np.ndarray, k: int, key: np.ndarray, own: int | None, bound: float = np.inf) -> list[tuple[float, int, int]]:
-        queue: list[tuple] = [(0.0, 0, 0, 0, self.root)]
-        out, serial = [], 0
-        while queue and len(out) < k:
-            dist, kind, other, item, node = heapq.heappop(queue)
-            if kind:
-                out.append((dist, other, item))
-            elif node.kids is None:
-                for d, i in zip(np_d2(self.xyz[node.rows], q[None, :]).tolist(), key[node.rows].tolist(), strict=True):
-                    if d <= bound:
-                        heapq.heappush(queue, (d, 1, int(i != own), i, None))
-            else:
-                for child in node.kids:
-                    wide = 8 * 2.0**-52 * max(np.abs(child.lo).max(), np.abs(child.hi).max())
-                    d = float(np_box_d2(child.lo[None, :] - wide, child.hi[None, :] + wide, q[None, :])[0])
-                    serial += 1
-                    if d <= bound and (child.kids is not None or len(child.rows)):
-                        heapq.heappush(queue, (d, 0, 0, serial, child))
-        return out
+        """Bytes of the arrays held, rows' numbers included."""
+        held = [self.lo, self.hi, self.leaf, self.box_lo, self.box_hi, self.members, self.kid]
+        return sum(a.nbytes for a in (held if self.kind == "pointer" else [*held, self.kid_at, self.kid_n]))
 
 
 #: name -> (builder options); split rules and leaf sizes of the kd-trees are this library's choice
@@ -271,10 +414,13 @@ STRUCTURES = {
     "kd_ten": {"kind": "kd", "bucket": 10},
     "kd_sliding": {"kind": "kd", "bucket": 10, "split": "middle"},
 }
+LINEAR = ("ranges", "prune", "leafscan")
+#: the form in which a structure's search gives its result
+OUTPUT = {"ranges": "ranges", "noncomplete": "coords"}
 
 
 def build_local(structure: str, xyz: np.ndarray, codes: np.ndarray, grid: GridSpec, curve: str, bucket: int, root: tuple[int, int], box: tuple[np.ndarray, np.ndarray], cell: float = 0.0, tight: bool = False):
-    if structure in ("ranges", "prune", "leafscan"):
+    if structure in LINEAR:
         return LinearOctree(xyz, codes, grid, curve, bucket, root, tight)
     options = {"bucket": bucket, "depth": grid.levels - root[0], "cell": cell} | STRUCTURES[structure]
     return PointerTree(xyz, box, **options)

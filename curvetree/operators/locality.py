@@ -117,6 +117,11 @@ def lru_misses(gaps: DataFrame, lines: int = 512, line_points: int = 2, chunk: i
     return parts.groupBy("curve").agg((F.sum("misses") / F.sum("centres")).alias("misses_per_centre"))
 
 
+def write_histogram(hist: DataFrame, path: str) -> None:
+    """Delimited text with a header: curve, d, h, by curve and gap. One row for each distinct gap."""
+    hist.select("curve", "d", "h").repartitionByRange("curve", "d").sortWithinPartitions("curve", "d").write.csv(path, header=True)
+
+
 def agreement(full: DataFrame, sampled: DataFrame) -> DataFrame:
     """(curve, g1, g1_sample, error): the sample's skewness against the whole cloud's."""
     return full.select("curve", "g1").join(sampled.select("curve", F.col("g1").alias("g1_sample")), "curve").withColumn("error", F.abs(F.col("g1_sample") - F.col("g1")) / F.abs("g1"))

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -114,13 +116,18 @@ def knn_brute(points: DataFrame, centres: DataFrame, k: int) -> DataFrame:
     return top_k(pairs, k)
 
 
-def knn_relational(points: DataFrame, centres: DataFrame, k: int, grid: GridSpec, level: int = 3) -> DataFrame:
+def knn_relational(points: DataFrame, centres: DataFrame, k: int, grid: GridSpec, level: int | None = None) -> DataFrame:
     """(cid, rank, pid, d2): a radius that surely holds k points, from counts of the cells around each centre; then a cell cover and top-k.
 
     Centres walk up from ``level`` to the first octant around them with k points; its farthest corner bounds the distance.
+    By default the level grows with the cloud, so that a cell holds about 2 k points on average.
     """
     from ..functions.curves import encode
 
+    if level is None:
+        total, axes = points.count(), max(1, sum(e > 0 for e in grid.ext))
+        level = max(0, min(grid.levels, int(math.log2(max(1.0, total / (2.0 * max(1, k)))) / axes)))
+
     coded = encode(points, grid, "morton")
     counts = None
     for lv in range(level, -1, -1):

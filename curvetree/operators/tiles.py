@@ -1,99 +1,86 @@
 """The tile engine: centres are routed to tiles by the top tier, tiles search with a local structure, results are merged.
 
 Only centres move, to tiles they can have neighbours in; tiles wholly inside a kernel answer from the top tier's index
-ranges without any point being read. Centres of one tile go to it in salted groups of bounded work.
+ranges without any point being read. Of the stored points only the folders of routed tiles are read. Centres of one
+tile go to it in salted groups of bounded size, in the order they came; inside a task they follow the curve.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.kernels import Kernel, np_box_d2
-from .local import COUNTERS, build_local
+from ..functions.curves import np_encode
+from ..functions.grid import GridSpec
+from ..functions.kernels import Kernel
+from ..session import materialise
+from .local import COUNTERS, LINEAR, NONE, OUTPUT, Walk, build_local
 from .octree import node_boxes
-from .reorder import Index
+from .reorder import Index, Tiles, part_of
 
 SALT_CENTRES = 20_000
-
-
-class TopTier:
-    """The tiles and the octants above them as arrays, small enough for every task."""
-
-    def __init__(self, index: Index):
-        tiles = index.tiles
-        self.known: dict[tuple[int, int], tuple[int, int, int]] = {}  # (level, prefix) -> (idx_lo, idx_hi, tile or -1)
-        for t in tiles:
-            self.known[t["level"], t["prefix"]] = (t["idx_lo"], t["idx_hi"], t["tile"])
-            level, prefix = t["level"], t["prefix"]
-            while level:
-                level, prefix = level - 1, prefix >> 3
-                lo, hi, _ = self.known.get((level, prefix), (t["idx_lo"], t["idx_hi"], -1))
-                self.known[level, prefix] = (min(lo, t["idx_lo"]), max(hi, t["idx_hi"]), -1)
-        self.keys = [*self.known]
-        number = {k: i for i, k in enumerate(self.keys)}
-        self.kids = [[number[lv + 1, p * 8 + o] for o in range(8) if (lv + 1, p * 8 + o) in number] for lv, p in self.keys]
-        facts = np.array([self.known[k] for k in self.keys], np.int64).reshape(-1, 3)
-        self.idx_lo, self.idx_hi, self.tile = facts[:, 0], facts[:, 1], facts[:, 2]
-        level, prefix = np.array([k[0] for k in self.keys], np.int64), np.array([k[1] for k in self.keys], np.int64)
-        self.box_lo, self.box_hi = node_boxes(level, prefix, index.grid, index.curve)
-        self.root = number.get((0, 0), -1)
-
-    def route(self, kernel: Kernel, q: np.ndarray, r: np.ndarray, bulk: bool) -> tuple[list, list]:
-        """([(centre, tile)] to search, [(centre, lo, hi)] taken whole), root down."""
-        partial, whole = [], []
-        frontier = [(np.arange(len(q)), self.root)] if self.root >= 0 else []
-        while frontier:
-            who, node = frontier.pop()
-            place = kernel.np_classify(np.repeat(self.box_lo[node : node + 1], len(who), 0), np.repeat(self.box_hi[node : node + 1], len(who), 0), q[who], r[who])
-            if bulk:
-                whole += [(int(w), int(self.idx_lo[node]), int(self.idx_hi[node])) for w in who[place == 1]]
-                who = who[place == 0]
-            else:
-                who = who[place != -1]
-            if not len(who):
-                continue
-            if self.tile[node] >= 0:
-                partial += [(int(w), int(self.tile[node])) for w in who]
-            else:
-                frontier += [(who, k) for k in self.kids[node]]
-        return partial, whole
-
-    def nearest_bound(self, q: np.ndarray, k: int) -> np.ndarray:
-        """For each centre a squared distance within which k points surely lie: the farthest corner of the smallest octant around it that holds k."""
-        far = np.full(len(q), np.inf)
-        count = self.idx_hi - self.idx_lo
-        if self.root < 0 or count[self.root] < k:
-            return far
-        for i, c in enumerate(q):
-            node = self.root
-            while True:
-                far[i] = min(far[i], float((np.maximum(np.abs(c - self.box_lo[node]), np.abs(self.box_hi[node] - c)) ** 2).sum()))
-                inner = [n for n in self.kids[node] if count[n] >= k]
-                if not inner:
-                    break
-                node = min(inner, key=lambda n: float((np.maximum(np.abs(c - self.box_lo[n]), np.abs(self.box_hi[n] - c)) ** 2).sum()))
-        return far * (1 + 1e-12)
-
-    def tiles_within(self, c: np.ndarray, bound: float) -> list[int]:
-        out, stack = [], [self.root] if self.root >= 0 else []
-        while stack:
-            node = stack.pop()
-            if np_box_d2(self.box_lo[node : node + 1], self.box_hi[node : node + 1], c[None, :])[0] > bound:
-                continue
-            if self.tile[node] >= 0:
-                out.append(int(self.tile[node]))
-            else:
-                stack += self.kids[node]
-        return out
-
-
-def _tile_table(index: Index) -> dict[int, tuple[tuple[int, int], int]]:
-    return {t["tile"]: ((t["level"], t["prefix"]), t["idx_lo"]) for t in index.tiles}
+#: the forms of a result: index ranges, single indices, coordinates, or numbers only
+FORMS = {"ranges": "array<struct<lo:bigint,hi:bigint>>", "indices": "array<bigint>", "coords": "array<struct<x:double,y:double,z:double>>", "count": None}
+
+
+class TopTier(Walk):
+    """The tiles and the octants above them as arrays, small enough for every task. Its leaves are the tiles."""
+
+    def __init__(self, tiles: Tiles, grid: GridSpec, curve: str):
+        number = np.arange(len(tiles))
+        levels: list[dict[str, np.ndarray]] = []  # from the deepest up; nodes of a level in the order of codes
+        for lv in range(int(tiles.level.max(initial=-1)), -1, -1):
+            own = np.flatnonzero(tiles.level == lv)
+            here = {"prefix": tiles.prefix[own], "tile": number[own], "first": number[own], "last": number[own], "kid": np.zeros(len(own), np.int64), "n": np.zeros(len(own), np.int64)}
+            if levels:
+                below = levels[-1]
+                up, at, n = np.unique(below["prefix"] >> 3, return_index=True, return_counts=True)
+                inner = {"prefix": up, "tile": np.full(len(up), -1), "first": below["first"][at], "last": below["last"][at + n - 1], "kid": at, "n": n}
+                here = {k: np.concatenate((here[k], inner[k])) for k in here}
+                order = np.lexsort((here["first"], here["prefix"]))
+                here = {k: v[order] for k, v in here.items()}
+            levels.append(here)
+        levels.reverse()
+        size = [len(x["prefix"]) for x in levels]
+        join = lambda k: np.concatenate([x[k] for x in levels]) if levels else NONE
+        depth, self.prefix, self.tile = np.repeat(np.arange(len(levels)), size), join("prefix"), join("tile")
+        self.kid, self.kid_n = join("kid") + np.repeat(np.cumsum(size), size).astype(np.int64), join("n")
+        self.leaf, self.first, self.last = self.tile >= 0, join("first"), join("last")
+        self.lo, self.hi = tiles.idx_lo[self.first], tiles.idx_hi[self.last]
+        self.sums = np.concatenate((np.zeros(1, np.int64), np.cumsum(tiles.pid_sum)))
+        self.tile_level, self.tile_prefix, self.tile_lo = tiles.level, tiles.prefix, tiles.idx_lo
+        self.box_lo, self.box_hi = node_boxes(depth, self.prefix, grid, curve) if levels else (np.zeros((0, 3)), np.zeros((0, 3)))
+
+    def children(self, node: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        n = self.kid_n[node]
+        ends = np.cumsum(n)
+        return n, np.arange(ends[-1] if len(ends) else 0) + np.repeat(self.kid[node] - ends + n, n)
+
+    def route(self, kernel: Kernel, q: np.ndarray, r: np.ndarray, bulk: bool) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        """(centre, tile) to search, (centre, node) taken whole."""
+        out: list[list[np.ndarray]] = [[NONE], [NONE], [NONE], [NONE]]
+        who = np.arange(len(q) if len(self.lo) else 0)
+        node = np.zeros(len(who), np.int64)
+        while len(who):
+            place = kernel.np_classify(self.box_lo[node], self.box_hi[node], q[who], r[who])
+            whole = (place == 1) & bulk
+            stop = (place != -1) & ~whole & self.leaf[node]
+            go = (place != -1) & ~whole & ~self.leaf[node]
+            for x, y in zip(out, (who[stop], self.tile[node[stop]], who[whole], node[whole]), strict=True):
+                x.append(y)
+            count, node = self.children(node[go])
+            who = np.repeat(who[go], count)
+        return tuple(np.concatenate(x) for x in out)
+
+
+def _axes(b: pa.RecordBatch | pa.Table, names: tuple[str, str, str]) -> np.ndarray:
+    return np.stack([b.column(c).to_numpy() for c in names], axis=1)
 
 
 def _arrays(group: pa.Table) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
@@ -102,76 +89,120 @@ def _arrays(group: pa.Table) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.nda
     return np.stack([take("x"), take("y"), take("z")], axis=1), take("code"), take("pid"), take("idx")
 
 
-def _salted(points: DataFrame, routed: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """Tiles with many centres are searched by several tasks: centres are split, the tile's points are sent to each."""
-    counts = routed.groupBy("tile").count().withColumn("salts", F.ceil(F.col("count") / SALT_CENTRES).cast("int")).select("tile", "salts")
-    centres = routed.join(counts, "tile").withColumn("salt", F.pmod(F.xxhash64("cid"), F.col("salts")).cast("int")).drop("salts")
-    rows = points.join(counts, "tile").withColumn("salt", F.explode(F.sequence(F.lit(0), F.col("salts") - 1))).drop("salts")
-    return rows, centres
+def _along(index: Index, q: np.ndarray, cid: np.ndarray) -> np.ndarray:
+    """What orders centres: their code, or in a cloud without order their id."""
+    return np_encode(index.grid.np_cells(q), index.curve, index.grid.levels) if index.ordered else cid
+
+
+class _Chunks:
+    """Numbers the rows that a task routes, in chunks of SALT_CENTRES."""
+
+    def __init__(self):
+        context = TaskContext.get()
+        self.base, self.seen = (context.partitionId() if context else 0) << 16, 0
+
+    def next(self, n: int) -> np.ndarray:
+        out = self.base + (self.seen + np.arange(n)) // SALT_CENTRES
+        self.seen += n
+        return out
+
+
+def _dealt(index: Index, routed: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """(points of the routed tiles, centres), both with tile and salt. Tiles with many centres are searched by several
+    tasks. ``routed`` is stored; its counts have one row a tile, and there are no more tiles than the index allows."""
+    counts = materialise(routed.groupBy("tile").agg(F.ceil(F.count("*") / SALT_CENTRES).cast("int").alias("salts")), "routed-tiles")
+    points = index.points
+    if index.parts > 1:
+        wanted = [r[0] for r in counts.select(part_of("tile", len(index.tiles), index.parts).alias("p")).distinct().collect()]  # at most MOST_PARTS
+        points = points.filter(F.col("part").isin(wanted))
+    centres = routed.join(F.broadcast(counts), "tile").withColumn("salt", F.pmod(F.col("chunk"), F.col("salts")).cast("int")).drop("salts", "chunk")
+    rows = points.select("pid", "x", "y", "z", "code", "idx", "tile").join(F.broadcast(counts), "tile")
+    return rows.withColumn("salt", F.explode(F.sequence(F.lit(0), F.col("salts") - 1))).drop("salts"), centres
 
 
-def radius_tiles(index: Index, centres: DataFrame, kernel: Kernel, r: float | None, structure: str = "ranges", cell: float = 0.0, contain_leaves: bool = True, tight: bool = False) -> DataFrame:
-    """(cid, n, pid_sum, ranges, nodes, ..., n_ranges) for each centre and tile with a hit or work; merge with radius_summary or merge_ranges.
+def radius_tiles(index: Index, centres: DataFrame, kernel: Kernel, r: float | None, structure: str = "ranges", cell: float = 0.0, contain_leaves: bool = True, tight: bool = False, output: str | None = None) -> DataFrame:
+    """(cid, n, pid_sum, [ranges | indices | coords,] nodes, ..., n_ranges) for each centre and tile with a hit or work.
 
-    ``r`` None: centres carry their own column r. ``pid_sum`` is null for tiles taken whole.
+    ``output``: by default what the structure gives: ranges its index ranges, the non-complete octree coordinates, all
+    others an index for every neighbour. ``n_ranges`` counts the entries of that list. ``r`` None: centres carry their
+    own column r. Merge with radius_summary, merge_ranges or merge_lists.
     """
-    tier, grid, curve, bucket, known = TopTier(index), index.grid, index.curve, index.bucket, _tile_table(index)
+    output = output or OUTPUT.get(structure, "indices")
+    if not index.ordered and (structure in LINEAR or output == "ranges"):
+        raise ValueError("ranges and linear octrees need an index along a curve")
+    spark, grid, curve, bucket = index.points.sparkSession, index.grid, index.curve if index.ordered else "morton", index.bucket
+    shared = spark.sparkContext.broadcast(TopTier(index.tiles, grid, curve))  # bounded by the number of tiles
     own = centres if r is None else centres.withColumn("r", F.lit(float(r)))
-    bulk = structure in ("ranges", "prune", "noncomplete")
-    lists = "array<struct<lo:bigint,hi:bigint>>"
-    spans = pa.list_(pa.struct([("lo", pa.int64()), ("hi", pa.int64())]))
+    # whole tiles have no coordinates to give, and a cloud without order has no ranges of whole tiles
+    bulk = structure in ("ranges", "prune", "noncomplete") and output != "coords" and index.ordered
+    plain_index = Index(None, None, grid, index.curve, bucket)
+    routing = "cid long, qx double, qy double, qz double, r double, along long, tile int, lo long, hi long, pid_sum long, chunk long"
+    route_names = [c.split()[0] for c in routing.split(", ")]
 
     def route(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        tier, chunks = shared.value, _Chunks()
         for b in batches:
             if not b.num_rows:
                 continue
-            cid = b.column("cid").to_numpy()
-            q = np.stack([b.column(c).to_numpy() for c in ("qx", "qy", "qz")], axis=1)
-            rr = b.column("r").to_numpy()
-            partial, whole = tier.route(kernel, q, rr, bulk)
-            who = np.array([w for w, _ in partial] + [w for w, _, _ in whole], np.int64)
-            tile = pa.array([t for _, t in partial] + [None] * len(whole), pa.int32())
-            lo = pa.array([None] * len(partial) + [a for _, a, _ in whole], pa.int64())
-            hi = pa.array([None] * len(partial) + [z for _, _, z in whole], pa.int64())
-            yield pa.RecordBatch.from_arrays([pa.array(cid[who]), *(pa.array(q[who, i]) for i in range(3)), pa.array(rr[who]), tile, lo, hi], names=["cid", "qx", "qy", "qz", "r", "tile", "lo", "hi"])
-
-    routed = own.select("cid", "qx", "qy", "qz", "r").mapInArrow(route, "cid long, qx double, qy double, qz double, r double, tile int, lo long, hi long")
-    zero = {c: F.lit(0).cast("long") for c in COUNTERS}
-    taken = routed.filter("tile is null").select("cid", (F.col("hi") - F.col("lo")).alias("n"), F.lit(None).cast("long").alias("pid_sum"), F.array(F.struct("lo", "hi")).alias("ranges"), *(v.alias(c) for c, v in (zero | {"contained": F.lit(1).cast("long"), "nodes": F.lit(1).cast("long"), "bulk": F.col("hi") - F.col("lo"), "n_ranges": F.lit(1).cast("long")}).items()))
-    points, asked = _salted(index.points.select("pid", "x", "y", "z", "code", "idx", "tile"), routed.filter("tile is not null").drop("lo", "hi"))
-    names = ["cid", "n", "pid_sum", "ranges", *COUNTERS]
+            cid, q, rr = b.column("cid").to_numpy(), _axes(b, ("qx", "qy", "qz")), b.column("r").to_numpy()
+            who, tile, taken, node = tier.route(kernel, q, rr, bulk)
+            both = np.concatenate((who, taken))
+            gap, known = pa.nulls(len(who), pa.int64()), np.concatenate((tile, np.zeros(len(taken), np.int64)))
+            late = lambda x: pa.concat_arrays([gap, pa.array(x.astype(np.int64))])
+            mask = np.concatenate((np.zeros(len(who), bool), np.ones(len(taken), bool)))
+            sums = tier.sums[tier.last[node] + 1] - tier.sums[tier.first[node]]
+            yield pa.RecordBatch.from_arrays([
+                *(pa.array(x) for x in (cid[both], q[both, 0], q[both, 1], q[both, 2], rr[both], _along(plain_index, q, cid)[both].astype(np.int64))),
+                pa.array(known.astype(np.int32), mask=mask), late(tier.lo[node]), late(tier.hi[node]), late(sums), pa.array(chunks.next(len(both))),
+            ], names=route_names)
+
+    routed = materialise(own.select("cid", "qx", "qy", "qz", "r").mapInArrow(route, routing), "routed")
+    count = F.col("hi") - F.col("lo")
+    list_of = {"ranges": F.array(F.struct("lo", "hi")), "indices": F.sequence("lo", F.col("hi") - 1)}
+    entries = {"ranges": F.lit(1), "indices": count, "count": F.lit(0)}
+    made = {c: F.lit(0) for c in COUNTERS} | {"contained": F.lit(1), "nodes": F.lit(1), "bulk": count, "n_ranges": entries.get(output, F.lit(0))}
+    lists = [] if FORMS[output] is None else [output]
+    taken = routed.filter("tile is null").select("cid", count.alias("n"), "pid_sum", *(list_of[output].alias(output) for _ in lists if output in list_of), *(v.cast("long").alias(c) for c, v in made.items()))
+    points, asked = _dealt(index, routed.filter("tile is not null").drop("lo", "hi", "pid_sum"))
+    names = ["cid", "n", "pid_sum", *lists, *COUNTERS]
 
     def search(key: tuple, left: pa.Table, right: pa.Table) -> pa.Table:
+        tier, tile = shared.value, key[0].as_py()
         xyz, codes, pid, idx = _arrays(left)
-        root, _ = known[key[0].as_py()]
-        lo_box, hi_box = node_boxes(np.array([root[0]]), np.array([root[1]]), grid, curve)
-        tree = build_local(structure, xyz, codes, grid, curve, bucket, root, (lo_box[0], hi_box[0]), cell, tight)
-        q = np.stack([right.column(c).to_numpy() for c in ("qx", "qy", "qz")], axis=1)
-        who, lo, hi, work = tree.radius(kernel, q, right.column("r").to_numpy(), structure, contain_leaves)
-        n = np.bincount(who, hi - lo, len(q)).astype(np.int64)
-        total = np.concatenate(([0], np.cumsum(pid)))
-        sums = np.zeros(len(q), np.int64)
-        np.add.at(sums, who, total[hi] - total[lo])
-        base = int(idx[0]) if len(idx) else 0
+        root = int(tier.tile_level[tile]), int(tier.tile_prefix[tile])
+        box = node_boxes(np.array([root[0]]), np.array([root[1]]), grid, curve)
+        tree = build_local(structure, xyz, codes, grid, curve, bucket, root, (box[0][0], box[1][0]), cell, tight)
+        right = right.take(pa.array(np.argsort(right.column("along").to_numpy(), kind="stable")))
+        q, rr = _axes(right, ("qx", "qy", "qz")), right.column("r").to_numpy()
+        sums, n = np.zeros(len(q), np.int64), np.zeros(len(q), np.int64)
+        if output == "ranges":
+            who, lo, hi, work = tree.radius(kernel, q, rr, structure, contain_leaves)
+            total = np.concatenate(([0], np.cumsum(pid)))
+            np.add.at(sums, who, total[hi] - total[lo])
+            np.add.at(n, who, hi - lo)
+            base = int(idx[0]) if len(idx) else 0
+            values = pa.StructArray.from_arrays([pa.array(lo + base), pa.array(hi + base)], names=["lo", "hi"])
+        else:
+            who, rows, work = tree.hits(kernel, q, rr, structure, contain_leaves)
+            total = np.concatenate(([0], np.cumsum(pid[rows])))
+            edges = np.searchsorted(who, np.arange(len(q) + 1))
+            sums, n = total[edges[1:]] - total[edges[:-1]], np.diff(edges)
+            values = pa.array(idx[rows]) if output == "indices" else pa.StructArray.from_arrays([pa.array(xyz[rows, i]) for i in range(3)], names=["x", "y", "z"])
+            work[:, 5] *= output != "count"
         cuts = np.searchsorted(who, np.arange(len(q) + 1)).astype(np.int32)
-        ranges = pa.ListArray.from_arrays(pa.array(cuts), pa.StructArray.from_arrays([pa.array(lo + base), pa.array(hi + base)], names=["lo", "hi"]))
-        return pa.table([right.column("cid"), pa.array(n), pa.array(sums), ranges.cast(spans), *(pa.array(work[:, i]) for i in range(len(COUNTERS)))], names=names)
+        found = [pa.ListArray.from_arrays(pa.array(cuts), values)] if lists else []
+        return pa.table([right.column("cid"), pa.array(n), pa.array(sums), *found, *(pa.array(work[:, i]) for i in range(len(COUNTERS)))], names=names)
 
-    schema = f"cid long, n long, pid_sum long, ranges {lists}, " + ", ".join(f"{c} long" for c in COUNTERS)
+    schema = "cid long, n long, pid_sum long, " + "".join(f"{c} {FORMS[c]}, " for c in lists) + ", ".join(f"{c} long" for c in COUNTERS)
     tested = points.groupBy("tile", "salt").cogroup(asked.groupBy("tile", "salt")).applyInArrow(search, schema)
-    return tested.unionByName(taken)
+    return tested.unionByName(taken) if bulk else tested
 
 
 def radius_summary(index: Index, centres: DataFrame, found: DataFrame) -> DataFrame:
-    """(cid, n, pid_sum) with a row for every centre, hits or none. Ids of whole tiles come from the tiles' own sums."""
-    whole = found.filter("pid_sum is null").select("cid", F.explode("ranges").alias("s")).select("cid", "s.lo", "s.hi")
-    sums = index.points.groupBy("tile").agg(F.sum("pid").alias("tile_sum"))
-    tiles = index.points.sparkSession.createDataFrame([(t["tile"], t["idx_lo"], t["idx_hi"]) for t in index.tiles] or [(0, 0, 0)], "tile int, tlo long, thi long").join(sums, "tile")
-    by_range = whole.select("lo", "hi").distinct().join(F.broadcast(tiles), (F.col("tlo") >= F.col("lo")) & (F.col("thi") <= F.col("hi"))).groupBy("lo", "hi").agg(F.sum("tile_sum").alias("s"))
-    bulk = whole.join(by_range, ["lo", "hi"]).groupBy("cid").agg(F.sum("s").alias("extra"))
+    """(cid, n, pid_sum) with a row for every centre, hits or none."""
     per = found.groupBy("cid").agg(F.sum("n").alias("n"), F.sum("pid_sum").alias("pid_sum"))
-    out = centres.select("cid").join(per, "cid", "left").join(bulk, "cid", "left")
-    return out.select("cid", F.coalesce("n", F.lit(0)).alias("n"), (F.coalesce("pid_sum", F.lit(0)) + F.coalesce("extra", F.lit(0))).alias("pid_sum"))
+    out = centres.select("cid").join(per, "cid", "left")
+    return out.select("cid", *(F.coalesce(c, F.lit(0)).cast("long").alias(c) for c in ("n", "pid_sum")))
 
 
 def work_counters(found: DataFrame) -> DataFrame:
@@ -182,13 +213,54 @@ def merge_ranges(found: DataFrame, centres: DataFrame | None = None) -> DataFram
     """(cid, n, ranges): each centre's ranges sorted, touching ones put together, empty for centres without hits."""
     flat = found.groupBy("cid").agg(F.sum("n").alias("n"), F.array_sort(F.flatten(F.collect_list("ranges"))).alias("rs"))
     step = lambda acc, s: F.when((F.size(acc) > 0) & (F.element_at(acc, -1)["hi"] == s["lo"]), F.concat(F.slice(acc, 1, F.greatest(F.size(acc) - 1, F.lit(0))), F.array(F.struct(F.element_at(acc, -1)["lo"].alias("lo"), s["hi"].alias("hi"))))).otherwise(F.concat(acc, F.array(s)))
-    empty = F.expr("cast(array() as array<struct<lo:bigint,hi:bigint>>)")
+    empty = F.expr(f"cast(array() as {FORMS['ranges']})")
     out = flat.select("cid", "n", F.aggregate("rs", empty, step).alias("ranges"))
     if centres is None:
         return out
     return centres.select("cid").join(out, "cid", "left").select("cid", F.coalesce("n", F.lit(0)).alias("n"), F.coalesce("ranges", empty).alias("ranges"))
 
 
+def merge_lists(found: DataFrame, centres: DataFrame | None = None) -> DataFrame:
+    """(cid, n, indices or coords): each centre's list in order, empty for centres without hits."""
+    form = "indices" if "indices" in found.columns else "coords"
+    out = found.groupBy("cid").agg(F.sum("n").alias("n"), F.array_sort(F.flatten(F.collect_list(form))).alias(form))
+    if centres is None:
+        return out
+    empty = F.expr(f"cast(array() as {FORMS[form]})")
+    return centres.select("cid").join(out, "cid", "left").select("cid", F.coalesce("n", F.lit(0)).alias("n"), F.coalesce(form, empty).alias(form))
+
+
+def neighbours(index: Index, centres: DataFrame, kernel: Kernel, r: float | None, structure: str = "ranges", exclude_self: bool = False, min_count: int = 0, limit: int | None = None, **options) -> DataFrame:
+    """(cid, n, ranges | indices | coords), one row a centre. ``exclude_self``: the point whose pid is the centre's id is no
+    neighbour of it. ``min_count``: centres with fewer neighbours are left out. ``limit``: of lists of indices or
+    coordinates the first so many; n still counts all."""
+    found = radius_tiles(index, centres, kernel, r, structure, **options)
+    form = next((f for f in FORMS if f in found.columns), None)
+    if form is None:
+        raise ValueError("a form with a list")
+    out = merge_ranges(found, centres) if form == "ranges" else merge_lists(found, centres)
+    if exclude_self:
+        me = index.points.select(F.col("pid").alias("cid"), F.col("idx").alias("__i"), F.struct("x", "y", "z").alias("__at"))
+        held = out.join(me, "cid", "left")
+        if form == "ranges":
+            pieces = lambda s: F.filter(F.array(F.struct(s["lo"].alias("lo"), F.least(s["hi"], F.coalesce(F.col("__i"), s["hi"])).alias("hi")), F.struct(F.greatest(s["lo"], F.coalesce(F.col("__i") + 1, s["hi"])).alias("lo"), s["hi"].alias("hi"))), lambda p: p["lo"] < p["hi"])
+            split = F.flatten(F.transform("ranges", lambda s: F.when((s["lo"] <= F.col("__i")) & (F.col("__i") < s["hi"]), pieces(s)).otherwise(F.array(s))))
+            left = held.select("cid", split.alias("ranges"))
+            n = F.aggregate("ranges", F.lit(0).cast("long"), lambda a, s: a + s["hi"] - s["lo"])
+            out = left.select("cid", n.alias("n"), "ranges")
+        else:
+            mine = F.col("__i") if form == "indices" else F.col("__at")
+            spot = F.array_position(form, mine).cast("int")
+            kept = F.when(F.coalesce(spot, F.lit(0)) == 0, F.col(form)).otherwise(F.concat(F.slice(form, 1, F.greatest(spot - 1, F.lit(0))), F.slice(form, F.greatest(spot + 1, F.lit(1)), F.greatest(F.size(form) - spot, F.lit(0)))))
+            out = held.select("cid", F.size(kept).cast("long").alias("n"), kept.alias(form))
+    out = out.filter(F.col("n") >= min_count) if min_count else out
+    if limit is not None:
+        if form == "ranges":
+            raise ValueError("a limit needs a list of single neighbours")
+        out = out.withColumn(form, F.slice(form, 1, limit))
+    return out
+
+
 def expand_ranges(ranges: DataFrame, points: DataFrame, chunk: int = 4096) -> DataFrame:
     """(cid, pid): ranges are cut at chunk borders and joined to points by chunk, so the range condition is only a filter."""
     flat = ranges.select("cid", F.explode("ranges").alias("s")).select("cid", F.col("s.lo").alias("lo"), F.col("s.hi").alias("hi"))
@@ -210,37 +282,48 @@ def aggregate_ranges(ranges: DataFrame, points: DataFrame, value: str, chunk: in
     return b.groupBy("cid").agg(F.sum(F.col("last") - F.col("lo") + 1).alias("n"), F.sum(F.col("b1") - F.col("b0")).alias("total"))
 
 
-def knn_tiles(index: Index, centres: DataFrame, k: int, structure: str = "prune", cell: float = 0.0) -> DataFrame:
+def knn_tiles(index: Index, centres: DataFrame, k: int, structure: str = "prune", cell: float = 0.0, method: str = "batch") -> DataFrame:
     """(cid, rank, pid, d2): exact, ties by own point first, then pid. A centre visits the tiles within a distance that
-    surely holds k points, known from counts before any point is read; each tile searches best first."""
-    tier, grid, curve, bucket, known = TopTier(index), index.grid, index.curve, index.bucket, _tile_table(index)
+    surely holds k points, known from counts before any point is read. ``method``: batch (two phases over many centres
+    at once) or bestfirst (one queue for each centre)."""
+    if not index.ordered and structure in LINEAR:
+        raise ValueError("linear octrees need an index along a curve")
+    spark, grid, curve, bucket = index.points.sparkSession, index.grid, index.curve if index.ordered else "morton", index.bucket
+    # ranks along the curve count points, whatever the order of ``idx``, so bounds from counts hold for every index
+    shared = spark.sparkContext.broadcast(TopTier(index.tiles, grid, curve))
+    plain_index = Index(None, None, grid, index.curve, bucket)
+    routing = "cid long, qx double, qy double, qz double, along long, bound double, tile int, chunk long"
 
     def route(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        tier, chunks = shared.value, _Chunks()
         for b in batches:
             if not b.num_rows:
                 continue
-            q = np.stack([b.column(c).to_numpy() for c in ("qx", "qy", "qz")], axis=1)
-            bound = tier.nearest_bound(q, k)
-            visits = [(i, t) for i in range(len(q)) for t in tier.tiles_within(q[i], bound[i])]
-            who = np.array([i for i, _ in visits], np.int64)
-            yield pa.RecordBatch.from_arrays([pa.array(b.column("cid").to_numpy()[who]), *(pa.array(q[who, i]) for i in range(3)), pa.array(bound[who]), pa.array([t for _, t in visits], pa.int32())], names=["cid", "qx", "qy", "qz", "bound", "tile"])
+            cid, q = b.column("cid").to_numpy(), _axes(b, ("qx", "qy", "qz"))
+            _, bound = tier.descend(q, k)
+            who, node = tier.within(q, bound)
+            along = _along(plain_index, q, cid).astype(np.int64)
+            columns = (cid[who], q[who, 0], q[who, 1], q[who, 2], along[who], bound[who], tier.tile[node].astype(np.int32), chunks.next(len(who)))
+            yield pa.RecordBatch.from_arrays([*map(pa.array, columns)], names=[c.split()[0] for c in routing.split(", ")])
 
-    routed = centres.select("cid", "qx", "qy", "qz").mapInArrow(route, "cid long, qx double, qy double, qz double, bound double, tile int")
-    points, asked = _salted(index.points.select("pid", "x", "y", "z", "code", "idx", "tile"), routed)
+    routed = materialise(centres.select("cid", "qx", "qy", "qz").mapInArrow(route, routing), "routed")
+    points, asked = _dealt(index, routed)
 
     def search(key: tuple, left: pa.Table, right: pa.Table) -> pa.Table:
+        tier, tile = shared.value, key[0].as_py()
         xyz, codes, pid, _ = _arrays(left)
-        root, _ = known[key[0].as_py()]
-        lo_box, hi_box = node_boxes(np.array([root[0]]), np.array([root[1]]), grid, curve)
-        tree = build_local(structure, xyz, codes, grid, curve, bucket, root, (lo_box[0], hi_box[0]), cell)
-        q = np.stack([right.column(c).to_numpy() for c in ("qx", "qy", "qz")], axis=1)
-        cids, pids, dists = [], [], []
-        for c, at, bound in zip(right.column("cid").to_pylist(), q, right.column("bound").to_pylist(), strict=True):
-            got = tree.knn(at, k, pid, c, bound)
-            cids += [c] * len(got)
-            dists += [g[0] for g in got]
-            pids += [g[2] for g in got]
-        return pa.table([pa.array(cids, pa.int64()), pa.array(pids, pa.int64()), pa.array(dists, pa.float64())], names=["cid", "pid", "d2"])
+        root = int(tier.tile_level[tile]), int(tier.tile_prefix[tile])
+        box = node_boxes(np.array([root[0]]), np.array([root[1]]), grid, curve)
+        tree = build_local(structure, xyz, codes, grid, curve, bucket, root, (box[0][0], box[1][0]), cell)
+        right = right.take(pa.array(np.argsort(right.column("along").to_numpy(), kind="stable")))
+        cid, q, bound = right.column("cid").to_numpy(), _axes(right, ("qx", "qy", "qz")), right.column("bound").to_numpy()
+        if method == "batch":
+            who, d2, item = tree.knn_batch(q, k, pid, cid, bound.copy())
+        else:
+            each = [tree.knn(at, k, pid, c, z) for at, c, z in zip(q, cid.tolist(), bound.tolist(), strict=True)]
+            who = np.repeat(np.arange(len(each)), [*map(len, each)])
+            d2, item = np.array([g[0] for own in each for g in own], np.float64), np.array([g[2] for own in each for g in own], np.int64)
+        return pa.table([pa.array(cid[who]), pa.array(item.astype(np.int64)), pa.array(d2)], names=["cid", "pid", "d2"])
 
     near = points.groupBy("tile", "salt").cogroup(asked.groupBy("tile", "salt")).applyInArrow(search, "cid long, pid long, d2 double")
     return top_k(near, k)
@@ -249,3 +332,14 @@ def knn_tiles(index: Index, centres: DataFrame, k: int, structure: str = "prune"
 def top_k(pairs: DataFrame, k: int) -> DataFrame:
     order = Window.partitionBy("cid").orderBy("d2", F.col("pid") != F.col("cid"), "pid")
     return pairs.withColumn("rank", F.row_number().over(order)).filter(F.col("rank") <= k).select("cid", F.col("rank").cast("int").alias("rank"), "pid", "d2")
+
+
+def output_bytes(found: DataFrame) -> DataFrame:
+    """(n, entries, bytes) of all results: 16 bytes a range, 8 an index, 24 a point's coordinates."""
+    size = next((b for c, b in (("ranges", 16), ("indices", 8), ("coords", 24)) if c in found.columns), 0)
+    total = lambda c: F.coalesce(F.sum(c), F.lit(0)).cast("long")
+    return found.agg(total("n").alias("n"), total("n_ranges").alias("entries"), (total("n_ranges") * F.lit(size)).alias("bytes"))
+
+
+def union_all(frames: list[DataFrame]) -> DataFrame:
+    return reduce(DataFrame.unionByName, frames)

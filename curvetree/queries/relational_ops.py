@@ -10,16 +10,19 @@ import re
 from collections.abc import Callable
 from functools import partial
 
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions.curves import encode
 from ..functions.grid import fit_grid
 from ..functions.kernels import KERNELS, SPHERE
-from ..functions.registered import range_union, register
+from ..functions.registered import range_union, register, register_knn
 from ..operators import relational
+from ..operators.locality import write_histogram
 from ..operators.reorder import build_index, load_index, node_points, save_index
 from ..operators.tiles import radius_summary, radius_tiles
+from ..plans.ranks import global_rank
 from ..session import scratch_dir
 from ..sources import clouds, files
 from . import sqltext as s
@@ -45,7 +48,7 @@ SHARED = {
     "op_join_left_outer": "SELECT c.c_custkey, count(o.o_orderkey) AS orders FROM {customer} c LEFT JOIN {orders} o ON o.o_custkey = c.c_custkey GROUP BY c.c_custkey",
     "op_join_full_outer": "SELECT coalesce(a.k, b.k) AS k, a.n AS orders, b.n AS events FROM (SELECT o_custkey AS k, count(*) AS n FROM {orders} GROUP BY 1) a FULL OUTER JOIN (SELECT user_id AS k, count(*) AS n FROM {events} GROUP BY 1) b ON a.k = b.k",
     "op_join_semi": "SELECT c_custkey FROM {customer} WHERE EXISTS (SELECT 1 FROM {orders} WHERE o_custkey = c_custkey AND o_totalprice > 200000)",
-    "op_join_anti": "SELECT c_custkey FROM {customer} WHERE NOT EXISTS (SELECT 1 FROM {orders} WHERE o_custkey = c_custkey)",
+    "op_join_anti": "SELECT c_custkey FROM {customer} WHERE NOT EXISTS (SELECT 1 FROM {orders} WHERE o_custkey = c_custkey AND o_totalprice > 200000)",
     "op_join_self": "SELECT a.n_nationkey AS a, b.n_nationkey AS b FROM {nation} a JOIN {nation} b ON a.n_regionkey = b.n_regionkey AND a.n_nationkey < b.n_nationkey",
     "op_join_lateral": "SELECT c.c_custkey, t.o_orderkey FROM {customer} c, LATERAL (SELECT o_orderkey FROM {orders} WHERE o_custkey = c.c_custkey ORDER BY o_totalprice DESC, o_orderkey LIMIT 2) t",
     "op_agg_hash": "SELECT o_orderstatus, count(*) AS n, min(o_orderkey) AS first, max(o_orderkey) AS last FROM {orders} GROUP BY o_orderstatus",
@@ -126,7 +129,7 @@ def code_predicate(spark: SparkSession, d: str) -> DataFrame:
 def filtered_search(before: bool, spark: SparkSession, d: str) -> DataFrame:
     """Nearest clicks: among clicks only, or clicks among the nearest of all."""
     p = clouds.load(spark, d, "event", attrs=True)
-    q = clouds.sample_centres(p.drop("event_type"), 50)
+    q = clouds.id_centres(p.drop("event_type"))
     if before:
         clicks = p.filter("event_type = 'click'").drop("event_type")
         return relational.knn_relational(clicks, q, 5, fit_grid(clicks)).select("cid", "rank", "pid")
@@ -147,7 +150,7 @@ def sort_merge(spark: SparkSession, d: str) -> DataFrame:
 def cross_cloud(spark: SparkSession, d: str) -> DataFrame:
     """Orders near each of a few line items: two clouds, one distance predicate, joined by cells."""
     p, other = clouds.load(spark, d, "order"), clouds.load(spark, d, "part")
-    q = clouds.sample_centres(other, 100)
+    q = clouds.id_centres(other)
     return relational.summarise(relational.radius_gridjoin(p, q, SPHERE, 150.0, fit_grid(p)), q)
 
 
@@ -188,9 +191,61 @@ def range_frame(spark: SparkSession, d: str) -> DataFrame:
 
 
 def sorts(spark: SparkSession, d: str) -> DataFrame:
-    """The first row of each sorted partition must be its least: a local sort checked by a running minimum."""
-    p = read(spark, d, "orders").repartition(4, "o_orderstatus").sortWithinPartitions("o_totalprice")
-    return p.groupBy("o_orderstatus").agg(F.min("o_totalprice").alias("least"), F.max("o_totalprice").alias("most"))
+    """A local sort, checked: how many rows follow a smaller one or none of their status, in the order that the partition
+    really has. All rows do if it is sorted."""
+    p = read(spark, d, "orders").select("o_orderstatus", "o_totalprice", "o_orderkey").repartition(4, "o_orderstatus").sortWithinPartitions("o_orderstatus", "o_totalprice", "o_orderkey")
+
+    def follow(batches):
+        last: dict = {}
+        for b in batches:
+            out = []
+            for row in zip(*(c.to_pylist() for c in b.columns), strict=True):
+                out.append(row[0] not in last or last[row[0]] <= row[1:])
+                last[row[0]] = row[1:]
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(out, pa.bool_())], names=["o_orderstatus", "ok"])
+
+    held = p.mapInArrow(follow, "o_orderstatus string, ok boolean")
+    return held.groupBy("o_orderstatus").agg(F.count("*").alias("n"), F.sum(F.col("ok").cast("long")).alias("in_order"))
+
+
+def global_sort(spark: SparkSession, d: str) -> DataFrame:
+    """A total order by range: each row's place, from ranks that no single task counts."""
+    p = read(spark, d, "orders").select("o_orderkey", "o_totalprice")
+    return global_rank(p, ["o_totalprice", "o_orderkey"], "place").select("o_orderkey", "place")
+
+
+def window_edges(spark: SparkSession, d: str) -> DataFrame:
+    spot = Window.partitionBy("user_id").orderBy("event_id")
+    whole = spot.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
+    return read(spark, d, "events").select("event_id", F.last_value("event_id").over(whole).alias("last"), F.round(F.percent_rank().over(spot), 9).alias("share"))
+
+
+def json_structs(spark: SparkSession, d: str) -> DataFrame:
+    """Fields parsed under a schema, and written back as text."""
+    e = read(spark, d, "events").select("event_id", F.from_json("props", "k int").alias("p"))
+    return e.select("event_id", F.col("p.k").alias("k"), F.to_json(F.struct(F.col("p.k").alias("k"))).alias("text"))
+
+
+def bases(spark: SparkSession, d: str) -> DataFrame:
+    return read(spark, d, "part").select("p_partkey", F.bin("p_partkey").alias("two"), F.lower(F.conv(F.col("p_partkey").cast("string"), 10, 16)).alias("sixteen"))
+
+
+def knn_in_sql(spark: SparkSession, d: str) -> DataFrame:
+    """The nearest five of each centre, by a table function joined laterally."""
+    p = clouds.load(spark, d, "part")
+    register_knn(spark, p, fit_grid(p))
+    return spark.sql("SELECT q.cid, t.rank, t.pid FROM {q} q, LATERAL knn(q.cid, q.qx, q.qy, q.qz, 5) t", q=clouds.id_centres(p))
+
+
+def histogram_sink(spark: SparkSession, d: str) -> DataFrame:
+    """A cloud's histogram of cells written as delimited text with a header, and read back."""
+    import uuid
+
+    path = f"{scratch_dir(spark)}/histogram-{uuid.uuid4().hex}"
+    p = clouds.load(spark, d, "order")
+    coded = encode(p, fit_grid(p), "morton").groupBy(F.shiftright("code", 54).alias("d")).agg(F.count("*").alias("h"))
+    write_histogram(coded.select(F.lit("morton").alias("curve"), "d", "h"), path)
+    return spark.read.csv(path, schema="curve string, d long, h long", header=True)
 
 
 def bits(spark: SparkSession, d: str) -> DataFrame:
@@ -257,7 +312,7 @@ def range_join(spark: SparkSession, d: str) -> DataFrame:
 def whole_tiles(spark: SparkSession, d: str) -> DataFrame:
     """A kernel that holds the whole cloud answers from ranges alone."""
     p = clouds.load(spark, d, "order")
-    index, q = build_index(p, "morton", 16, 2000), clouds.sample_centres(p, 5)
+    index, q = build_index(p, "morton", 16, 2000), clouds.id_centres(p)
     return radius_summary(index, q, radius_tiles(index, q, KERNELS["cube"], 1e6))
 
 
@@ -272,12 +327,12 @@ OWN: dict[str, tuple[Callable[[SparkSession, str], DataFrame], str | None]] = {
     "op_saved_index": (saved, f"WITH {s.coded('order', 'morton')} SELECT pid, idx FROM k WHERE idx >= 100 AND idx < 400"),
     "op_kernel_predicate": (kernel_predicate, f"WITH p AS ({s.CLOUD['part']}), q AS (SELECT 200.0::DOUBLE AS qx, 500.0::DOUBLE AS qy, 1000.0::DOUBLE AS qz) SELECT pid FROM p, q WHERE {s.hit('sphere', 300.0)}"),
     "op_code_predicate": (code_predicate, f"WITH {s.coded('order', 'morton')} SELECT pid, code FROM k WHERE code BETWEEN {3 << 57} AND {(4 << 57) - 1}"),
-    "op_filter_before_knn": (partial(filtered_search, True), f"WITH a AS ({_EV}), {s.sampled(50, 'a')}, {_CLICK}, p AS (SELECT a.* FROM a JOIN e ON e.event_id = a.pid WHERE event_type = 'click'), {s.knn(5)} SELECT cid, rank::INT AS rank, pid FROM n"),
-    "op_filter_after_knn": (partial(filtered_search, False), f"WITH p AS ({_EV}), {s.sampled(50)}, {_CLICK}, {s.knn(5)} SELECT cid, rank::INT AS rank, pid FROM n JOIN e ON e.event_id = n.pid WHERE event_type = 'click'"),
+    "op_filter_before_knn": (partial(filtered_search, True), f"WITH a AS ({_EV}), {s.by_id(100, 'a')}, {_CLICK}, p AS (SELECT a.* FROM a JOIN e ON e.event_id = a.pid WHERE event_type = 'click'), {s.knn(5)} SELECT cid, rank::INT AS rank, pid FROM n"),
+    "op_filter_after_knn": (partial(filtered_search, False), f"WITH p AS ({_EV}), {s.by_id()}, {_CLICK}, {s.knn(5)} SELECT cid, rank::INT AS rank, pid FROM n JOIN e ON e.event_id = n.pid WHERE event_type = 'click'"),
     "op_join_shuffled_hash": (shuffled_hash, "SELECT c_mktsegment, count(*) AS n FROM orders JOIN customer ON o_custkey = c_custkey GROUP BY 1"),
     "op_join_sort_merge": (sort_merge, "SELECT o_orderstatus, count(*) AS n FROM orders JOIN lineitem ON o_orderkey = l_orderkey GROUP BY 1"),
     "op_join_cross": (cross_join, "SELECT r_regionkey, n_nationkey FROM region, nation"),
-    "op_join_theta": (cross_cloud, f"WITH p AS ({s.CLOUD['order']}), o AS ({s.CLOUD['part']}), {s.sampled(100, 'o')} SELECT q.cid, count(p.pid) AS n, coalesce(sum(p.pid), 0)::BIGINT AS pid_sum FROM q LEFT JOIN p ON {s.hit('sphere', 150.0)} GROUP BY q.cid"),
+    "op_join_theta": (cross_cloud, f"WITH p AS ({s.CLOUD['order']}), o AS ({s.CLOUD['part']}), {s.by_id(100, 'o')} SELECT q.cid, count(p.pid) AS n, coalesce(sum(p.pid), 0)::BIGINT AS pid_sum FROM q LEFT JOIN p ON {s.hit('sphere', 150.0)} GROUP BY q.cid"),
     "op_join_range": (range_join, "SELECT rid, c_custkey FROM (SELECT i AS rid, i * 700.0::DOUBLE AS lo, i * 700.0::DOUBLE + 150 AS hi FROM range(10) t(i)) r JOIN customer ON c_acctbal >= lo AND c_acctbal < hi"),
     "op_join_interval": (interval_join, "SELECT a.event_id AS a, b.event_id AS b FROM events a JOIN events b ON a.event_id < b.event_id AND a.user_id <> b.user_id AND abs(epoch_us(a.ts) - epoch_us(b.ts)) < 60000000"),
     "op_join_as_of": (as_of, "SELECT o_orderkey, e.event_id FROM orders o LEFT JOIN LATERAL (SELECT event_id FROM events WHERE user_id = o.o_custkey AND ts - INTERVAL 25 YEAR <= o.o_orderdate ORDER BY ts DESC, event_id DESC LIMIT 1) e ON true"),
@@ -285,7 +340,13 @@ OWN: dict[str, tuple[Callable[[SparkSession, str], DataFrame], str | None]] = {
     "op_agg_pivot": (pivoted, "SELECT o_orderpriority, count(*) FILTER (WHERE o_orderstatus = 'F') AS \"F\", count(*) FILTER (WHERE o_orderstatus = 'O') AS \"O\", count(*) FILTER (WHERE o_orderstatus = 'P') AS \"P\" FROM orders GROUP BY 1"),
     "op_agg_weighted_quantiles": (weighted_quantiles, "SELECT quantile_cont(l_linenumber, 0.25)::DOUBLE AS q1, quantile_cont(l_linenumber, 0.5)::DOUBLE AS q2, quantile_cont(l_linenumber, 0.75)::DOUBLE AS q3 FROM lineitem"),
     "op_window_range": (range_frame, "SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY epoch_us(ts) RANGE BETWEEN 86400000000 PRECEDING AND CURRENT ROW) AS last_day FROM events"),
-    "op_sort_local": (sorts, "SELECT o_orderstatus, min(o_totalprice) AS least, max(o_totalprice) AS most FROM orders GROUP BY 1"),
+    "op_sort_local": (sorts, "SELECT o_orderstatus, count(*) AS n, count(*) AS in_order FROM orders GROUP BY 1"),
+    "op_sort_global": (global_sort, "SELECT o_orderkey, row_number() OVER (ORDER BY o_totalprice, o_orderkey) - 1 AS place FROM orders"),
+    "op_window_edges": (window_edges, "SELECT event_id, last_value(event_id) OVER (PARTITION BY user_id ORDER BY event_id ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING) AS last, round(percent_rank() OVER (PARTITION BY user_id ORDER BY event_id), 9) AS share FROM events"),
+    "op_json_structs": (json_structs, "SELECT event_id, json_extract_string(props, '$.k')::INT AS k, '{\"k\":' || json_extract_string(props, '$.k') || '}' AS text FROM events"),
+    "op_base_functions": (bases, "SELECT p_partkey, bin(p_partkey) AS two, lower(hex(p_partkey)) AS sixteen FROM part"),
+    "op_udtf_knn": (knn_in_sql, f"WITH p AS ({s.CLOUD['part']}), {s.by_id()}, {s.knn(5)} SELECT cid, rank::INT AS rank, pid FROM n"),
+    "op_histogram_sink": (histogram_sink, f"WITH {s.coded('order', 'morton')} SELECT 'morton' AS curve, code >> 54 AS d, count(*) AS h FROM k GROUP BY 2"),
     "op_bit_functions": (bits, "SELECT p_partkey, p_partkey << 3 AS l, p_partkey >> 1 AS r, p_partkey & 5 AS a, p_partkey | 5 AS o, xor(p_partkey, 5) AS x, bit_count(p_partkey)::INT AS n FROM part"),
     "op_date_functions": (dates, "SELECT o_orderkey, date_diff('day', DATE '1995-01-01', o_orderdate::DATE)::INT AS days, year(o_orderdate)::INT AS y, month(o_orderdate)::INT AS m FROM orders"),
     "op_array_functions": (arrays, "WITH v AS (SELECT vec_id, list_transform(embedding, lambda x: round(x::DOUBLE * 1000)::BIGINT) AS v FROM embeddings) SELECT vec_id, len(v)::INT AS n, list_sum(v)::BIGINT AS total, len(list_filter(v, lambda x: x > 0))::INT AS positive, v[3] AS third FROM v"),
@@ -295,7 +356,7 @@ OWN: dict[str, tuple[Callable[[SparkSession, str], DataFrame], str | None]] = {
     "op_udf_sql_code": (sfc_in_sql, f"WITH RECURSIVE {s.coded('order', 'hilbert')} SELECT pid, code FROM k"),
     "op_udtf": (table_functions, "SELECT 1::INT AS level, p AS prefix, i AS idx FROM range(8) a(p), range(2, 5) b(i)"),
     "op_udaf_range_union": (union_of_ranges, "WITH n AS (SELECT n_regionkey, unnest(range(n_nationkey * 2, n_nationkey * 2 + 3)) AS i FROM nation) SELECT n_regionkey, count(DISTINCT i) AS covered FROM n GROUP BY 1"),
-    "op_whole_tiles": (whole_tiles, f"{_ORD}, {s.sampled(5)} SELECT cid, (SELECT count(*) FROM p) AS n, (SELECT sum(pid) FROM p)::BIGINT AS pid_sum FROM q"),
+    "op_whole_tiles": (whole_tiles, f"{_ORD}, {s.by_id()} SELECT cid, (SELECT count(*) FROM p) AS n, (SELECT sum(pid) FROM p)::BIGINT AS pid_sum FROM q"),
 }
 QUERIES = {**{n: partial(shared, t) for n, t in SHARED.items()}, **{n: f for n, (f, _) in OWN.items()}}
 ORACLE = {**{n: TABLE.sub(r"\1", t) for n, t in SHARED.items()}, **{n: sql for n, (_, sql) in OWN.items() if sql}}

@@ -1,4 +1,7 @@
-"""Fixed-radius and nearest-neighbour searches, locality, and work counters."""
+"""Fixed-radius and nearest-neighbour searches, locality, and work counters.
+
+Centres are all points whose id is divisible by 100, at every size of the tables; the queries named ``full`` take all points.
+"""
 
 from __future__ import annotations
 
@@ -17,12 +20,20 @@ from ..sources import clouds
 from . import sqltext as s
 
 # few points to a leaf and a large radius, so that octants are contained and the shortcut is exercised
-CLOUD, CENTRES, RADIUS, BUCKET, TILE_POINTS, K = "event", 200, 200.0, 16, 2000, 20
+CLOUD, RADIUS, BUCKET, TILE_POINTS, K, FULL_RADIUS = "event", 200.0, 16, 2000, 20, 50.0
+_INDEXES: dict[tuple, Index] = {}
+
+
+def index_of(spark: SparkSession, d: str, name: str = CLOUD, curve: str = "hilbert", bucket: int = BUCKET, tile_points: int = TILE_POINTS) -> Index:
+    """The index of a cloud; built once a session, as its tables are stored."""
+    key = (spark.sparkContext.applicationId, d, name, curve, bucket, tile_points)
+    if key not in _INDEXES:
+        _INDEXES[key] = build_index(clouds.load(spark, d, name), curve, bucket, tile_points)
+    return _INDEXES[key]
 
 
 def indexed(spark: SparkSession, d: str, curve: str = "hilbert", name: str = CLOUD) -> tuple[Index, DataFrame]:
-    p = clouds.load(spark, d, name)
-    return build_index(p, curve, BUCKET, TILE_POINTS), clouds.sample_centres(p, CENTRES)
+    return index_of(spark, d, name, curve), clouds.id_centres(clouds.load(spark, d, name))
 
 
 def by_tiles(kernel: str, structure: str, curve: str, spark: SparkSession, d: str) -> DataFrame:
@@ -30,6 +41,13 @@ def by_tiles(kernel: str, structure: str, curve: str, spark: SparkSession, d: st
     return tiles.radius_summary(index, q, tiles.radius_tiles(index, q, KERNELS[kernel], RADIUS, structure, cell=40.0))
 
 
+def full_search(structure: str, spark: SparkSession, d: str) -> DataFrame:
+    """Every point a centre, in the order of the index."""
+    index = index_of(spark, d)
+    q = clouds.all_centres(index.points)
+    return tiles.radius_summary(index, q, tiles.radius_tiles(index, q, SPHERE, FULL_RADIUS, structure))
+
+
 def _labelled(spark: SparkSession, d: str, name: str = CLOUD) -> tuple[DataFrame, DataFrame, DataFrame, Index]:
     index, q = indexed(spark, d, name=name)
     tree = with_boxes(build_tree(index.points, BUCKET, 21), index.grid, index.curve)
@@ -43,13 +61,13 @@ def by_frontier(mode: str, spark: SparkSession, d: str) -> DataFrame:
 
 def by_grid(kernel: str, spark: SparkSession, d: str) -> DataFrame:
     p = clouds.load(spark, d, CLOUD)
-    q = clouds.sample_centres(p, CENTRES)
+    q = clouds.id_centres(p)
     return relational.summarise(relational.radius_gridjoin(p, q, KERNELS[kernel], RADIUS, fit_grid(p)), q)
 
 
 def pairs(spark: SparkSession, d: str) -> DataFrame:
     p = clouds.load(spark, d, "order")
-    return relational.radius_gridjoin(p, clouds.sample_centres(p, CENTRES), SPHERE, 100.0, fit_grid(p))
+    return relational.radius_gridjoin(p, clouds.id_centres(p), SPHERE, 100.0, fit_grid(p))
 
 
 def expanded(spark: SparkSession, d: str) -> DataFrame:
@@ -68,14 +86,64 @@ def per_centre_radius(spark: SparkSession, d: str) -> DataFrame:
     return tiles.radius_summary(index, q, tiles.radius_tiles(index, own, SPHERE, None))
 
 
-def knn(structure: str, spark: SparkSession, d: str) -> DataFrame:
+def index_lists(spark: SparkSession, d: str) -> DataFrame:
+    """The pruning search's own result: every neighbour's index, one by one."""
+    index, q = indexed(spark, d)
+    found = tiles.merge_lists(tiles.radius_tiles(index, q, SPHERE, RADIUS, "prune"), q)
+    return found.select("cid", F.explode("indices").alias("idx"))
+
+
+def range_lists(spark: SparkSession, d: str) -> DataFrame:
+    """The range search's own result: every maximal range of neighbours' indices."""
+    index, q = indexed(spark, d)
+    found = tiles.merge_ranges(tiles.radius_tiles(index, q, SPHERE, RADIUS, "ranges"), q)
+    return found.select("cid", F.explode("ranges").alias("s")).select("cid", "s.lo", "s.hi")
+
+
+def coordinate_lists(spark: SparkSession, d: str) -> DataFrame:
+    """The non-complete octree's result: every neighbour's coordinates, summed up."""
+    index, q = indexed(spark, d)
+    found = tiles.merge_lists(tiles.radius_tiles(index, q, SPHERE, RADIUS, "noncomplete"), q).select("cid", F.explode("coords").alias("c"))
+    return found.groupBy("cid").agg(F.count("*").alias("n"), *(F.round(F.sum(f"c.{a}"), 3).alias(f"s{a}") for a in "xyz"))
+
+
+def output_sizes(spark: SparkSession, d: str) -> DataFrame:
+    """(form, n, entries, bytes) of the same search's result as ranges, indices and coordinates."""
+    index, q = indexed(spark, d)
+    out = []
+    for form, structure in (("ranges", "ranges"), ("indices", "prune"), ("coords", "noncomplete")):
+        found = tiles.radius_tiles(index, q, SPHERE, RADIUS, structure)
+        merged = tiles.merge_ranges(found) if form == "ranges" else tiles.merge_lists(found)
+        size = {"ranges": 16, "indices": 8, "coords": 24}[form]
+        entries = F.coalesce(F.sum(F.size(form)), F.lit(0)).cast("long")
+        out.append(merged.agg(F.sum("n").cast("long").alias("n"), entries.alias("entries"), (entries * size).alias("bytes")).select(F.lit(form).alias("form"), "*"))
+    return tiles.union_all(out)
+
+
+def neighbour_options(spark: SparkSession, d: str) -> DataFrame:
+    """Neighbours other than the point itself, for centres that have at least 20 of them."""
+    index, q = indexed(spark, d)
+    return tiles.neighbours(index, q, SPHERE, 100.0, exclude_self=True, min_count=20).select("cid", "n", F.size("ranges").cast("long").alias("n_ranges"))
+
+
+def knn(structure: str, method: str, spark: SparkSession, d: str) -> DataFrame:
     index, q = indexed(spark, d)
-    return tiles.knn_tiles(index, q, K, structure, cell=40.0).select("cid", "rank", "pid")
+    return tiles.knn_tiles(index, q, K, structure, cell=40.0, method=method).select("cid", "rank", "pid")
+
+
+def knn_full(spark: SparkSession, d: str) -> DataFrame:
+    index = index_of(spark, d, "part")
+    return tiles.knn_tiles(index, clouds.all_centres(index.points), K).select("cid", "rank", "pid")
+
+
+def knn_unordered(spark: SparkSession, d: str) -> DataFrame:
+    index, q = indexed(spark, d, "none")
+    return tiles.knn_tiles(index, q, K, "pointer").select("cid", "rank", "pid")
 
 
 def knn_by_bounds(spark: SparkSession, d: str) -> DataFrame:
     p = clouds.load(spark, d, CLOUD)
-    return relational.knn_relational(p, clouds.sample_centres(p, CENTRES), K, fit_grid(p)).select("cid", "rank", "pid")
+    return relational.knn_relational(p, clouds.id_centres(p), K, fit_grid(p)).select("cid", "rank", "pid")
 
 
 def counters(spark: SparkSession, d: str) -> DataFrame:
@@ -87,29 +155,34 @@ def counters(spark: SparkSession, d: str) -> DataFrame:
 
 
 def counters_by_arrays(spark: SparkSession, d: str) -> DataFrame:
-    p = clouds.load(spark, d, CLOUD)
-    index, q = build_index(p, "hilbert", BUCKET, 10**9), clouds.sample_centres(p, CENTRES)
+    index, q = index_of(spark, d, tile_points=10**9), clouds.id_centres(clouds.load(spark, d, CLOUD))
     return tiles.work_counters(tiles.radius_tiles(index, q, SPHERE, RADIUS, "prune")).select("cid", "nodes", "contained", "leaves", "tested", "bulk")
 
 
 def mu(spark: SparkSession, d: str) -> DataFrame:
-    p, out = clouds.load(spark, d, CLOUD), None
-    q, grid = clouds.sample_centres(p, CENTRES), fit_grid(p)
-    for name, kernel in KERNELS.items():
-        row = costs.mean_neighbours(relational.summarise(relational.radius_gridjoin(p, q, kernel, 50.0, grid), q)).select(F.lit(name).alias("kernel"), "mu", "centres")
-        out = row if out is None else out.union(row)
-    return out
+    p = clouds.load(spark, d, CLOUD)
+    q, grid = clouds.id_centres(p), fit_grid(p)
+    return tiles.union_all([costs.mean_neighbours(relational.summarise(relational.radius_gridjoin(p, q, kernel, 50.0, grid), q)).select(F.lit(name).alias("kernel"), "mu", "centres") for name, kernel in KERNELS.items()])
 
 
-def _gaps(spark: SparkSession, d: str, name: str = "part", share: float = 1.0, k: int = 50) -> DataFrame:
+def _gaps(spark: SparkSession, d: str, name: str = "part", share: float = 1.0, k: int = 50, curves: tuple[str, ...] = ("none", "morton", "hilbert")) -> DataFrame:
     p = clouds.load(spark, d, name)
-    grid = fit_grid(p)
-    found = tiles.knn_tiles(build_index(p, "hilbert", 32, TILE_POINTS, grid), clouds.share_of_centres(p, share), k)
-    return locality.knn_gaps(found, locality.ranks(p, grid))
+    index = index_of(spark, d, name, bucket=32)
+    found = tiles.knn_tiles(index, clouds.share_of_centres(p, share), k)
+    return locality.knn_gaps(found, locality.ranks(p, index.grid, curves))
 
 
 def histogram(curve: str, spark: SparkSession, d: str) -> DataFrame:
-    return locality.histogram(_gaps(spark, d).filter(F.col("curve") == curve))
+    return locality.histogram(_gaps(spark, d, curves=(curve,)))
+
+
+def histogram_without_self(spark: SparkSession, d: str) -> DataFrame:
+    return locality.histogram(_gaps(spark, d, curves=("hilbert",)), include_self=False)
+
+
+def multiplicity(spark: SparkSession, d: str) -> DataFrame:
+    """How many centres have one, and how many two, neighbours at a gap."""
+    return locality.gap_multiplicity(_gaps(spark, d, curves=("hilbert",))).groupBy("d", "n").agg(F.count("*").alias("centres"))
 
 
 def quartiles(spark: SparkSession, d: str) -> DataFrame:
@@ -126,11 +199,11 @@ def sampled(spark: SparkSession, d: str) -> DataFrame:
 
 def choice(spark: SparkSession, d: str) -> DataFrame:
     """The ordering that a tenth of the centres recommends, for each of two clouds."""
-    out = None
+    out = []
     for name in ("part", "embed"):
-        best = locality.skewness(locality.histogram(_gaps(spark, d, name, 0.1))).orderBy(F.desc("g1"), "curve").limit(1).select(F.lit(name).alias("cloud"), "curve")
-        out = best if out is None else out.union(best)
-    return out
+        best = locality.skewness(locality.histogram(_gaps(spark, d, name, 0.1))).orderBy(F.desc("g1"), "curve").limit(1)
+        out.append(best.select(F.lit(name).alias("cloud"), "curve"))
+    return tiles.union_all(out)
 
 
 def binned(spark: SparkSession, d: str) -> DataFrame:
@@ -160,17 +233,18 @@ def isolated(spark: SparkSession, d: str) -> DataFrame:
     return features.isolated_points(p, fit_grid(p), 25.0)
 
 
-def moments(spark: SparkSession, d: str) -> DataFrame:
+def _order_moments(spark: SparkSession, d: str) -> DataFrame:
     p = clouds.load(spark, d, "order")
-    near = relational.radius_gridjoin(p, clouds.sample_centres(p, CENTRES), SPHERE, 100.0, fit_grid(p))
-    m = features.local_moments(near, p)
+    return features.local_moments(relational.radius_gridjoin(p, clouds.id_centres(p), SPHERE, 100.0, fit_grid(p)), p)
+
+
+def moments(spark: SparkSession, d: str) -> DataFrame:
+    m = _order_moments(spark, d)
     return m.select("cid", "n", *(F.round(F.col(c) + F.lit(1e-7), 4).alias(c) for c in m.columns[2:]))
 
 
 def shapes(spark: SparkSession, d: str) -> DataFrame:
-    p = clouds.load(spark, d, "order")
-    near = relational.radius_gridjoin(p, clouds.sample_centres(p, CENTRES), SPHERE, 100.0, fit_grid(p))
-    return features.shape(features.local_moments(near, p))
+    return features.shape(_order_moments(spark, d))
 
 
 def components(spark: SparkSession, d: str) -> DataFrame:
@@ -179,10 +253,9 @@ def components(spark: SparkSession, d: str) -> DataFrame:
 
 
 def shared(spark: SparkSession, d: str) -> DataFrame:
-    p = clouds.load(spark, d, "part")
-    grid = fit_grid(p)
-    found = tiles.knn_tiles(build_index(p, "hilbert", 32, TILE_POINTS, grid), clouds.all_centres(p), 10)
-    ranked = locality.ranks(p, grid, ("morton",)).select("pid", "idx")
+    p, index = clouds.load(spark, d, "part"), index_of(spark, d, "part", bucket=32)
+    found = tiles.knn_tiles(index, clouds.all_centres(p), 10)
+    ranked = locality.ranks(p, index.grid, ("morton",)).select("pid", "idx")
     return features.shared_neighbours(found.select("cid", "pid"), ranked)
 
 
@@ -194,16 +267,26 @@ def rollup(spark: SparkSession, d: str) -> DataFrame:
     return coded.rollup("d1", "d2", "d3").agg(F.count("*").alias("cnt"))
 
 
+def leaf_members(spark: SparkSession, d: str) -> DataFrame:
+    """The ids of each leaf's points in the order of the curve: a sort aggregation."""
+    tree, points, _, _ = _labelled(spark, d)
+    held = points.groupBy("level", "prefix").agg(F.transform(F.array_sort(F.collect_list(F.struct("idx", "pid"))), lambda s_: s_["pid"]).alias("ids"))
+    return held.select("level", "prefix", F.size("ids").cast("long").alias("cnt"), F.array_join(F.transform("ids", lambda i: i.cast("string")), ",").alias("ids"))
+
+
 STRUCTURES = {"pointer": "pointer", "leafscan": "leafscan", "prune": "prune", "ranges": "ranges"}
 QUERIES = {
     **{f"radius_{k}_{n}": partial(by_tiles, k, st, "hilbert") for k in KERNELS for n, st in STRUCTURES.items()},
-    "radius_sphere_pointer_none": partial(by_tiles, "sphere", "pointer", "morton"),
+    **{f"radius_full_{n}": partial(full_search, st) for n, st in STRUCTURES.items()},
+    "radius_sphere_pointer_none": partial(by_tiles, "sphere", "pointer", "none"),
+    "radius_sphere_pointer_morton": partial(by_tiles, "sphere", "pointer", "morton"),
     "radius_sphere_ranges_morton": partial(by_tiles, "sphere", "ranges", "morton"),
     "radius_noncomplete": partial(by_tiles, "sphere", "noncomplete", "hilbert"),
     "radius_resolution": partial(by_tiles, "sphere", "resolution", "hilbert"),
     "radius_kdtree_small": partial(by_tiles, "sphere", "kd_small", "hilbert"),
     "radius_kdtree": partial(by_tiles, "sphere", "kd_ten", "hilbert"),
     "radius_kdtree_sliding": partial(by_tiles, "cube", "kd_sliding", "hilbert"),
+    "radius_kdtree_none": partial(by_tiles, "sphere", "kd_ten", "none"),
     "radius_frontier_leafscan": partial(by_frontier, "leafscan"),
     "radius_frontier_prune": partial(by_frontier, "prune"),
     "radius_gridjoin": partial(by_grid, "sphere"),
@@ -212,17 +295,27 @@ QUERIES = {
     "radius_range_expand": expanded,
     "radius_range_sums": range_sums,
     "radius_per_centre": per_centre_radius,
-    "knn_bestfirst": partial(knn, "prune"),
-    "knn_pointer": partial(knn, "pointer"),
-    "knn_resolution": partial(knn, "resolution"),
-    "knn_kdtree": partial(knn, "kd_ten"),
-    "knn_kdtree_small": partial(knn, "kd_small"),
-    "knn_kdtree_sliding": partial(knn, "kd_sliding"),
+    "radius_index_lists": index_lists,
+    "radius_range_lists": range_lists,
+    "radius_coordinate_lists": coordinate_lists,
+    "radius_output_sizes": output_sizes,
+    "radius_neighbour_options": neighbour_options,
+    "knn_bestfirst": partial(knn, "prune", "bestfirst"),
+    "knn_two_phase": partial(knn, "prune", "batch"),
+    "knn_full": knn_full,
+    "knn_pointer": partial(knn, "pointer", "bestfirst"),
+    "knn_pointer_none": knn_unordered,
+    "knn_resolution": partial(knn, "resolution", "batch"),
+    "knn_kdtree": partial(knn, "kd_ten", "batch"),
+    "knn_kdtree_small": partial(knn, "kd_small", "batch"),
+    "knn_kdtree_sliding": partial(knn, "kd_sliding", "bestfirst"),
     "knn_relational": knn_by_bounds,
     "search_work_counters": counters,
     "search_work_counters_arrays": counters_by_arrays,
     "mean_neighbours": mu,
     **{f"locality_hist_{c}": partial(histogram, c) for c in ("none", "morton", "hilbert")},
+    "locality_hist_without_self": histogram_without_self,
+    "locality_gap_multiplicity": multiplicity,
     "locality_quartiles": quartiles,
     "locality_skewness": skewness,
     "locality_sampled": sampled,
@@ -238,10 +331,11 @@ QUERIES = {
     "radius_components": components,
     "shared_neighbours": shared,
     "octant_rollup": rollup,
+    "leaf_members": leaf_members,
 }
 
-_SPHERE = s.radius(CLOUD, CENTRES, "sphere", RADIUS)
-_KNN = f"WITH p AS ({s.CLOUD[CLOUD]}), {s.sampled(CENTRES)}, {s.knn(K)} SELECT cid, rank::INT AS rank, pid FROM n"
+_SPHERE = s.radius(CLOUD, "sphere", RADIUS)
+_KNN = f"WITH p AS ({s.CLOUD[CLOUD]}), {s.by_id()}, {s.knn(K)} SELECT cid, rank::INT AS rank, pid FROM n"
 
 
 def _hist(name: str, curves: tuple[str, ...], share: float | None = None, k: int = 50) -> str:
@@ -273,23 +367,38 @@ def _gap_rows(name: str) -> str:
 
 _ORDER = f"WITH p AS ({s.CLOUD['order']})"
 _ORDER_ALL = f"{_ORDER}, q AS (SELECT pid AS cid, x AS qx, y AS qy, z AS qz FROM p)"
-_ORDER_Q = f"{_ORDER}, {s.sampled(CENTRES)}"
+_ORDER_Q = f"{_ORDER}, {s.by_id()}"
+#: CTEs up to hits (cid, pid, idx, x, y, z): neighbours with their ranks along the Hilbert curve
+_HITS = f"WITH RECURSIVE {s.coded(CLOUD, 'hilbert')}, {s.by_id()}, hits AS (SELECT cid, pid, idx, x, y, z FROM q, k WHERE {s.hit('sphere', RADIUS)})"
+_ISLANDS = "SELECT cid, min(idx) AS lo, max(idx) + 1 AS hi FROM (SELECT cid, idx, idx - row_number() OVER (PARTITION BY cid ORDER BY idx) AS g FROM {0}) x GROUP BY cid, g"
+_COUNTERS = f"""{s.classified(CLOUD, 'hilbert', BUCKET, RADIUS)} SELECT cid, count(*) AS nodes, count(*) FILTER (WHERE place = 1) AS contained, count(*) FILTER (WHERE place = 0 AND is_leaf) AS leaves,
+  coalesce(sum(cnt) FILTER (WHERE place = 0 AND is_leaf), 0)::BIGINT AS tested, coalesce(sum(cnt) FILTER (WHERE place = 1), 0)::BIGINT AS bulk FROM walked GROUP BY cid"""
 ORACLE = {
-    **{f"radius_{k}_{n}": s.radius(CLOUD, CENTRES, k, RADIUS) for k in KERNELS for n in STRUCTURES},
-    **{k: _SPHERE for k in ("radius_sphere_pointer_none", "radius_sphere_ranges_morton", "radius_noncomplete", "radius_resolution", "radius_kdtree_small", "radius_kdtree", "radius_frontier_leafscan", "radius_frontier_prune", "radius_gridjoin")},
-    "radius_kdtree_sliding": s.radius(CLOUD, CENTRES, "cube", RADIUS),
-    "radius_gridjoin_square": s.radius(CLOUD, CENTRES, "square", RADIUS),
+    **{f"radius_{k}_{n}": s.radius(CLOUD, k, RADIUS) for k in KERNELS for n in STRUCTURES},
+    **{f"radius_full_{n}": s.radius(CLOUD, "sphere", FULL_RADIUS, step=1) for n in STRUCTURES},
+    **{k: _SPHERE for k in ("radius_sphere_pointer_none", "radius_sphere_pointer_morton", "radius_sphere_ranges_morton", "radius_noncomplete", "radius_resolution", "radius_kdtree_small", "radius_kdtree", "radius_kdtree_none", "radius_frontier_leafscan", "radius_frontier_prune", "radius_gridjoin")},
+    "radius_kdtree_sliding": s.radius(CLOUD, "cube", RADIUS),
+    "radius_gridjoin_square": s.radius(CLOUD, "square", RADIUS),
     **{k: f"{_ORDER_Q} SELECT cid, pid FROM q, p WHERE {s.hit('sphere', 100.0)}" for k in ("radius_pairs_sphere", "radius_range_expand")},
     "radius_range_sums": f"SELECT * FROM ({_SPHERE}) x WHERE n > 0",
-    "radius_per_centre": f"WITH p AS ({s.CLOUD[CLOUD]}), {s.sampled(CENTRES)} SELECT q.cid, count(p.pid) AS n, coalesce(sum(p.pid), 0)::BIGINT AS pid_sum FROM q LEFT JOIN p ON {s.D2} < (50.0::DOUBLE + cid % 5 * 50.0::DOUBLE) * (50.0::DOUBLE + cid % 5 * 50.0::DOUBLE) GROUP BY q.cid",
-    **{k: _KNN for k in ("knn_bestfirst", "knn_pointer", "knn_resolution", "knn_kdtree", "knn_kdtree_small", "knn_kdtree_sliding", "knn_relational")},
-    "mean_neighbours": " UNION ALL ".join(f"SELECT '{k}' AS kernel, round(sum(n)::DOUBLE / count(*), 6) AS mu, count(*) AS centres FROM ({s.radius(CLOUD, CENTRES, k, 50.0)}) {k}_" for k in KERNELS),
+    "radius_per_centre": f"WITH p AS ({s.CLOUD[CLOUD]}), {s.by_id()} SELECT q.cid, count(p.pid) AS n, coalesce(sum(p.pid), 0)::BIGINT AS pid_sum FROM q LEFT JOIN p ON {s.D2} < (50.0::DOUBLE + cid % 5 * 50.0::DOUBLE) * (50.0::DOUBLE + cid % 5 * 50.0::DOUBLE) GROUP BY q.cid",
+    "radius_index_lists": f"{_HITS} SELECT cid, idx FROM hits",
+    "radius_range_lists": f"{_HITS} {_ISLANDS.format('hits')}",
+    "radius_coordinate_lists": f"{_HITS} SELECT cid, count(*) AS n, round(sum(x), 3) AS sx, round(sum(y), 3) AS sy, round(sum(z), 3) AS sz FROM hits GROUP BY cid",
+    "radius_output_sizes": f"{_HITS}, i AS ({_ISLANDS.format('hits')}), sums AS (SELECT (SELECT count(*) FROM hits) AS n, (SELECT count(*) FROM i) AS r) SELECT 'ranges' AS form, n, r AS entries, r * 16 AS bytes FROM sums UNION ALL SELECT 'indices', n, n, n * 8 FROM sums UNION ALL SELECT 'coords', n, n, n * 24 FROM sums",
+    "radius_neighbour_options": f"WITH RECURSIVE {s.coded(CLOUD, 'hilbert')}, {s.by_id()}, hits AS (SELECT cid, idx FROM q, k WHERE pid <> cid AND {s.hit('sphere', 100.0)}), i AS ({_ISLANDS.format('hits')}) SELECT cid, sum(hi - lo)::BIGINT AS n, count(*) AS n_ranges FROM i GROUP BY cid HAVING sum(hi - lo) >= 20",
+    **{k: _KNN for k in ("knn_bestfirst", "knn_two_phase", "knn_pointer", "knn_pointer_none", "knn_resolution", "knn_kdtree", "knn_kdtree_small", "knn_kdtree_sliding", "knn_relational")},
+    "knn_full": f"WITH p AS ({s.CLOUD['part']}), {s.by_id(1)}, {s.knn(K)} SELECT cid, rank::INT AS rank, pid FROM n",
+    **{k: _COUNTERS for k in ("search_work_counters", "search_work_counters_arrays")},
+    "mean_neighbours": " UNION ALL ".join(f"SELECT '{k}' AS kernel, round(sum(n)::DOUBLE / count(*), 6) AS mu, count(*) AS centres FROM ({s.radius(CLOUD, k, 50.0)}) {k}_" for k in KERNELS),
     **{f"locality_hist_{c}": _hist("part", (c,)) for c in _ALL},
+    "locality_hist_without_self": f"SELECT * FROM ({_hist('part', ('hilbert',))}) x WHERE d > 0",
+    "locality_gap_multiplicity": f"SELECT d, n, count(*) AS centres FROM (WITH RECURSIVE {s.coded('part', 'hilbert')}, {s.share(1.0)}, {s.knn(50)} SELECT a.idx AS i, abs(a.idx - b.idx) AS d, count(*) AS n FROM n JOIN k a ON a.pid = n.cid JOIN k b ON b.pid = n.pid GROUP BY 1, 2) x GROUP BY d, n",
     "locality_quartiles": f"WITH h AS ({_hist('part', _ALL)}), c AS (SELECT *, sum(h) OVER (PARTITION BY curve ORDER BY d) AS c, sum(h) OVER (PARTITION BY curve) AS n FROM h) SELECT curve, " + ", ".join(f"min(CASE WHEN c >= ceil({p}::DOUBLE * n) THEN d END) AS q{i}" for i, p in ((1, 0.25), (2, 0.5), (3, 0.75))) + " FROM c GROUP BY curve",
     "locality_skewness": _skew("part"),
     "locality_sampled": _skew("event", 0.1),
     "locality_bins": f"SELECT curve, (CASE WHEN d = 0 THEN -1 ELSE floor(log2(d)) END)::INT AS bin, sum(h)::BIGINT AS h FROM ({_hist('part', _ALL)}) x GROUP BY 1, 2",
-    "locality_invariants": "SELECT curve, true AS ok FROM (VALUES ('none'), ('morton'), ('hilbert')) v(curve)",
+    "locality_invariants": f"SELECT curve, sum(CASE WHEN d = 0 THEN h ELSE 0 END) = (SELECT count(*) FROM part) AND sum(h) = (SELECT count(*) * least(50, count(*)) FROM part) AS ok FROM ({_hist('part', _ALL)}) x GROUP BY curve",
     "curve_choice": " UNION ALL ".join(f"SELECT * FROM (SELECT '{n}' AS cloud, curve FROM ({_skew(n, 0.1)}) a{n} ORDER BY g1 DESC, curve LIMIT 1) b{n}" for n in ("part", "embed")),
     "blocks_touched": f"SELECT curve, round(avg(b), 6) AS blocks FROM (SELECT curve, cid, count(DISTINCT pos // 2) AS b FROM ({_gap_rows('part')}) x GROUP BY curve, cid) y GROUP BY curve",
     "density": f"{_ORDER_ALL} SELECT cid, count(*) AS n, round(count(*) / {4 / 3 * 3.141592653589793 * 50.0**3!r}::DOUBLE, 12) AS density FROM q JOIN p ON {s.hit('sphere', 50.0)} GROUP BY cid",
@@ -298,4 +407,5 @@ ORACLE = {
     "radius_components": f"WITH RECURSIVE p AS ({s.CLOUD['embed']}), q AS (SELECT pid AS cid, x AS qx, y AS qy, z AS qz FROM p), e AS (SELECT cid, pid FROM q, p WHERE cid <> pid AND {s.hit('sphere', 60.0)}), w AS (SELECT pid AS start, pid AS pos FROM p UNION SELECT w.start, e.pid FROM w JOIN e ON e.cid = w.pos) SELECT pos AS pid, min(start) AS component FROM w GROUP BY pos",
     "shared_neighbours": f"WITH RECURSIVE {s.coded('part', 'morton')}, q AS (SELECT pid AS cid, x AS qx, y AS qy, z AS qz FROM p), {s.knn(10)}, a AS (SELECT k.idx AS i, n.pid FROM n JOIN k ON k.pid = n.cid) SELECT a.i, count(*) AS shared FROM a JOIN a b ON b.i = a.i + 1 AND b.pid = a.pid GROUP BY a.i",
     "octant_rollup": f"WITH {s.coded('order', 'morton')}, o AS (SELECT ((code >> 60) & 7)::INT AS d1, ((code >> 57) & 7)::INT AS d2, ((code >> 54) & 7)::INT AS d3 FROM k) SELECT d1, d2, d3, count(*) AS cnt FROM o GROUP BY ROLLUP (d1, d2, d3)",
+    "leaf_members": f"WITH RECURSIVE {s.tree(CLOUD, 'hilbert', BUCKET)} SELECT t.level, t.prefix, count(*) AS cnt, string_agg(k.pid::VARCHAR, ',' ORDER BY k.idx) AS ids FROM t JOIN k ON k.idx >= t.idx_lo AND k.idx < t.idx_hi WHERE t.is_leaf GROUP BY t.level, t.prefix",
 }

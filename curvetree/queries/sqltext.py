@@ -79,8 +79,33 @@ def hit(kernel: str, r: float) -> str:
     }[kernel]
 
 
-def radius(cloud: str, n: int, kernel: str, r: float) -> str:
-    return f"WITH p AS ({CLOUD[cloud]}), {sampled(n)} SELECT q.cid, count(p.pid) AS n, coalesce(sum(p.pid), 0)::BIGINT AS pid_sum FROM q LEFT JOIN p ON {hit(kernel, r)} GROUP BY q.cid"
+def by_id(step: int = 100, where: str = "p") -> str:
+    """CTE q: the points whose id is divisible by ``step``."""
+    return f"q AS (SELECT pid AS cid, x AS qx, y AS qy, z AS qz FROM {where} WHERE pid % {step} = 0)"
+
+
+def classified(cloud: str, curve: str, bucket: int, r: float, step: int = 100) -> str:
+    """CTEs up to walked (cid, level, prefix, cnt, is_leaf, place): the non-empty nodes that a pruning search with a sphere
+    visits, those whose parent is neither outside nor wholly inside."""
+    side = {a: f"(e{a} / (2.0::DOUBLE ** t.level))" for a in "xyz"}
+    raw = ", ".join(f"l{a} + n{a} * {side[a]} AS lo{a}, l{a} + n{a} * {side[a]} + {side[a]} AS hi{a}" for a in "xyz")
+    big = {a: f"(greatest(abs(lo{a}), abs(hi{a}), e{a}) * {8 * 2.0**-52!r}::DOUBLE)" for a in "xyz"}
+    padded = ", ".join(f"lo{a} - {big[a]} AS u{a}, hi{a} + {big[a]} AS t{a}" for a in "xyz")
+    gap = {a: f"greatest(u{a} - q{a}, q{a} - t{a}, 0.0::DOUBLE)" for a in "xyz"}
+    far = {a: f"greatest(abs(q{a} - u{a}), abs(t{a} - q{a}))" for a in "xyz"}
+    squares = lambda v: "(" + " + ".join(f"{v[a]} * {v[a]}" for a in "xyz") + ")"
+    r_ = f"({float(r)!r}::DOUBLE * {float(r)!r}::DOUBLE)"
+    cells_ = ", ".join(f"min(c{a} >> (21 - lv)) AS n{a}" for a in "xyz")
+    return f"""WITH RECURSIVE {tree(cloud, curve, bucket)}, {by_id(step)},
+corner AS (SELECT lv AS level, code >> (3 * (21 - lv)) AS prefix, {cells_} FROM k, (SELECT unnest(range(22))::INT AS lv) GROUP BY 1, 2),
+raw AS (SELECT t.level, t.prefix, t.cnt, t.is_leaf, g.*, {raw} FROM t JOIN corner c ON c.level = t.level AND c.prefix = t.prefix, g WHERE t.cnt > 0),
+boxes AS (SELECT level, prefix, cnt, is_leaf, {padded} FROM raw),
+placed AS (SELECT cid, level, prefix, cnt, is_leaf, CASE WHEN {squares(gap)} >= {r_} THEN -1 WHEN {squares(far)} < {r_} THEN 1 ELSE 0 END AS place FROM q, boxes),
+walked AS (SELECT a.* FROM placed a LEFT JOIN placed u ON u.cid = a.cid AND u.level = a.level - 1 AND u.prefix = a.prefix >> 3 WHERE a.level = 0 OR u.place = 0)"""
+
+
+def radius(cloud: str, kernel: str, r: float, step: int = 100) -> str:
+    return f"WITH p AS ({CLOUD[cloud]}), {by_id(step)} SELECT q.cid, count(p.pid) AS n, coalesce(sum(p.pid), 0)::BIGINT AS pid_sum FROM q LEFT JOIN p ON {hit(kernel, r)} GROUP BY q.cid"
 
 
 def knn(k: int) -> str:

@@ -5,6 +5,7 @@ from __future__ import annotations
 import tempfile
 import uuid
 
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -30,19 +31,34 @@ def local_session(cores: int = 8, partitions: int = 8, memory: str = "8g") -> Sp
 
 
 def scratch_dir(spark: SparkSession) -> str:
-    """The folder all executors share; a temporary one is set only where the session names none."""
+    """The folder all executors share. Where the session names none, a temporary one is set in local mode, as in tests; on
+    a cluster that is an error, since executors would not see one another's files."""
     where = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not where:
+        master = spark.sparkContext.master
+        if not master.startswith("local") or master.startswith("local-cluster"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
         where = "file://" + tempfile.mkdtemp(prefix="curvetree-")
         spark.sparkContext.setCheckpointDir(where)
     return where
 
 
-def materialise(df: DataFrame, name: str) -> DataFrame:
-    """Write to the shared folder and read back: cuts lineage and survives lost executors."""
+def materialise(df: DataFrame, name: str, by: str | None = None) -> DataFrame:
+    """Write to the shared folder and read back: cuts lineage and survives lost executors. ``by``: a folder for each value."""
     path = f"{scratch_dir(df.sparkSession)}/{name}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    (df.write.partitionBy(by) if by else df.write).parquet(path)
+    out = df.sparkSession.read.schema(df.schema).parquet(path)
+    out._scratch = path
+    return out
+
+
+def discard(df: DataFrame) -> None:
+    """Delete the files of a table that ``materialise`` made, once nothing that is still to run reads it."""
+    path = getattr(df, "_scratch", None)
+    if path:
+        jvm = df.sparkSession.sparkContext._jvm
+        at = jvm.org.apache.hadoop.fs.Path(path)
+        at.getFileSystem(df.sparkSession.sparkContext._jsc.hadoopConfiguration()).delete(at, True)
 
 
 def small(df: DataFrame, limit: int = SMALL_ROWS) -> DataFrame:
@@ -56,3 +72,11 @@ def collect_small(df: DataFrame, limit: int = SMALL_ROWS) -> list:
     if len(rows) > limit:
         raise ValueError(f"more than {limit} rows where a small table is needed")
     return rows
+
+
+def small_frame(df: DataFrame, limit: int = SMALL_ROWS) -> pd.DataFrame:
+    """All rows on the driver as a pandas frame of columns, not of row objects; raises beyond ``limit``."""
+    rows = df.limit(limit + 1).toPandas()
+    if len(rows) > limit:
+        raise ValueError(f"more than {limit} rows where a small table is needed")
+    return rows

@@ -85,6 +85,11 @@ def sample_centres(cloud: DataFrame, n: int) -> DataFrame:
     return all_centres(cloud.orderBy(centre_hash(), "pid").limit(n))
 
 
+def id_centres(cloud: DataFrame, step: int = 100) -> DataFrame:
+    """All points whose id is divisible by ``step``: a set of centres that grows with the cloud."""
+    return all_centres(cloud.filter(F.col("pid") % step == 0))
+
+
 def share_of_centres(cloud: DataFrame, share: float) -> DataFrame:
     """Ids whose hash lies in the first ``share`` of its range."""
     return all_centres(cloud.filter(centre_hash() < F.lit(share * 2**32)))

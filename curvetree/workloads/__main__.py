@@ -17,13 +17,13 @@ def main() -> None:
     args.add_argument("--out", default="/tmp/curvetree-workloads")
     args.add_argument("--cores", type=int, default=8)
     args.add_argument("--runs", type=int, default=1)
-    args.add_argument("--one", help="structure:radius, for the scaling workload: prints seconds")
+    args.add_argument("--one", help="cloud:structure:radius:centres (a number or all), for the scaling workload: prints seconds")
     a = args.parse_args()
     bench = Bench(local_session(a.cores, max(8, 4 * a.cores)), a.sf_dir, tile_points=2000 if a.one else 50_000, runs=a.runs)
     if a.one:
-        structure, r = a.one.split(":")
-        bench.radius("order", structure, "sphere", float(r), 2000)
-        print(bench.radius("order", structure, "sphere", float(r), 2000)["seconds"])
+        name, structure, r, n = a.one.split(":")
+        bench.radius(name, structure, "sphere", float(r), 100)  # builds the index, starts the workers
+        print(bench.radius(name, structure, "sphere", float(r), None if n == "all" else int(n))["seconds"])
         return
     Path(a.out).mkdir(parents=True, exist_ok=True)
     for name in a.only.split(",") if a.only else WORKLOADS:

@@ -1,11 +1,14 @@
-"""W1 to W20. Each takes a Bench and returns rows (dicts) of parameters and measures; times are of this machine."""
+"""W1 to W20. Each takes a Bench and returns rows (dicts) of parameters and measures; times are of this machine.
+
+Arms that the defaults name ``None`` centres for are full searches: every point is a centre, in the order of the index.
+"""
 
 from __future__ import annotations
 
 import subprocess
 import sys
 import time
-from collections.abc import Callable
+from collections.abc import Callable, Iterable
 from functools import cache
 from itertools import product
 
@@ -17,16 +20,19 @@ from ..functions.curves import encode
 from ..functions.grid import fit_grid
 from ..functions.kernels import KERNELS, SPHERE
 from ..operators import costs, locality
-from ..operators.local import COUNTERS, LinearOctree, PointerTree
+from ..operators.local import COUNTERS, LINEAR, STRUCTURES, LinearOctree, PointerTree, Walk
 from ..operators.octree import build_tree, octants
-from ..operators.reorder import Index, build_index, jump_profile, reorder
 from ..operators.relational import radius_gridjoin
+from ..operators.reorder import Index, build_index, jump_profile, reorder
 from ..operators.tiles import knn_tiles, radius_tiles
 from ..sources import clouds
 
 OWN = ("pointer", "leafscan", "prune", "ranges")
 BASELINES = ("noncomplete", "resolution", "kd_small", "kd_ten", "kd_sliding")
 CURVES = ("none", "morton", "hilbert")
+#: the five pairs of structure and order that are compared
+CONFIGURATIONS = (("pointer", "none"), ("pointer", "morton"), ("pointer", "hilbert"), ("leafscan", "morton"), ("leafscan", "hilbert"))
+ENTRY_BYTES = {"ranges": 16, "indices": 8, "coords": 24}
 Row = dict
 
 
@@ -48,65 +54,69 @@ class Bench:
         p = encode(self.cloud(name), grid, "hilbert" if curve == "none" else curve).orderBy(*(["pid"] if curve == "none" else ["code", "pid"])).select("x", "y", "z", "code").toPandas()
         return p[["x", "y", "z"]].to_numpy(), p["code"].to_numpy()
 
-    def centres(self, name: str, n: int | None) -> DataFrame:
-        return clouds.all_centres(self.cloud(name)) if n is None else clouds.sample_centres(self.cloud(name), n)
-
-    def radius(self, name: str, structure: str, kernel: str, r: float, n: int | None, curve: str = "hilbert", bucket: int = 128) -> Row:
-        """One search: mean neighbours, seconds, and work."""
-        index, q = self.index(name, curve, bucket), self.centres(name, n)
-        seconds, facts = 0.0, None
+    def centres(self, name: str, n: int | None, index: Index | None = None) -> DataFrame:
+        """``n`` points of smallest hash; None: all, in the order of the index."""
+        if n is None:
+            return clouds.all_centres(index.points if index else self.cloud(name))
+        return clouds.sample_centres(self.cloud(name), n)
+
+    def radius(self, name: str, structure: str, kernel: str, r: float, n: int | None, curve: str = "hilbert", bucket: int = 128, output: str | None = None) -> Row:
+        """One search: mean neighbours, seconds, work, and the size of the result."""
+        index = self.index(name, curve, bucket)
+        q = self.centres(name, n, index)
+        seconds, facts, form = 0.0, None, None
         for _ in range(self.runs):
             began = time.perf_counter()
-            found = radius_tiles(index, q, KERNELS[kernel], r, structure, cell=max(index.grid.ext) / 16)
-            facts = found.agg(F.sum("n"), *(F.sum(c) for c in COUNTERS)).first()
+            found = radius_tiles(index, q, KERNELS[kernel], r, structure, cell=max(index.grid.ext) / 16, output=output)
+            form = next((f for f in ENTRY_BYTES if f in found.columns), None)
+            entries = F.sum(F.size(form)) if form else F.lit(0)
+            facts = found.agg(F.sum("n"), entries, F.sum("pid_sum"), *(F.sum(c) for c in COUNTERS)).first()
             seconds += time.perf_counter() - began
         size = max(1, q.count())
-        work = {c: float(v or 0) / size for c, v in zip(COUNTERS, facts[1:], strict=True)}
-        return {"cloud": name, "structure": structure, "kernel": kernel, "r": r, "curve": curve, "bucket": bucket, "centres": size, "mu": float(facts[0] or 0) / size, "seconds": seconds / self.runs, **work, "output_ratio": work["n_ranges"] * 16 / max(1.0, 24.0 * float(facts[0] or 0) / size)}
+        work = {c: float(v or 0) / size for c, v in zip(COUNTERS, facts[3:], strict=True)}
+        total, listed = int(facts[0] or 0), int(facts[1] or 0)
+        return {"cloud": name, "structure": structure, "kernel": kernel, "r": r, "curve": curve, "bucket": bucket, "centres": size, "n": total, "pid_sum": int(facts[2] or 0), "mu": total / size, "seconds": seconds / self.runs, "form": form, "entries": listed, "bytes": listed * ENTRY_BYTES.get(form, 0), **work}
 
     def knn(self, name: str, structure: str, k: int, n: int | None, curve: str = "hilbert") -> Row:
-        index, q = self.index(name, curve, 128), self.centres(name, n)
-        seconds = costs.timed(lambda: knn_tiles(index, q, k, structure, cell=max(index.grid.ext) / 16), self.runs)
-        return {"cloud": name, "structure": structure, "k": k, "curve": curve, "centres": n or "all", "seconds": seconds}
+        index = self.index(name, curve, 128)
+        q, out, seconds = self.centres(name, n, index), None, 0.0
+        for _ in range(self.runs):
+            began = time.perf_counter()
+            out = knn_tiles(index, q, k, structure, cell=max(index.grid.ext) / 16).agg(F.count("*"), F.sum("pid")).first()
+            seconds += time.perf_counter() - began
+        return {"cloud": name, "structure": structure, "k": k, "curve": curve, "centres": "all" if n is None else str(n), "pairs": out[0], "pid_sum": int(out[1] or 0), "seconds": seconds / self.runs}
 
 
-def w1(b: Bench) -> list[Row]:
-    return [b.radius(c, "ranges", k, r, None) for c, k, r in product(("event", "order"), KERNELS, (10.0, 25.0, 50.0))]
+def w1(b: Bench, names: Iterable[str] = ("event", "order"), radii: Iterable[float] = (10.0, 25.0, 50.0)) -> list[Row]:
+    return [b.radius(c, "ranges", k, r, None) for c, k, r in product(names, KERNELS, radii)]
 
 
-def w2(b: Bench, n: int = 5000) -> list[Row]:
-    return [b.radius("ship", "ranges", k, r, n) for k, r in product(KERNELS, (50.0, 100.0, 200.0))]
+def w2(b: Bench, n: int = 5000, name: str = "ship", radii: Iterable[float] = (50.0, 100.0, 200.0)) -> list[Row]:
+    return [b.radius(name, "ranges", k, r, n) for k, r in product(KERNELS, radii)]
 
 
-def w3(b: Bench, n: int = 500) -> list[Row]:
-    arms = [("pointer", c) for c in ("morton", "hilbert")] + [("leafscan", c) for c in ("morton", "hilbert")]
-    return [b.radius(c, s, k, r, n, curve) for c, (s, curve), k, r in product(clouds.SPECS, arms, KERNELS, (50.0, 200.0))]
+def w3(b: Bench, n: int = 500, names: Iterable[str] = tuple(clouds.SPECS), kernels: Iterable[str] = tuple(KERNELS), radii: Iterable[float] = (50.0, 200.0)) -> list[Row]:
+    return [b.radius(c, s, k, r, n, curve) for c, (s, curve), k, r in product(names, CONFIGURATIONS, kernels, radii)]
 
 
-def w4(b: Bench, n: int = 500) -> list[Row]:
-    return [b.radius(c, s, "sphere", r, n) for c, s, r in product(clouds.SPECS, OWN, (25.0, 50.0, 100.0, 200.0))]
+def w4(b: Bench, n: int = 500, names: Iterable[str] = tuple(clouds.SPECS), radii: Iterable[float] = (25.0, 50.0, 100.0, 200.0)) -> list[Row]:
+    return [b.radius(c, s, "sphere", r, n) for c, s, r in product(names, OWN, radii)]
 
 
-def w5(b: Bench, n: int | None = None) -> list[Row]:
-    return [b.radius(c, s, "sphere", r, n, bucket=size) for c, s, r, size in product(("ship", "order", "event"), OWN, (50.0, 200.0), (128, 16))]
+def w5(b: Bench, n: int | None = None, names: Iterable[str] = ("ship", "order", "event"), radii: Iterable[float] = (50.0, 200.0), buckets: Iterable[int] = (128, 16)) -> list[Row]:
+    return [b.radius(c, s, "sphere", r, n, bucket=size) for c, s, r, size in product(names, OWN, radii, buckets)]
 
 
-def w6(b: Bench, k: int = 50) -> list[Row]:
-    out = []
-    for name in ("ship", "part"):
-        share = min(1.0, 2000 / b.cloud(name).count())
-        for r in locality.log_bins(locality.locality(b.cloud(name), k, share)).collect():
-            out.append({"cloud": name, **r.asDict()})
-    return out
+def w6(b: Bench, k: int = 50, names: Iterable[str] = ("ship", "part")) -> list[Row]:
+    return [{"cloud": name, **r.asDict()} for name in names for r in locality.log_bins(locality.locality(b.cloud(name), k)).collect()]
 
 
-def w7(b: Bench, k: int = 50) -> list[Row]:
+def w7(b: Bench, k: int = 50, names: Iterable[str] = tuple(clouds.SPECS), shares: Iterable[float] = (1.0, 0.01, 0.001)) -> list[Row]:
     out = []
-    for name in clouds.SPECS:
+    for name in names:
         cloud, grid = b.cloud(name), fit_grid(b.cloud(name))
-        n = cloud.count()
         ranked = locality.ranks(cloud, grid).cache()
-        for share in {1.0 if n <= 20_000 else 2000 / n, 0.01, 0.001}:
+        for share in shares:
             q = clouds.share_of_centres(cloud, share)
             if q.isEmpty():
                 continue
@@ -119,27 +129,32 @@ def w7(b: Bench, k: int = 50) -> list[Row]:
     return out
 
 
-def w8(b: Bench, n: int = 500) -> list[Row]:
-    out = [b.radius(c, s, "sphere", r, n) for c, s, r in product(("order", "event"), (*OWN, *BASELINES), (50.0, 200.0))]
-    for c, r in product(("order", "event"), (50.0, 200.0)):
+def w8(b: Bench, n: int = 500, names: Iterable[str] = ("order", "event"), radii: Iterable[float] = (50.0, 200.0)) -> list[Row]:
+    out = [b.radius(c, s, "sphere", r, n) for c, s, r in product(names, (*OWN, *BASELINES), radii)]
+    for c, r in product(names, radii):
         grid, q = fit_grid(b.cloud(c)), b.centres(c, n)
-        out.append({"cloud": c, "structure": "gridjoin", "r": r, "seconds": costs.timed(lambda c=c, q=q, r=r, grid=grid: radius_gridjoin(b.cloud(c), q, SPHERE, r, grid), b.runs)})
+        began = time.perf_counter()
+        total = radius_gridjoin(b.cloud(c), q, SPHERE, r, grid).agg(F.count("*"), F.sum("pid")).first()
+        out.append({"cloud": c, "structure": "gridjoin", "kernel": "sphere", "r": r, "n": total[0], "pid_sum": int(total[1] or 0), "seconds": time.perf_counter() - began})
     return out
 
 
-def _local_seconds(b: Bench, name: str, structure: str, curve: str, r: float, n: int | None) -> float:
-    """A single structure over the whole cloud in one order, centres in that order too."""
+def local_structure(b: Bench, name: str, structure: str, curve: str, bucket: int = 128) -> tuple[Walk, np.ndarray]:
+    """A single structure over the whole cloud in one order, on the driver."""
     xyz, codes = b.xyz(name, curve)
     grid = fit_grid(b.cloud(name))
+    if structure in LINEAR:
+        return LinearOctree(xyz, codes, grid, curve, bucket), xyz
     box = (np.array(grid.lo), np.array(grid.lo) + np.array(grid.ext))
-    if structure in ("leafscan", "prune", "ranges"):
-        tree = LinearOctree(xyz, codes, grid, curve, 128)
-    else:
-        options = {"pointer": {"kind": "pointer"}, "noncomplete": {"kind": "noncomplete", "shortcut": True}, "resolution": {"kind": "resolution", "cell": max(grid.ext) / 16}, "kd_small": {"kind": "kd", "bucket": 1}, "kd_ten": {"kind": "kd", "bucket": 10}, "kd_sliding": {"kind": "kd", "bucket": 10, "split": "middle"}}
-        tree = PointerTree(xyz, box, **({"bucket": 128} | options[structure]))
+    return PointerTree(xyz, box, **({"bucket": bucket, "cell": max(grid.ext) / 16} | STRUCTURES[structure])), xyz
+
+
+def _local_seconds(b: Bench, name: str, structure: str, curve: str, r: float, n: int | None) -> float:
+    """A search in a single structure, centres in the cloud's order too."""
+    tree, xyz = local_structure(b, name, structure, curve)
     q = xyz if n is None else xyz[np.sort(np.random.default_rng(7).choice(len(xyz), min(n, len(xyz)), replace=False))]
     began = time.perf_counter()
-    tree.radius(SPHERE, q, np.full(len(q), r), structure)
+    (tree.radius if structure == "ranges" else tree.hits)(SPHERE, q, np.full(len(q), r), structure)
     return time.perf_counter() - began
 
 
@@ -159,74 +174,79 @@ def w10(b: Bench, n: int = 300) -> list[Row]:
     return _order_effect(b, "morton", "hilbert", (*OWN, *BASELINES), n)
 
 
-def w11(b: Bench, n: int = 200) -> list[Row]:
-    return [b.knn(c, s, k, sets) for sets, c, s, k in product((n, None), ("ship", "event"), ("prune", "resolution", "kd_small", "kd_ten", "kd_sliding"), (1, 10, 50, 100, 300, 500))]
+def w11(b: Bench, n: int = 200, names: Iterable[str] = ("ship", "event"), sizes: Iterable[int] = (1, 10, 50, 100, 300, 500), sets: tuple[int | None, ...] = (0, None)) -> list[Row]:
+    """``sets``: 0 stands for the n sampled centres, None for all."""
+    return [b.knn(c, s, k, n if some == 0 else some) for some, c, s, k in product(sets, names, ("prune", "resolution", "kd_small", "kd_ten", "kd_sliding"), sizes)]
 
 
-def w12(b: Bench, cores: tuple[int, ...] = (1, 2, 4, 8), radii: tuple[float, ...] = (50.0, 200.0)) -> list[Row]:
+def w12(b: Bench, cores: tuple[int, ...] = (1, 2, 4, 8), radii: tuple[float, ...] = (50.0, 200.0), name: str = "ship", sets: tuple[int | None, ...] = (2000, None)) -> list[Row]:
     """Sessions of 1, 2, ... cores, each in a process of its own."""
     out = []
-    for structure, r in product(("ranges", "kd_ten"), radii):
+    for structure, r, n in product(("ranges", "kd_ten"), radii, sets):
         seconds = {}
         for p in cores:
-            done = subprocess.run([sys.executable, "-m", "curvetree.workloads", "--cores", str(p), "--sf-dir", b.dir, "--one", f"{structure}:{r}"], capture_output=True, text=True, check=True)
+            done = subprocess.run([sys.executable, "-m", "curvetree.workloads", "--cores", str(p), "--sf-dir", b.dir, "--one", f"{name}:{structure}:{r}:{n or 'all'}"], capture_output=True, text=True, check=True)
             seconds[p] = float(done.stdout.strip().splitlines()[-1])
         efficiency, gain = costs.parallel_efficiency(seconds), costs.speed_up(seconds)
-        out += [{"structure": structure, "r": r, "cores": p, "seconds": seconds[p], "efficiency": efficiency[p], "speed_up": gain[p]} for p in cores]
+        out += [{"cloud": name, "structure": structure, "r": r, "centres": n or "all", "cores": p, "seconds": seconds[p], "efficiency": efficiency[p], "speed_up": gain[p]} for p in cores]
     return out
 
 
-def w13(b: Bench) -> list[Row]:
+MADE = {"linear octree": "ranges", "pointer octree": "pointer", "non-complete octree": "noncomplete", "octree by resolution": "resolution", "kd-tree, leaf 10": "kd_ten", "kd-tree, leaf 1": "kd_small"}
+
+
+def w13(b: Bench, names: Iterable[str] = ("order", "event", "part")) -> list[Row]:
+    """Bytes of the arrays that each structure really holds, and their share of the cloud's."""
     out = []
-    for name in ("order", "event", "part"):
-        xyz, codes = b.xyz(name, "hilbert")
-        grid, size = fit_grid(b.cloud(name)), len(b.xyz(name, "hilbert")[0]) * costs.POINT_BYTES
-        box = (np.array(grid.lo), np.array(grid.lo) + np.array(grid.ext))
-        made = {"linear octree": LinearOctree(xyz, codes, grid, "hilbert", 128), "pointer octree": PointerTree(xyz, box, "pointer"), "non-complete octree": PointerTree(xyz, box, "noncomplete"), "kd-tree, leaf 10": PointerTree(xyz, box, "kd", 10), "kd-tree, leaf 1": PointerTree(xyz, box, "kd", 1)}
-        out += [{"cloud": name, "structure": s, "bytes": t.node_bytes(), "overhead": t.node_bytes() / size} for s, t in made.items()]
+    for name, (label, structure) in product(names, MADE.items()):
+        tree, xyz = local_structure(b, name, structure, "hilbert")
+        held = {label: tree.node_bytes()}
+        if structure == "ranges":
+            held["linear octree without boxes"] = tree.node_bytes(centres=False)
+        out += [{"cloud": name, "structure": k, "nodes": len(tree.lo), "points": len(xyz), "bytes": v, "overhead": v / (len(xyz) * costs.POINT_BYTES)} for k, v in held.items()]
     return out
 
 
-def w14(b: Bench) -> list[Row]:
+def w14(b: Bench, names: Iterable[str] = ("order", "event", "part")) -> list[Row]:
+    """What is measured against the model: with the published bytes of a node, and with those of this library's arrays."""
     out = []
-    for name in clouds.SPECS:
-        tree = build_tree(encode(b.cloud(name), fit_grid(b.cloud(name)), "hilbert"), 128, 21).cache()
-        rho = costs.node_ratio(tree).first()["rho"]
-        for r in costs.memory_table(tree).collect():
-            node, point = costs.STRUCTURE_BYTES[r["structure"]]
-            out.append({"cloud": name, "structure": r["structure"], "rho": rho, "measured": r["overhead"], "model": costs.expected_overhead(node, point, rho)})
-        tree.unpersist()
+    for name in names:
+        for label in costs.LAYOUT_BYTES:
+            tree, xyz = local_structure(b, name, MADE[label], "hilbert")
+            rho = len(tree.lo) / len(xyz)
+            row = {"cloud": name, "structure": label, "rho": rho, "measured": tree.node_bytes() / (len(xyz) * costs.POINT_BYTES), "model": costs.expected_overhead(*costs.LAYOUT_BYTES[label], rho)}
+            out.append(row | {"published_model": costs.expected_overhead(*costs.STRUCTURE_BYTES[label], rho)})
     return out
 
 
-def w15(b: Bench) -> list[Row]:
+def w15(b: Bench, names: Iterable[str] = ("order", "ship")) -> list[Row]:
     out = []
-    for name in ("order", "ship"):
+    for name in names:
         grid = fit_grid(b.cloud(name))
         coded = encode(b.cloud(name), grid, "hilbert").select("code").cache()
         coded.count()
         for method in ("blocks", "iterative"):
-            out.append({"cloud": name, "structure": f"linear octree, Spark, {method}", "seconds": costs.timed(lambda coded=coded, method=method: build_tree(coded, 128, 21, method=method))})
-        xyz, codes = b.xyz(name, "hilbert")
-        box = (np.array(grid.lo), np.array(grid.lo) + np.array(grid.ext))
-        makers: dict[str, Callable] = {"linear octree, one process": lambda: LinearOctree(xyz, codes, grid, "hilbert", 128), "pointer octree": lambda: PointerTree(xyz, box, "pointer"), "non-complete octree": lambda: PointerTree(xyz, box, "noncomplete"), "kd-tree, leaf 10": lambda: PointerTree(xyz, box, "kd", 10)}
-        for s, make in makers.items():
             began = time.perf_counter()
-            make()
-            out.append({"cloud": name, "structure": s, "seconds": time.perf_counter() - began})
+            nodes = build_tree(coded, 128, 21, method=method).count()
+            out.append({"cloud": name, "structure": f"linear octree, Spark, {method}", "nodes": nodes, "seconds": time.perf_counter() - began})
+        b.xyz(name, "hilbert")
+        for label, structure in MADE.items():
+            began = time.perf_counter()
+            tree, _ = local_structure(b, name, structure, "hilbert")
+            out.append({"cloud": name, "structure": f"{label}, one process", "nodes": len(tree.lo), "seconds": time.perf_counter() - began})
         coded.unpersist()
     return out
 
 
-def w16(b: Bench, n: int = 300) -> list[Row]:
-    return [b.radius(c, "prune", "sphere", 200.0, n, bucket=size) for c, size in product(("order", "event"), (16, 32, 64, 128, 256))]
+def w16(b: Bench, n: int = 300, names: Iterable[str] = ("order", "event"), buckets: Iterable[int] = (16, 32, 64, 128, 256)) -> list[Row]:
+    return [b.radius(c, "prune", "sphere", 200.0, n, bucket=size) for c, size in product(names, buckets)]
 
 
-def w17(b: Bench) -> list[Row]:
+def w17(b: Bench, names: Iterable[str] = tuple(clouds.SPECS), shares: Iterable[float] = (0.1, 0.01)) -> list[Row]:
     out = []
-    for name in ("order", "event", "embed", "text", "part"):
-        full = {r["curve"]: r["g1"] for r in locality.recommend_curve(b.cloud(name), 50, min(1.0, 20_000 / b.cloud(name).count())).collect()}
-        for share in (0.1, 0.01):
+    for name in names:
+        full = {r["curve"]: r["g1"] for r in locality.recommend_curve(b.cloud(name), 50, 1.0).collect()}
+        for share in shares:
             some = {r["curve"]: r["g1"] for r in locality.recommend_curve(b.cloud(name), 50, share).collect()}
             if some:
                 out.append({"cloud": name, "share": share, "choice": max(some, key=some.get), "full_choice": max(full, key=full.get), "error": abs(max(some.values()) - full[max(some, key=some.get)]) / full[max(some, key=some.get)]})
@@ -238,21 +258,17 @@ def w18(b: Bench) -> list[Row]:
     return [r.asDict() for r in octants(tree, 5).orderBy("level", "prefix").collect()]
 
 
-def w19(b: Bench) -> list[Row]:
+def w19(b: Bench, names: Iterable[str] = ("order", "event", "part")) -> list[Row]:
     out = []
-    for name, curve in product(("order", "event", "part"), CURVES):
+    for name, curve in product(names, CURVES):
         q = jump_profile(reorder(b.cloud(name), curve)).agg(F.expr("percentile(jump, array(0.25, 0.5, 0.75, 1))")).first()[0]
         out.append({"cloud": name, "curve": curve, **dict(zip(("q1", "q2", "q3", "longest"), q, strict=True))})
     return out
 
 
-def w20(b: Bench, n: int = 500) -> list[Row]:
-    """The same traversal, its output as coordinates and as ranges."""
-    out = []
-    for name, r in product(("order", "event"), (50.0, 200.0)):
-        row = b.radius(name, "ranges", "sphere", r, n, bucket=16)
-        out.append({k: row[k] for k in ("cloud", "r", "mu", "n_ranges", "output_ratio", "seconds")} | {"coordinate_bytes": 24 * row["mu"], "range_bytes": 16 * row["n_ranges"]})
-    return out
+def w20(b: Bench, n: int | None = 500, names: Iterable[str] = ("order", "event"), radii: Iterable[float] = (50.0, 200.0)) -> list[Row]:
+    """The same traversal, run once for each form of its result."""
+    return [b.radius(name, structure, "sphere", r, n, bucket=16, output=form) for name, r, (structure, form) in product(names, radii, (("ranges", "ranges"), ("prune", "indices"), ("prune", "coords")))]
 
 
-WORKLOADS = {f"W{i}": f for i, f in enumerate((w1, w2, w3, w4, w5, w6, w7, w8, w9, w10, w11, w12, w13, w14, w15, w16, w17, w18, w19, w20), 1)}
+WORKLOADS: dict[str, Callable[..., list[Row]]] = {f"W{i}": f for i, f in enumerate((w1, w2, w3, w4, w5, w6, w7, w8, w9, w10, w11, w12, w13, w14, w15, w16, w17, w18, w19, w20), 1)}

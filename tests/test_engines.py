@@ -82,6 +82,70 @@ def test_tree_invariants(spark, event):
     assert shapes[0] == shapes[1]
 
 
+def test_outputs_hold_the_same_neighbours(spark, event):
+    """Ranges, indices and coordinates of one search; only what they list differs."""
+    index, q = build_index(event, "hilbert", 16, 200), clouds.id_centres(event, 50)
+    place = {r["idx"]: r for r in index.points.collect()}
+    ranges = {r["cid"]: [i for s in r["ranges"] for i in range(s["lo"], s["hi"])] for r in tiles.merge_ranges(tiles.radius_tiles(index, q, SPHERE, 200.0), q).collect()}
+    for structure in ("prune", "leafscan", "pointer", "kd_ten"):
+        found = tiles.radius_tiles(index, q, SPHERE, 200.0, structure)
+        assert "ranges" not in found.columns
+        assert {r["cid"]: r["indices"] for r in tiles.merge_lists(found, q).collect()} == ranges
+    for structure, options in (("noncomplete", {}), ("prune", {"output": "coords"})):
+        got = {r["cid"]: [tuple(c) for c in r["coords"]] for r in tiles.merge_lists(tiles.radius_tiles(index, q, SPHERE, 200.0, structure, **options), q).collect()}
+        assert got == {c: sorted((place[i]["x"], place[i]["y"], place[i]["z"]) for i in ids) for c, ids in ranges.items()}
+    counts = {r["cid"]: r["n"] for r in tiles.radius_tiles(index, q, SPHERE, 200.0, output="count").groupBy("cid").agg(F.sum("n").alias("n")).collect()}
+    assert {c: counts.get(c, 0) for c in ranges} == {c: len(v) for c, v in ranges.items()}
+    sizes = {s: tiles.output_bytes(tiles.radius_tiles(index, q, SPHERE, 200.0, s)).first() for s in ("ranges", "prune", "noncomplete")}
+    assert sizes["prune"]["entries"] == sizes["prune"]["n"] == sizes["ranges"]["n"] > 3 * sizes["ranges"]["entries"]
+    assert sizes["noncomplete"]["bytes"] == 3 * sizes["prune"]["bytes"]
+
+
+def test_options(spark, event):
+    index, q = build_index(event, "hilbert", 16, 200), clouds.id_centres(event, 20)
+    own = {r["pid"]: r["idx"] for r in index.points.select("pid", "idx").collect()}
+    plain = {r["cid"]: r["indices"] for r in tiles.neighbours(index, q, SPHERE, 100.0, "prune").collect()}
+    without = {c: [i for i in v if i != own[c]] for c, v in plain.items()}
+    got = tiles.neighbours(index, q, SPHERE, 100.0, "prune", exclude_self=True, limit=3).collect()
+    assert {r["cid"]: (r["n"], r["indices"]) for r in got} == {c: (len(v), v[:3]) for c, v in without.items()}
+    got = tiles.neighbours(index, q, SPHERE, 100.0, exclude_self=True, min_count=10).collect()
+    assert {r["cid"]: [i for s in r["ranges"] for i in range(s["lo"], s["hi"])] for r in got} == {c: v for c, v in without.items() if len(v) >= 10}
+    assert all(r["n"] == len(without[r["cid"]]) for r in got)
+
+
+def test_unordered_cloud(spark, event):
+    """Points keep the order of acquisition; structures that need a curve refuse."""
+    index, q = build_index(event, "none", 16, 200), clouds.id_centres(event, 50)
+    assert [r["idx"] for r in index.points.orderBy("pid").collect()] == list(range(event.count()))
+    for structure in ("pointer", "resolution", "kd_sliding", "noncomplete"):
+        got = tiles.radius_summary(index, q, tiles.radius_tiles(index, q, SPHERE, 150.0, structure, cell=60.0))
+        costs.assert_same_set(got, relational.summarise(relational.radius_brute(event, q, SPHERE, 150.0), q))
+    costs.assert_same_set(tiles.knn_tiles(index, q, 7, "pointer").select("cid", "rank", "pid"), relational.knn_brute(event, q, 7).select("cid", "rank", "pid"))
+    with pytest.raises(ValueError):
+        tiles.radius_tiles(index, q, SPHERE, 1.0, "ranges")
+    with pytest.raises(ValueError):
+        tiles.knn_tiles(index, q, 1)
+
+
+def test_coincident_points_and_parts(spark, monkeypatch):
+    """A cell of the last level is cut into tiles by rank; searches read the folders of their tiles only."""
+    from curvetree.operators import reorder
+
+    monkeypatch.setattr(reorder, "PART_POINTS", 50)
+    cloud = spark.range(600).selectExpr("id as pid", "case when id < 400 then 5D else id / 1D end as x", "1D as y", "2D as z")
+    index = build_index(cloud, "hilbert", 8, 60)
+    assert index.parts == 12 and len(index.tiles) >= 10 and (index.tiles.idx_hi - index.tiles.idx_lo).max() <= 60
+    q = spark.createDataFrame([(7, 5.0, 1.0, 2.0), (580, 580.0, 1.0, 2.0)], "cid long, qx double, qy double, qz double")
+    for structure in ("ranges", "prune", "pointer"):
+        got = tiles.radius_summary(index, q, tiles.radius_tiles(index, q, SPHERE, 6.0, structure))
+        costs.assert_same_set(got, relational.summarise(relational.radius_brute(cloud, q, SPHERE, 6.0), q))
+    for method in ("batch", "bestfirst"):
+        costs.assert_same_set(tiles.knn_tiles(index, q, 405, method=method).select("cid", "rank", "pid"), relational.knn_brute(cloud, q, 405).select("cid", "rank", "pid"))
+    far = q.filter("cid = 580")
+    text = plan_text(tiles.radius_tiles(index, far, SPHERE, 6.0))
+    assert "PartitionFilters" in text and "part" in text.split("PartitionFilters")[1][:200]
+
+
 def test_saved_index(spark, event, tmp_path):
     index, q = build_index(event, "hilbert", 16, 300), clouds.sample_centres(event, 10)
     save_index(index, str(tmp_path / "ix"), 3)
@@ -99,6 +163,9 @@ def test_plans(spark, event):
         tiles.radius_tiles(index, q, SPHERE, 100.0),
         tiles.expand_ranges(tiles.merge_ranges(tiles.radius_tiles(index, q, SPHERE, 100.0)), index.points),
         tiles.knn_tiles(index, q, 5),
+        tiles.radius_summary(index, q, tiles.radius_tiles(index, q, SPHERE, 400.0)),
+        tiles.merge_lists(tiles.radius_tiles(index, q, SPHERE, 400.0, "prune"), q),
+        relational.knn_relational(event, clouds.id_centres(event, 50), 5, grid),
     ):
         assert problems(df) == []
     assert "BroadcastNestedLoopJoin" in problems(relational.radius_brute(event, q, SPHERE, 1.0))

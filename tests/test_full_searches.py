@@ -9,7 +9,7 @@ class Recorder:
     def __init__(self):
         self.sizes = []
 
-    def radius(self, name, structure, kernel, r, n, curve="hilbert", bucket=128):
+    def radius(self, name, structure, kernel, r, n, curve="hilbert", bucket=128, output=None):
         self.sizes.append((structure, n))
         return {}
 
