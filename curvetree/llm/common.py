@@ -3,14 +3,16 @@
 from __future__ import annotations
 
 import os
-import tempfile
-import uuid
 from collections.abc import Callable, Iterator
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..session import discard, materialise
+
+__all__ = ["connected_components", "discard", "map_columns", "materialise", "single_thread", "table", "tokenizer_path", "utf8_length"]
+
 
 def tokenizer_path(name: str) -> str:
     """Where a public vocabulary file lies; looked up on whichever machine asks."""
@@ -19,22 +21,6 @@ def tokenizer_path(name: str) -> str:
     return public_tokenizers.path(name)
 
 
-def scratch_dir(spark: SparkSession) -> str:
-    """The folder all executors share. A temporary one is set only where the session names none, as in tests."""
-    where = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
-    if not where:
-        where = "file://" + tempfile.mkdtemp(prefix="curvetree-")
-        spark.sparkContext.setCheckpointDir(where)
-    return where
-
-
-def materialise(df: DataFrame, name: str) -> DataFrame:
-    """Write a table to the shared folder and read it back: cuts lineage and survives lost executors."""
-    path = f"{scratch_dir(df.sparkSession)}/{name}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
-
-
 def map_columns(df: DataFrame, fn: Callable[..., list], schema: str, columns: list[str]) -> DataFrame:
     """Arrow map: ``fn`` gets the named columns of a batch as Arrow arrays and returns the output columns."""
     names = [part.split()[0] for part in schema.split(", ")]
@@ -72,7 +58,8 @@ def connected_components(edges: DataFrame, left: str = "src", right: str = "dst"
         large = large.union(least.filter("u <> m").select("u", "m")).distinct()
         low = large.groupBy("hi").agg(F.min("lo").alias("m"))
         small = large.join(low, "hi").filter("lo <> m").select(F.col("lo").alias("hi"), F.col("m").alias("lo"))
-        pairs = materialise(small.union(low.select("hi", "m")).distinct(), "edges")
+        last, pairs = pairs, materialise(small.union(low.select("hi", "m")).distinct(), "edges")
+        discard(last)
     inner = pairs.select(F.col("hi").alias("node"), F.col("lo").alias("component"))
     return inner.union(pairs.select(F.col("lo"), F.col("lo")).distinct())
 
