@@ -69,7 +69,7 @@ class Classifier:
     low: int
     high: int
     slots: int
-    room: int = 500_000
+    room: int = 24_000_000
     parts: dict[str, float] = field(default_factory=dict)
     table: np.ndarray | None = None
 
@@ -102,7 +102,11 @@ class Classifier:
         for words in own:
             margin = self.bias + math.fsum(map(parts.__getitem__, words))  # exact, whatever the order of a set
             out.append(1 / (1 + math.exp(-max(-50.0, min(50.0, margin)))))
-        for w in fresh[: max(0, len(parts) - self.room)]:
+        # words are remembered up to ``room`` bytes, each counted with its entry's overhead
+        sizes = np.cumsum([len(w) + 120 for w in fresh])
+        n = int(np.searchsorted(sizes, self.room, side="right"))
+        self.room -= int(sizes[n - 1]) if n else 0
+        for w in fresh[n:]:
             del parts[w]
         return out
 
@@ -162,14 +166,28 @@ def held_out(key: F.Column) -> F.Column:
 
 
 def fit(docs: DataFrame, labels: DataFrame, sample: int = 2000, key: str = "doc_id", text: str = "text", label: str = "toxic", **options) -> Classifier:
-    """A classifier from labelled rows outside the held-out third; at most ``sample`` of each label, so 2 * sample rows are broadcast and collected."""
+    """A classifier from labelled rows outside the held-out third; at most ``sample`` of each label, so 2 * sample keys are
+    broadcast and as many texts meet in one task, which trains. Only the weights come to the driver."""
     own = labels.select(F.col(key).alias("__k"), F.col(label).cast("int").alias("__y")).filter(F.col("__k").isNotNull() & F.col("__y").isin(0, 1) & ~held_out(F.col("__k")))
     own = own.withColumn("__h", F.xxhash64("__k"))
     chosen = [own.filter(F.col("__y") == y).orderBy("__h", "__k").limit(sample) for y in (1, 0)]
     picked = chosen[0].union(chosen[1]).dropDuplicates(["__k"])
-    rows = docs.select(F.col(key).alias("__k"), F.col(text).alias("__t")).join(F.broadcast(picked), "__k").select("__k", "__t", "__y").collect()
-    rows.sort(key=lambda r: (r[0], r[1] or ""))
-    return train([r[1] for r in rows], [r[2] for r in rows], **options)
+    rows = docs.select(F.col(key).alias("__k"), F.col(text).alias("__t")).join(F.broadcast(picked), "__k").select("__k", "__t", "__y")
+
+    def learn(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        texts, toxic = [], []
+        for batch in batches:
+            texts += batch.column(0).to_pylist()
+            toxic += batch.column(1).to_pylist()
+        if texts:
+            m = train(texts, toxic, **options)
+            yield pa.RecordBatch.from_arrays([pa.array([m.places.tolist()], pa.list_(pa.int64())), pa.array([m.weights.tolist()], pa.list_(pa.float64())), pa.array([m.bias])], names=["places", "weights", "bias"])
+
+    one = rows.repartition(1).sortWithinPartitions("__k", F.col("__t").asc_nulls_first()).select("__t", "__y")
+    made, empty = one.mapInArrow(learn, "places array<long>, weights array<double>, bias double").first(), train([], [], **options)
+    if made is None:
+        return empty
+    return Classifier(np.array(made["places"], np.int64), np.array(made["weights"]), made["bias"], empty.low, empty.high, empty.slots)
 
 
 def score_documents(docs: DataFrame, model: Classifier, threshold: float = 0.7, key: str = "doc_id", text: str = "text") -> DataFrame:
