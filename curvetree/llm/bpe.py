@@ -2,7 +2,7 @@
 
 The distinct words of a partition's block lie end to end in one array of symbols. An index maps each adjacent pair to
 all its positions. Ranks that occur are taken in ascending order; all positions of a pair are merged at once and the
-lists of the pairs so broken and made are brought up to date. Words already seen are kept in a bounded table.
+lists of the pairs so broken and made are brought up to date. Words already seen are kept in tables of bounded bytes.
 
 Null and empty texts give no tokens. Strings of special tokens inside a text become the special token, as the
 tokenizers library does by default. Texts of any length are handled whole, in blocks of bounded size.
@@ -41,7 +41,7 @@ ONE = np.ones(1, bool)
 
 
 class ByteBpe:
-    def __init__(self, path: str, room: int = 400_000, block_bytes: int = 24_000_000):
+    def __init__(self, path: str, room: int = 48_000_000, block_bytes: int = 24_000_000):
         with open(path, encoding="utf-8") as f:
             spec = json.load(f)
         alphabet, vocab = byte_alphabet(), spec["model"]["vocab"]
@@ -59,7 +59,7 @@ class ByteBpe:
         self.split = regex.compile("(" + "|".join(map(regex.escape, self.special)) + ")") if self.special else None
         self.known: dict[str, bytes] = {}
         self.stems: dict[str, bytes] = {}
-        self.room, self.block_bytes = room, block_bytes
+        self.room, self.block_bytes = [room, room], block_bytes
 
     def _active(self, left: np.ndarray, right: np.ndarray) -> np.ndarray:
         """The rank of each pair, or -1."""
@@ -144,8 +144,11 @@ class ByteBpe:
         made = {k: b"".join(map(get, own)) for k, own in parts.items()} | {"": b""}
         get = _Both(self.known, made).__getitem__
         out = [b"".join(map(get, own)) for own in keys]
-        for memo, new in ((self.stems, table), (self.known, made)):
-            memo.update(islice(new.items(), max(0, self.room - len(memo))))
+        for i, (memo, new) in enumerate(((self.stems, table), (self.known, made))):
+            sizes = np.cumsum([len(k) + len(v) + 100 for k, v in new.items()])  # with the overhead of an entry
+            n = int(np.searchsorted(sizes, self.room[i], side="right"))
+            memo.update(islice(new.items(), n))
+            self.room[i] -= int(sizes[n - 1]) if n else 0
         return out
 
     def _keys(self, text: str) -> list[str]:

@@ -87,7 +87,8 @@ def hub_links(reps: DataFrame, max_distance: int, segment_count: int, hubs: int
 def links(reps: DataFrame, max_distance: int, segment_count: int, node: str = "node", fp: str = "fp", group: str | None = None) -> DataFrame:
     """(src, dst) for all pairs of distinct fingerprints within max_distance. A pair may appear more than once.
 
-    With ``group`` src and dst are the groups of all such pairs that lie in two groups."""
+    With ``group`` src and dst are the groups of all such pairs that lie in two groups. Keys at which fewer than two
+    groups meet go first, so a dense group that shares a key is not compared within itself."""
     if BITS // segment_count > 57 or segment_count < 2:
         raise ValueError("at least two segments")
     probe, stored = [], []
@@ -99,6 +100,10 @@ def links(reps: DataFrame, max_distance: int, segment_count: int, node: str = "n
     a = reps.select(F.col(end).alias("src"), F.col(fp).alias("fa"), F.explode(F.array(*probe)).alias("k"))
     b = reps.select(F.col(end).alias("dst"), F.col(fp).alias("fb"), F.explode(F.array(*stored)).alias("k"))
     near = F.bit_count(F.col("fa").bitwiseXOR(F.col("fb"))) <= max_distance
+    seen = a.select("k", F.col("src").alias("g"), F.lit(1).alias("side")).union(b.select("k", F.col("dst").alias("g"), F.lit(2).alias("side")))
+    meet = seen.groupBy("k").agg(F.min("g").alias("lo"), F.max("g").alias("hi"), F.bit_or("side").alias("sides")).filter("lo <> hi and sides = 3").select("k")
+    meet = materialise(meet, "meeting-keys")
+    a, b = a.join(meet, "k", "left_semi"), b.join(meet, "k", "left_semi")
     return a.join(b, (a.k == b.k) & (F.col("src") < F.col("dst")) & near).select("src", "dst")
 
 

@@ -23,7 +23,8 @@ RUN = re.compile(f"{SPACE}*[^{SPACE}]+|{SPACE}+")
 
 
 class _Memo(dict):
-    """Remembers up to ``room`` answers of ``fn``; beyond that it computes them anew."""
+    """Remembers answers of ``fn`` for keys of up to ``room`` characters together (each counted with 64 more, its overhead);
+    beyond that it computes them anew."""
 
     def __init__(self, fn, room: int):
         super().__init__()
@@ -31,7 +32,8 @@ class _Memo(dict):
 
     def __missing__(self, key):
         value = self.fn(key)
-        if len(self) < self.room:
+        if self.room >= len(key) + 64:
+            self.room -= len(key) + 64
             self[key] = value
         return value
 
@@ -39,7 +41,7 @@ class _Memo(dict):
 class PieceCounter:
     """Token counts as a piece model with byte fallback gives them, without begin and end tokens."""
 
-    def __init__(self, model_file: str, room: int = 400_000):
+    def __init__(self, model_file: str, room: int = 32_000_000):
         import sentencepiece
 
         model = sentencepiece.SentencePieceProcessor(model_file=model_file)

@@ -92,22 +92,28 @@ def split_url(url: F.Column) -> tuple[F.Column, F.Column]:
 
 
 def build_cascades(parts: DataFrame, rules: Rules) -> tuple[Cascade, Cascade]:
-    """From ``parts`` (host, path): one pass counts the distinct keys, one finds the first level's mistakes."""
+    """From ``parts`` (host, path): one pass finds the first level's mistakes among the keys of all rows. Of a path only
+    as much is shuffled as a rule can have."""
     lengths, listed = rules.lengths(), sorted(rules.verdicts)
 
     def offered(hosts, paths):
         return [[k for h, p in zip(hosts.to_pylist(), paths.to_pylist(), strict=True) for k in key_candidates(h, p, lengths)]]
 
-    universe = map_columns(parts.distinct(), offered, "key string", ["host", "path"])
-    size = universe.agg(F.approx_count_distinct("key")).first()[0]
+    size, known = parts.count() * 8, frozenset(listed)  # rows from file footers; a URL offers a few keys
+    universe = parts.select("host", F.substring("path", 1, max(lengths, default=0)).alias("path")).distinct()
     rate = min(0.5, max(1e-9, len(listed) * math.sqrt(0.5) / max(1, size)))
-    first = Bloom(listed, rate, 0)
-    known = frozenset(listed)
-
-    def passed(keys):
-        return [[k for k in {*keys.to_pylist()} if k not in known and k in first]]
-
-    mistakes = [r[0] for r in map_columns(universe, passed, "key string", ["key"]).distinct().collect()]  # about len(listed), at any size
+    while True:
+        first = Bloom(listed, rate, 0)
+
+        def passed(hosts, paths, first=first):
+            keys = {k for own in offered(hosts, paths) for k in own}
+            return [[k for k in keys if k not in known and k in first]]
+
+        most = max(1000, 100 * len(listed))
+        mistakes = [r[0] for r in map_columns(universe, passed, "key string", ["host", "path"]).distinct().limit(most + 1).collect()]
+        if len(mistakes) <= most:  # about len(listed), at any size
+            break
+        rate /= 64
     blocked = [k for k in listed if rules.verdicts[k] == "block"]
     gate = Bloom(blocked or [""], 0.5, 0)
     return Cascade.build(first, listed, mistakes), Cascade.build(gate, blocked, [k for k in listed if rules.verdicts[k] != "block" and k in gate])

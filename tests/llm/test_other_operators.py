@@ -172,6 +172,59 @@ def test_sniffing(kind, blob):
     assert media.sniff(blob[:-1])[0] == "unknown" and media.sniff(blob[:-1])[2] == []
 
 
+def flac(frames: int, total: int | None = None) -> bytes:
+    """Mono, 16 bits, 192 constant samples a frame."""
+
+    def crc(data: bytes, poly: int, bits: int) -> int:
+        v = 0
+        for x in data:
+            v ^= x << bits - 8
+            for _ in range(8):
+                v = (v << 1 ^ (poly if v >> bits - 1 else 0)) & (1 << bits) - 1
+        return v
+
+    n = frames * 192 if total is None else total
+    info = struct.pack(">HH", 192, 192) + b"\0" * 6 + (44100 << 44 | 0 << 41 | 15 << 36 | n).to_bytes(8, "big") + b"\0" * 16
+    out = b"fLaC" + struct.pack(">I", 0x80 << 24 | 34) + info
+    for i in range(frames):
+        head = bytes([0xFF, 0xF8, 0x19, 0x08, i])
+        frame = head + bytes([crc(head, 7, 8)]) + b"\0" + struct.pack(">h", 300 * i - 99)
+        out += frame + struct.pack(">H", crc(frame, 0x8005, 16))
+    return out
+
+
+def riff(form: bytes, *chunks: tuple[bytes, bytes]) -> bytes:
+    body = b"".join(n + struct.pack("<I", len(d)) + d + b"\0" * (len(d) % 2) for n, d in chunks)
+    return b"RIFF" + struct.pack("<I", 4 + len(body)) + form + body
+
+
+@pytest.mark.parametrize(("kind", "blob"), [("flac", flac(3)), ("flac", flac(1)), ("webp", riff(b"WEBP", (b"VP8L", b"/abcd"))), ("avi", riff(b"AVI ", (b"LIST", b"hdrlabcd"), (b"LIST", b"movi"))), ("pdf", PDF + b"\n1 0 obj\nendobj\nstartxref\n9\n%%EOF")])
+def test_true_lengths(kind, blob):
+    assert media.sniff(blob) == (kind, len(blob), [])
+    assert media.sniff(b"junk" + blob + png() + b"tail")[2] == [(kind, 4, len(blob)), ("png", 4 + len(blob), len(png()))]
+
+
+def test_empty_forms_are_no_media():
+    for blob in (riff(b"WEBP"), riff(b"AVI "), riff(b"WEBP", (b"VP8 ", b"")), riff(b"WAVE", (b"data", b"ab")), flac(3)[:-9], flac(3, 999)):
+        assert media.sniff(blob) == ("unknown", 0, [])
+    unknown_total = flac(3, 0)
+    assert media.sniff(unknown_total) == ("flac", len(unknown_total), [])
+
+
+@pytest.mark.parametrize("text", [b"%PDF-1.4 startxref ", b"%PDF-", b"GIF89a!!!!!!!!!!!!!!!!!", b"GIF89a", b"\xff\xd8\xff\xe0\0\4ab\xff\xda\0\4cd", b"RIFF\x20\0\0\0WAVE", b"fLaC"])
+def test_repeated_magic_takes_linear_time(text):
+    import time
+
+    blob = text * (5_000_000 // len(text))
+    began = time.perf_counter()
+    media.sniff(blob)
+    assert time.perf_counter() - began < 15  # seconds; minutes if it were quadratic
+
+
+def test_sniffing_an_empty_table(spark):
+    assert media.sniff_column(spark.createDataFrame([], "id long, blob binary"), "id", "blob").count() == 0
+
+
 def test_media_columns(spark):
     inside = media.to_wav(b"ab" + png() + GIF)
     rows = [(1, inside, "image/png"), (2, None, None), (3, b"", "wav"), (4, png(), "png"), (5, b"RIFF\xff\xff\xff\xffWAVE", "wav")]
@@ -218,9 +271,26 @@ def test_tile_bounds_lose_nothing():
     x[150:] = x[:150] + rng.normal(size=(150, 64)) * np.linspace(0.2, 0.8, 150)[:, None]
     unit = x / np.linalg.norm(x, axis=1, keepdims=True)
     for t in (0.5, 0.8, 0.9):
-        i, j = embeddings.tile_links(x, None, t)
+        i, j, sure = embeddings.tile_links(embeddings.Coded.of(embeddings.units(x)), None, t)
         want = {(a, b) for a in range(300) for b in range(a + 1, 300) if (unit[a] * unit[b]).sum() >= t}
-        assert set(zip(i.tolist(), j.tolist(), strict=True)) == want
+        found = set(zip(i.tolist(), j.tolist(), strict=True))
+        assert want <= found and set(zip(i[sure].tolist(), j[sure].tolist(), strict=True)) <= want and (~sure).sum() <= 3
+
+
+def test_links_at_the_ends_of_the_doubles(spark):
+    """The least and the largest numbers: true cosines, no overflow, no underflow."""
+    rows = [(1, [5e-324, 5e-324]), (2, [1.0, 0.0]), (3, [1.7e308, 1.7e308]), (4, [1.0, 1.0]), (5, [-1.7e308, 1.7e308]), (6, [1e-310, 0.0])]
+    got = {r["vec_id"]: (r["n_links"], r["component_id"]) for r in embeddings.embedding_links(spark.createDataFrame(rows, "vec_id long, embedding array<double>")).collect()}
+    assert got == {1: (2, 1), 3: (2, 1), 4: (2, 1), 2: (1, 2), 6: (1, 2), 5: (0, 5)}
+
+
+def test_open_pairs_are_decided_exactly(spark):
+    """Cosines a hair on either side of the threshold."""
+    rows = [(0, [1.0] + [0.0] * 15)]
+    for i, c in enumerate((0.9 - 1e-9, 0.9 - 1e-12, 0.9 + 1e-12, 0.9 + 1e-9), 1):
+        rows.append((i, [c] + [0.0] * i + [float(np.sqrt(1 - c * c))] + [0.0] * (14 - i)))
+    got = {r["vec_id"]: r["n_links"] for r in embeddings.embedding_links(spark.createDataFrame(rows, "vec_id long, embedding array<double>")).collect()}
+    assert got == {0: 2, 1: 0, 2: 0, 3: 1, 4: 1}
 
 
 # -- 8 ----------------------------------------------------------------------------------------------------------------
