@@ -40,28 +40,28 @@ def main() -> None:
     run("build_index", lambda: kept.update(index=build_index(ship, "hilbert", 128, 75_000, grid)))
     index = kept["index"]
     run("build_octree", lambda: build_tree(index.points, 128, 21).count())
-    q = clouds.sample_centres(ship, 5000).cache()
-    q.count()
-    for structure in ("leafscan", "prune", "ranges"):
-        run(f"radius_{structure}_r100", lambda s=structure: drop(tiles.radius_tiles(index, q, SPHERE, 100.0, s)))
-    run("radius_ranges_r200", lambda: drop(tiles.radius_tiles(index, q, SPHERE, 200.0)))
-    some = clouds.sample_centres(ship, 500).cache()
-    for structure in ("pointer", "noncomplete", "kd_ten"):
+    q, some = (clouds.sample_centres(ship, n).cache() for n in (5000, 500))
+    q.count(), some.count()
+    drop(tiles.radius_tiles(index, some, SPHERE, 50.0))  # warms the search up
+    for r in (100, 200):
+        for structure in ("leafscan", "prune", "ranges"):
+            run(f"radius_{structure}_r{r}", lambda s=structure, r=r: drop(tiles.radius_tiles(index, q, SPHERE, float(r), s)))
+    run("radius_prune_coords_r200", lambda: drop(tiles.radius_tiles(index, q, SPHERE, 200.0, "prune", output="coords")))
+    for structure in ("pointer", "noncomplete", "kd_ten", "ranges"):
         run(f"radius_{structure}_r100_500", lambda s=structure: drop(tiles.radius_tiles(index, some, SPHERE, 100.0, s)))
-    run("radius_ranges_r100_500", lambda: drop(tiles.radius_tiles(index, some, SPHERE, 100.0)))
     run("radius_gridjoin_r100", lambda: drop(relational.radius_gridjoin(ship, q, SPHERE, 100.0, grid)))
-    run("radius_full_order_r50", lambda: _full(spark, drop))
+    order = clouds.load(spark, SF_DIR, "order")
+    full = build_index(order, "hilbert", 128, 20_000)
+    every = clouds.all_centres(full.points)
+    for structure in ("pointer", "prune", "ranges"):
+        run(f"radius_full_{structure}_order_r50", lambda s=structure: drop(tiles.radius_tiles(full, every, SPHERE, 50.0, s)))
+    loose = build_index(order, "none", 128, 20_000)
+    run("radius_full_pointer_none_order_r50", lambda: drop(tiles.radius_tiles(loose, clouds.all_centres(loose.points), SPHERE, 50.0, "pointer")))
     run("knn_k50_500", lambda: drop(tiles.knn_tiles(index, some, 50)))
-    run("knn_k50_relational_500", lambda: drop(relational.knn_relational(ship, some, 50, grid, 5)))
+    run("knn_k50_bestfirst_500", lambda: drop(tiles.knn_tiles(index, some, 50, method="bestfirst")))
+    run("knn_k50_relational_500", lambda: drop(relational.knn_relational(ship, some, 50, grid)))
     run("curve_choice", lambda: locality.recommend_curve(clouds.load(spark, SF_DIR, "event"), 50, 0.01).collect())
     print(json.dumps({"metric": "total_seconds", "value": round(sum(took.values()), 3), "unit": "sec", "queries": took, "sf": os.path.basename(SF_DIR)}))
 
 
-def _full(spark, drop) -> None:
-    """Every point a centre."""
-    cloud = clouds.load(spark, SF_DIR, "order")
-    index = build_index(cloud, "hilbert", 128, 20_000)
-    drop(tiles.radius_tiles(index, clouds.all_centres(cloud), SPHERE, 50.0))
-
-
 main()

@@ -2,8 +2,8 @@
 
 from __future__ import annotations
 
-from . import relational_ops, searches, structure
+from . import experiments, relational_ops, searches, structure
 
-MODULES = (structure, searches, relational_ops)
+MODULES = (structure, searches, relational_ops, experiments)
 QUERIES = {name: fn for m in MODULES for name, fn in m.QUERIES.items()}
 ORACLE = {name: sql for m in MODULES for name, sql in m.ORACLE.items()}
