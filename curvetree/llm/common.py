@@ -42,16 +42,17 @@ def connected_components(edges: DataFrame, left: str = "src", right: str = "dst"
 
     Alternates two contractions, each one aggregation (combined before the shuffle) and one join that Spark may
     split: every node first hands its larger neighbours to the smallest one it sees, then its smaller ones. Ends
-    when a round changes nothing. Nodes without edges do not appear. Edges with a null end or equal ends are ignored.
+    when each component is a star around its smallest node, so links that are stars already take no round. Nodes
+    without edges do not appear. Edges with a null end or equal ends are ignored.
     """
     a, b = F.col(left), F.col(right)
     pairs = edges.filter(a != b).select(F.greatest(a, b).alias("hi"), F.least(a, b).alias("lo")).distinct()
-    pairs, before = materialise(pairs, "edges"), None
+    pairs = materialise(pairs, "edges")
     while True:
-        mark = pairs.agg(F.count("*"), F.bit_xor(F.xxhash64("hi", "lo"))).first()
-        if mark == before or not mark[0]:
+        ends = pairs.select(F.col("hi").alias("u"), F.lit(1).alias("up"), F.lit(0).alias("down")).union(pairs.select("lo", F.lit(0), F.lit(1)))
+        ends = ends.groupBy("u").agg(F.sum("up").alias("up"), F.max("down").alias("down"))
+        if not ends.filter("up + down > 1 and up > 0").count():
             break
-        before = mark
         both = pairs.select(F.col("hi").alias("u"), F.col("lo").alias("v")).union(pairs.select("lo", "hi"))
         least = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
         large = both.filter("v > u").join(least, "u").filter("v <> m").select(F.col("v").alias("hi"), F.col("m").alias("lo"))
