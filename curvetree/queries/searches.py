@@ -24,16 +24,18 @@ CLOUD, RADIUS, BUCKET, TILE_POINTS, K, FULL_RADIUS = "event", 200.0, 16, 2000, 2
 _INDEXES: dict[tuple, Index] = {}
 
 
-def index_of(spark: SparkSession, d: str, name: str = CLOUD, curve: str = "hilbert", bucket: int = BUCKET, tile_points: int = TILE_POINTS) -> Index:
-    """The index of a cloud; built once a session, as its tables are stored."""
-    key = (spark.sparkContext.applicationId, d, name, curve, bucket, tile_points)
+def index_of(spark: SparkSession, d: str, name: str = CLOUD, curve: str = "hilbert", bucket: int = BUCKET, tile_points: int = TILE_POINTS, box: str = "axis") -> Index:
+    """The index of a cloud; built once a session, as its tables are stored. Nearest neighbours are searched on a ``cubic``
+    grid: octants as long as they are wide give tight bounds, whatever the extents of the axes."""
+    key = (spark.sparkContext.applicationId, d, name, curve, bucket, tile_points, box)
     if key not in _INDEXES:
-        _INDEXES[key] = build_index(clouds.load(spark, d, name), curve, bucket, tile_points)
+        cloud = clouds.load(spark, d, name)
+        _INDEXES[key] = build_index(cloud, curve, bucket, tile_points, fit_grid(cloud, box=box))
     return _INDEXES[key]
 
 
-def indexed(spark: SparkSession, d: str, curve: str = "hilbert", name: str = CLOUD) -> tuple[Index, DataFrame]:
-    return index_of(spark, d, name, curve), clouds.id_centres(clouds.load(spark, d, name))
+def indexed(spark: SparkSession, d: str, curve: str = "hilbert", name: str = CLOUD, box: str = "axis") -> tuple[Index, DataFrame]:
+    return index_of(spark, d, name, curve, box=box), clouds.id_centres(clouds.load(spark, d, name))
 
 
 def by_tiles(kernel: str, structure: str, curve: str, spark: SparkSession, d: str) -> DataFrame:
@@ -127,17 +129,17 @@ def neighbour_options(spark: SparkSession, d: str) -> DataFrame:
 
 
 def knn(structure: str, method: str, spark: SparkSession, d: str) -> DataFrame:
-    index, q = indexed(spark, d)
+    index, q = indexed(spark, d, box="cubic")
     return tiles.knn_tiles(index, q, K, structure, cell=40.0, method=method).select("cid", "rank", "pid")
 
 
 def knn_full(spark: SparkSession, d: str) -> DataFrame:
-    index = index_of(spark, d, "part")
+    index = index_of(spark, d, "part", box="cubic")
     return tiles.knn_tiles(index, clouds.all_centres(index.points), K).select("cid", "rank", "pid")
 
 
 def knn_unordered(spark: SparkSession, d: str) -> DataFrame:
-    index, q = indexed(spark, d, "none")
+    index, q = indexed(spark, d, "none", box="cubic")
     return tiles.knn_tiles(index, q, K, "pointer").select("cid", "rank", "pid")
 
 
@@ -165,11 +167,14 @@ def mu(spark: SparkSession, d: str) -> DataFrame:
     return tiles.union_all([costs.mean_neighbours(relational.summarise(relational.radius_gridjoin(p, q, kernel, 50.0, grid), q)).select(F.lit(name).alias("kernel"), "mu", "centres") for name, kernel in KERNELS.items()])
 
 
-def _gaps(spark: SparkSession, d: str, name: str = "part", share: float = 1.0, k: int = 50, curves: tuple[str, ...] = ("none", "morton", "hilbert")) -> DataFrame:
+def _lists(spark: SparkSession, d: str, name: str = "part", share: float = 1.0, k: int = 50, curves: tuple[str, ...] = ("none", "morton", "hilbert")) -> DataFrame:
     p = clouds.load(spark, d, name)
-    index = index_of(spark, d, name, bucket=32)
-    found = tiles.knn_tiles(index, clouds.share_of_centres(p, share), k)
-    return locality.knn_gaps(found, locality.ranks(p, index.grid, curves))
+    index = index_of(spark, d, name, bucket=32, box="cubic")
+    return locality.neighbour_ranks(index, p, clouds.share_of_centres(p, share), k, fit_grid(p), curves)
+
+
+def _gaps(spark: SparkSession, d: str, *args, **options) -> DataFrame:
+    return locality.list_gaps(_lists(spark, d, *args, **options))
 
 
 def histogram(curve: str, spark: SparkSession, d: str) -> DataFrame:
@@ -216,7 +221,7 @@ def invariants(spark: SparkSession, d: str) -> DataFrame:
 
 
 def blocks(spark: SparkSession, d: str) -> DataFrame:
-    return locality.blocks_touched(_gaps(spark, d), 2)
+    return locality.blocks_touched(_lists(spark, d), 2)
 
 
 def lru(spark: SparkSession, d: str) -> DataFrame:
@@ -253,9 +258,9 @@ def components(spark: SparkSession, d: str) -> DataFrame:
 
 
 def shared(spark: SparkSession, d: str) -> DataFrame:
-    p, index = clouds.load(spark, d, "part"), index_of(spark, d, "part", bucket=32)
+    p, index = clouds.load(spark, d, "part"), index_of(spark, d, "part", bucket=32, box="cubic")
     found = tiles.knn_tiles(index, clouds.all_centres(p), 10)
-    ranked = locality.ranks(p, index.grid, ("morton",)).select("pid", "idx")
+    ranked = locality.ranks(p, fit_grid(p), ("morton",)).select("pid", "idx")
     return features.shared_neighbours(found.select("cid", "pid"), ranked)
 
 

@@ -43,11 +43,16 @@ class Bench:
         self.spark, self.dir, self.tile_points, self.runs = spark, sf_dir, tile_points, runs
         self.cloud = cache(lambda name: clouds.load(spark, sf_dir, name).cache())
         self.index = cache(self._index)
+        self.cube = cache(self._cube)
         self.xyz = cache(self._xyz)
 
     def _index(self, name: str, curve: str = "hilbert", bucket: int = 128) -> Index:
         return build_index(self.cloud(name), curve, bucket, self.tile_points)
 
+    def _cube(self, name: str, curve: str = "hilbert") -> Index:
+        """For nearest neighbours: a grid of cubes."""
+        return build_index(self.cloud(name), curve, 128, self.tile_points, fit_grid(self.cloud(name), box="cubic"))
+
     def _xyz(self, name: str, curve: str) -> tuple[np.ndarray, np.ndarray]:
         """A cloud on the driver in an order, for measures of single structures (clouds of tests only)."""
         grid = fit_grid(self.cloud(name))
@@ -78,7 +83,7 @@ class Bench:
         return {"cloud": name, "structure": structure, "kernel": kernel, "r": r, "curve": curve, "bucket": bucket, "centres": size, "n": total, "pid_sum": int(facts[2] or 0), "mu": total / size, "seconds": seconds / self.runs, "form": form, "entries": listed, "bytes": listed * ENTRY_BYTES.get(form, 0), **work}
 
     def knn(self, name: str, structure: str, k: int, n: int | None, curve: str = "hilbert") -> Row:
-        index = self.index(name, curve, 128)
+        index = self.cube(name, curve)
         q, out, seconds = self.centres(name, n, index), None, 0.0
         for _ in range(self.runs):
             began = time.perf_counter()
@@ -120,7 +125,7 @@ def w7(b: Bench, k: int = 50, names: Iterable[str] = tuple(clouds.SPECS), shares
             q = clouds.share_of_centres(cloud, share)
             if q.isEmpty():
                 continue
-            gaps = locality.knn_gaps(knn_tiles(b.index(name), q, k), ranked).cache()
+            gaps = locality.knn_gaps(knn_tiles(b.cube(name), q, k), ranked).cache()
             blocks = {r["curve"]: r["blocks"] for r in locality.blocks_touched(gaps).collect()}
             lru = {r["curve"]: r["misses_per_centre"] for r in locality.lru_misses(gaps).collect()}
             for r in locality.summary(locality.histogram(gaps)).collect():
