@@ -54,3 +54,32 @@ def test_ball_cover_joins_few_cells_of_a_long_cloud(spark, long_cloud, monkeypat
     monkeypatch.undo()
     costs.assert_same_set(got, relational.knn_brute(long_cloud, q, 5).select("cid", "rank", "pid"))
     assert seen[0] <= 40 * 100
+
+
+def test_lateral_ranks_are_ordered(spark, sf_dir):
+    from curvetree.plans.checks import plan_text
+    from curvetree.queries import relational_ops
+
+    windows = [line for line in plan_text(relational_ops.QUERIES["op_join_lateral"](spark, sf_dir)).splitlines() if "windowspecdefinition" in line]
+    assert windows and all("o_totalprice" in line for line in windows)
+
+
+@pytest.mark.parametrize("name, table", [("curve_continuity", "orders"), ("overhead_model", "events")])
+def test_reads_a_table(spark, sf_dir, name, table):
+    from curvetree.queries import structure
+
+    assert any(f"/{table}.parquet" in f for f in read_files(spark, structure.QUERIES[name], sf_dir))
+
+
+def read_files(spark, query, sf_dir) -> set[str]:
+    """The files that Spark's scans are asked for while a query is built and run."""
+    seen, load = set(), type(spark.read).parquet
+
+    def spy(self, *paths, **options):
+        seen.update(paths)
+        return load(self, *paths, **options)
+
+    with pytest.MonkeyPatch.context() as patch:
+        patch.setattr(type(spark.read), "parquet", spy)
+        query(spark, sf_dir).collect()
+    return seen
