@@ -91,11 +91,17 @@ def links(reps: DataFrame, max_distance: int, segment_count: int, node: str = "n
     groups meet go first, so a dense group that shares a key is not compared within itself."""
     if BITS // segment_count > 57 or segment_count < 2:
         raise ValueError("at least two segments")
-    probe, stored = [], []
+    probe, stored, once = [], [], F.lit(False)
     for i, ((shift, width), r) in enumerate(zip(segments(segment_count), radii(max_distance, segment_count), strict=True)):
         if r >= 0:
             probe += _ball(F.col(fp), i, shift, width, r - r // 2)
             stored += _ball(F.col(fp), i, shift, width, r // 2)
+            part = lambda c, shift=shift, width=width: F.shiftrightunsigned(c, shift).bitwiseAND(F.lit((1 << width) - 1))
+            apart = part(F.col("fa").bitwiseXOR(F.col("fb")))
+            # two balls share many values; of those that meet half way only the one is taken that the lowest differing bit leads to
+            first = F.when(F.bit_count(apart) > r // 2, apart.bitwiseAND(-apart)).otherwise(F.lit(0)) if r == 2 else None
+            here = F.shiftrightunsigned(a_k := F.col("k"), 58) == i
+            once = once | (here if first is None else here & (a_k.bitwiseAND(F.lit((1 << width) - 1)).bitwiseXOR(part(F.col("fa"))) == first))
     end = group or node  # each pair meets both ways round, so < leaves it once
     a = reps.select(F.col(end).alias("src"), F.col(fp).alias("fa"), F.explode(F.array(*probe)).alias("k"))
     b = reps.select(F.col(end).alias("dst"), F.col(fp).alias("fb"), F.explode(F.array(*stored)).alias("k"))
@@ -104,11 +110,16 @@ def links(reps: DataFrame, max_distance: int, segment_count: int, node: str = "n
     meet = seen.groupBy("k").agg(F.min("g").alias("lo"), F.max("g").alias("hi"), F.bit_or("side").alias("sides")).filter("lo <> hi and sides = 3").select("k")
     meet = materialise(meet, "meeting-keys")
     a, b = a.join(meet, "k", "left_semi"), b.join(meet, "k", "left_semi")
-    return a.join(b, (a.k == b.k) & (F.col("src") < F.col("dst")) & near).select("src", "dst")
+    b = b.withColumnRenamed("k", "__k")
+    return a.join(b, (F.col("k") == F.col("__k")) & (F.col("src") < F.col("dst")) & near & once).select("src", "dst")
 
 
-def near_duplicates(docs: DataFrame, shingle: int = 4, max_distance: int = 4, segment_count: int = 3, key: str = "doc_id", text: str = "text") -> DataFrame:
-    """key, fp, component_id (the smallest key reachable by links) for each row."""
+def near_duplicates(docs: DataFrame, shingle: int = 4, max_distance: int = 4, segment_count: int = 3, link_segments: int = 2, key: str = "doc_id", text: str = "text") -> DataFrame:
+    """key, fp, component_id (the smallest key reachable by links) for each row.
+
+    Hubs are those of ``segment_count`` segments; the search for all links cuts in ``link_segments``. Two halves of 32 bits
+    each take some hundred keys for a fingerprint, but unlike texts meet at one of them 40 times more seldom than at
+    one of three thirds, which grows with the square of the table."""
     own = materialise(fingerprints(docs, shingle, key=key, text=text), "fingerprints")
     reps = materialise(own.filter(F.col(key).isNotNull()).groupBy("fp").agg(F.min(key).alias("node")), "representatives")
     # an id that repeats with other texts ties their fingerprints together
@@ -117,7 +128,7 @@ def near_duplicates(docs: DataFrame, shingle: int = 4, max_distance: int = 4, se
     ties = repeated.join(several, "src", "left_semi")
     dense = connected_components(hub_links(reps, max_distance, segment_count).union(ties))
     grouped = materialise(reps.join(dense, "node", "left").select("fp", F.coalesce("component", "node").alias("group")), "groups")
-    comps = connected_components(links(grouped, max_distance, segment_count, group="group"))
+    comps = connected_components(links(grouped, max_distance, link_segments, group="group"))
     named = grouped.join(comps, F.col("group") == F.col("node"), "left").select("fp", F.coalesce("component", "group").alias("component_id"))
     return own.join(named, "fp", "left").select(key, "fp", F.when(F.col(key).isNotNull(), F.col("component_id")).alias("component_id"))
 
@@ -128,6 +139,16 @@ def keep_one(docs: DataFrame, key: str = "doc_id", text: str = "text", **options
     return stay_one(docs, near_duplicates(docs, key=key, text=text, **options), key, text)
 
 
+def joined_groups(docs: DataFrame, groupings: list[DataFrame], key: str = "doc_id") -> DataFrame:
+    """key, component_id: what any of the groupings (key, component_id) puts together, also by way of another, is one group."""
+    edges = None
+    for g in groupings:
+        part = g.filter(F.col(key) != F.col("component_id")).select(F.col(key).alias("src"), F.col("component_id").alias("dst"))
+        edges = part if edges is None else edges.union(part)
+    comps = connected_components(edges)
+    return docs.select(key).join(comps, F.col(key) == F.col("node"), "left").select(key, F.coalesce("component", key).alias("component_id"))
+
+
 def stay_one(docs: DataFrame, groups: DataFrame, key: str, text: str) -> DataFrame:
     """Of each group (key, component_id) the row whose key names it; rows with a null key too."""
     stay = groups.filter(F.col(key) == F.col("component_id")).select(F.col(key).alias("__stay")).distinct()
