@@ -4,21 +4,106 @@ from __future__ import annotations
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.kernels import SPHERE, Kernel
 from ..sources.clouds import all_centres
 from ..session import materialise
-from .relational import radius_gridjoin, summarise
+from .local import spread
+from .relational import radius_gridjoin
 
 
 def density(cloud: DataFrame, grid, kernel: Kernel, r: float) -> DataFrame:
     """(cid, n, density): neighbours for each unit of volume (area for flat kernels)."""
     volume = {"sphere": 4 / 3 * np.pi * r**3, "circle": np.pi * r * r, "cube": 8 * r**3, "square": 4 * r * r}[kernel.name]
-    centres = all_centres(cloud)
-    counts = summarise(radius_gridjoin(cloud, centres, kernel, r, grid), centres)
-    return counts.select("cid", "n", (F.col("n") / F.lit(float(volume))).alias("density"))
+    return count_neighbours(cloud, grid, kernel, r).select("cid", "n", (F.col("n") / F.lit(float(volume))).alias("density"))
+
+
+def count_neighbours(cloud: DataFrame, grid, kernel: Kernel, r: float) -> DataFrame:
+    """(cid, n) of every point: exact counts, no pair is made a row.
+
+    Points go to blocks of four radii and, within a radius of its border, to the neighbouring block too."""
+    axes, side = "xyz"[: kernel.dims], 4.0 * r
+    reach = F.lit(r * (1 + 1e-9) + max(grid.ext) * 1e-12)
+    sound = F.lit(True)
+    for a in "xyz":
+        sound = sound & F.col(a).isNotNull() & ~F.isnan(a) & (F.abs(a) != float("inf"))
+    placed, home = cloud.filter(sound).select("pid", "x", "y", "z"), F.lit(True)
+    for a in "xyz":
+        if a in axes:
+            at = lambda v, a=a: F.floor((v - F.lit(grid.lo["xyz".index(a)])) / F.lit(side))
+            placed = placed.withColumn(f"b{a}", F.explode(F.sequence(at(F.col(a) - reach), at(F.col(a) + reach))))
+            home = home & (F.col(f"b{a}") == at(F.col(a)))
+        else:
+            placed = placed.withColumn(f"b{a}", F.lit(0).cast("long"))
+    placed = placed.withColumn("home", home)
+
+    def count(block: pa.Table) -> pa.Table:
+        xyz = np.stack([block.column(a).to_numpy() for a in "xyz"], axis=1)
+        home = block.column("home").to_numpy(zero_copy_only=False)
+        return pa.table([pa.array(block.column("pid").to_numpy()[home]), pa.array(np_count(xyz, home, kernel, r))], names=["cid", "n"])
+
+    found = placed.groupBy("bx", "by", "bz").applyInArrow(count, "cid long, n long")
+    return found.unionByName(cloud.filter(~sound).select(F.col("pid").alias("cid"), F.lit(0).cast("long").alias("n")))
+
+
+def np_count(xyz: np.ndarray, asked: np.ndarray, kernel: Kernel, r: float) -> np.ndarray:
+    """How many rows lie within the kernel around each asked one. Coincident rows are one with a weight; the others are
+    tested by cells of a quarter of the radius, in runs along the last axis."""
+    if not asked.any():
+        return np.zeros(0, np.int64)
+    side, span = r / 4, 5
+    cell = np.floor((xyz - xyz.min(axis=0)) / side).astype(np.int64)
+    cell[:, kernel.dims :] = 0
+    order = np.lexsort((*xyz.T[::-1], *cell.T[::-1]))
+    points, cell = xyz[order], cell[order]
+    new = np.concatenate(([True], (points[1:] != points[:-1]).any(axis=1)))
+    which = np.cumsum(new) - 1
+    first = np.flatnonzero(new)
+    points, cell, weight = points[first], cell[first], np.diff(np.append(first, len(new)))
+    wanted = np.bincount(which[asked[order]], minlength=len(points)) > 0
+    # one number for a cell, such that a run along the last axis is a run of numbers
+    size = cell.max(axis=0) + 2 * span + 1
+    number = ((cell[:, 0] + span) * size[1] + cell[:, 1] + span) * size[2] + cell[:, 2] + span
+    o = np.arange(-span, span + 1)
+    ox, oy = (x.ravel() for x in np.meshgrid(o, o if kernel.dims > 1 else [0], indexing="ij"))
+    gap = lambda x: np.maximum(np.abs(x) - 1, 0) * side
+    near = lambda x, y, z: kernel.np_hits(np.stack(np.broadcast_arrays(gap(x), gap(y), gap(z)), -1).reshape(-1, 3).astype(float), np.zeros((1, 3)), np.array([r * (1 + 1e-9)]))
+    far = np.stack([near(ox, oy, z) for z in range(span + 1)]).sum(axis=0) - 1  # how far the run goes to each side
+    if kernel.dims < 3:
+        far = np.minimum(far, 0)
+    ox, oy, far = ox[far >= 0], oy[far >= 0], far[far >= 0]
+    column = (ox * size[1] + oy) * size[2]
+    counts, columns = np.zeros(len(points), np.int64), [np.ascontiguousarray(x) for x in points.T[: kernel.dims]]
+    starts = np.flatnonzero(np.concatenate(([True], number[1:] != number[:-1])))
+    for lo, hi in zip(starts.tolist(), np.append(starts[1:], len(number)).tolist(), strict=True):
+        some = lo + np.flatnonzero(wanted[lo:hi])
+        if not len(some):
+            continue
+        begin, end = np.searchsorted(number, number[lo] + column - far), np.searchsorted(number, number[lo] + column + far, side="right")
+        rows = spread(begin, end - begin)
+        there, heavy = [x[rows] for x in columns], weight[rows].astype(np.float64)
+        at_once, alone = max(1, (1 << 17) // max(1, len(rows))), not (weight[rows] > 1).any()
+        for i in range(0, len(some), at_once):
+            own = some[i : i + at_once]
+            hit = _within(there, [x[own, None] for x in columns], kernel, r)
+            counts[own] = np.count_nonzero(hit, axis=1) if alone else (hit.astype(np.float64) @ heavy).astype(np.int64)
+    out = np.zeros(len(order), np.int64)
+    out[order] = counts[which]
+    return out[asked]
+
+
+def _within(p: list[np.ndarray], q: list[np.ndarray], kernel: Kernel, r: float) -> np.ndarray:
+    """``Kernel.np_hits`` of all rows against all, axis by axis."""
+    gaps = [a - b for a, b in zip(p, q, strict=True)]
+    if not kernel.round:
+        return np.logical_and.reduce([np.abs(g) < r for g in gaps])
+    total = gaps[0] * gaps[0]
+    for g in gaps[1:]:
+        total += g * g
+    return total < r * r
 
 
 def isolated_points(cloud: DataFrame, grid, r: float) -> DataFrame:

@@ -83,3 +83,23 @@ def read_files(spark, query, sf_dir) -> set[str]:
         patch.setattr(type(spark.read), "parquet", spy)
         query(spark, sf_dir).collect()
     return seen
+
+
+def test_counts_make_no_pairs(spark, sf_dir, monkeypatch):
+    """Every kernel against brute force, with coincident points and one without a place; no join lists pairs."""
+    import numpy as np
+
+    from curvetree.functions.kernels import KERNELS
+    from curvetree.operators import features
+
+    rng = np.random.default_rng(5)
+    xyz = rng.integers(0, 60, (400, 3)) * [10.0, 5.0, 2.5]
+    rows = [(i, *p) for i, p in enumerate(xyz.tolist())] + [(400 + i, *xyz[i % 7].tolist()) for i in range(60)] + [(900, float("nan"), 0.0, 0.0)]
+    cloud = spark.createDataFrame(rows, "pid long, x double, y double, z double")
+    monkeypatch.setattr(features, "radius_gridjoin", None)
+    at = {r[0]: r[1:] for r in rows}
+    for name, kernel in KERNELS.items():
+        got = {r["cid"]: r["n"] for r in features.density(cloud, fit_grid(cloud.filter("pid < 900")), kernel, 50.0).collect()}
+        p = np.array([v for k, v in at.items() if k < 900])
+        want = {k: int(kernel.np_hits(p, np.array([at[k]]), np.full(len(p), 50.0)).sum()) if k < 900 else 0 for k in at}
+        assert got == want, name
