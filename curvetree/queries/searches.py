@@ -30,6 +30,8 @@ def index_of(spark: SparkSession, d: str, name: str = CLOUD, curve: str = "hilbe
     key = (spark.sparkContext.applicationId, d, name, curve, bucket, tile_points, box)
     if key not in _INDEXES:
         cloud = clouds.load(spark, d, name)
+        # tiles grow with the cloud, to a size that a task searches as a whole: each costs a task the same few milliseconds
+        tile_points = max(tile_points, min(cloud.count() // 64, 50_000))
         _INDEXES[key] = build_index(cloud, curve, bucket, tile_points, fit_grid(cloud, box=box))
     return _INDEXES[key]
 
@@ -129,8 +131,8 @@ def neighbour_options(spark: SparkSession, d: str) -> DataFrame:
 
 
 def knn(structure: str, method: str, spark: SparkSession, d: str) -> DataFrame:
-    index, q = indexed(spark, d, box="cubic")
-    return tiles.knn_tiles(index, q, K, structure, cell=40.0, method=method).select("cid", "rank", "pid")
+    index, _ = indexed(spark, d, box="cubic")
+    return tiles.knn_tiles(index, clouds.id_centres(index.points), K, structure, cell=40.0, method=method).select("cid", "rank", "pid")
 
 
 def knn_full(spark: SparkSession, d: str) -> DataFrame:
@@ -170,11 +172,12 @@ def mu(spark: SparkSession, d: str) -> DataFrame:
 def _lists(spark: SparkSession, d: str, name: str = "part", share: float = 1.0, k: int = 50, curves: tuple[str, ...] = ("none", "morton", "hilbert")) -> DataFrame:
     p = clouds.load(spark, d, name)
     index = index_of(spark, d, name, bucket=32, box="cubic")
-    return locality.neighbour_ranks(index, p, clouds.share_of_centres(p, share), k, fit_grid(p), curves)
+    return locality.neighbour_ranks(index, p, clouds.share_of_centres(index.points, share), k, fit_grid(p), curves)
 
 
-def _gaps(spark: SparkSession, d: str, *args, **options) -> DataFrame:
-    return locality.list_gaps(_lists(spark, d, *args, **options))
+def _gaps(spark: SparkSession, d: str, name: str = "part", share: float = 1.0, k: int = 50, curves: tuple[str, ...] = ("none", "morton", "hilbert")) -> DataFrame:
+    p, index = clouds.load(spark, d, name), index_of(spark, d, name, bucket=32, box="cubic")
+    return locality.neighbour_gaps(index, p, clouds.share_of_centres(index.points, share), k, fit_grid(p), curves)
 
 
 def histogram(curve: str, spark: SparkSession, d: str) -> DataFrame:
@@ -187,7 +190,7 @@ def histogram_without_self(spark: SparkSession, d: str) -> DataFrame:
 
 def multiplicity(spark: SparkSession, d: str) -> DataFrame:
     """How many centres have one, and how many two, neighbours at a gap."""
-    return locality.gap_multiplicity(_gaps(spark, d, curves=("hilbert",))).groupBy("d", "n").agg(F.count("*").alias("centres"))
+    return _gaps(spark, d, curves=("hilbert",)).select("d", "n", F.col("h").alias("centres"))
 
 
 def quartiles(spark: SparkSession, d: str) -> DataFrame:
@@ -225,7 +228,7 @@ def blocks(spark: SparkSession, d: str) -> DataFrame:
 
 
 def lru(spark: SparkSession, d: str) -> DataFrame:
-    return locality.lru_misses(_gaps(spark, d), 64)
+    return locality.lru_misses(locality.list_gaps(_lists(spark, d)), 64)
 
 
 def density(spark: SparkSession, d: str) -> DataFrame:

@@ -103,3 +103,55 @@ def test_counts_make_no_pairs(spark, sf_dir, monkeypatch):
         p = np.array([v for k, v in at.items() if k < 900])
         want = {k: int(kernel.np_hits(p, np.array([at[k]]), np.full(len(p), 50.0)).sum()) if k < 900 else 0 for k in at}
         assert got == want, name
+
+
+@pytest.mark.parametrize("structure", ["prune", "pointer", "kd_sliding", "resolution"])
+def test_best_first_moves_all_queues_at_once(structure, monkeypatch):
+    """The same as two phases and as one centre's queue, with ties, coincident points and bounds; no centre is searched alone."""
+    import numpy as np
+
+    from curvetree.functions.curves import np_encode
+    from curvetree.functions.grid import GridSpec
+    from curvetree.operators.local import Walk, build_local
+
+    rng = np.random.default_rng(3)
+    xyz = np.concatenate((rng.integers(0, 12, (700, 3)) * 5.0, np.full((90, 3), 30.0)))
+    pid, grid = rng.permutation(len(xyz)), GridSpec((0.0, 0.0, 0.0), (55.0, 55.0, 55.0))
+    code = np_encode(grid.np_cells(xyz), "hilbert", 21)
+    order = np.lexsort((pid, code))
+    xyz, pid, code = xyz[order], pid[order], code[order]
+    tree = build_local(structure, xyz, code, grid, "hilbert", 16, (0, 0), (np.zeros(3), np.full(3, 55.0)), 9.0)
+    bound = np.where(pid % 3, np.inf, 100.0)
+    one = [(i, d, item) for i in range(len(pid)) for d, _, item in tree.knn(xyz[i], 20, pid, pid[i], bound[i])]
+    monkeypatch.setattr(Walk, "knn", None)
+    for search in (tree.knn_bestfirst, tree.knn_batch):
+        who, d2, item = search(xyz, 20, pid, pid, bound.copy())
+        by_centre = np.argsort(who, kind="stable")
+        assert [*zip(who[by_centre].tolist(), d2[by_centre].tolist(), item[by_centre].tolist(), strict=True)] == one
+    lists = {}
+    for i, d, _ in one:
+        lists.setdefault(i, []).append(d)
+    assert tree.kth_batch(xyz, 20, bound).tolist() == [max(lists[i]) if len(lists[i]) == 20 else bound[i] for i in range(len(pid))]
+
+
+def test_gaps_are_counted_without_stored_lists(spark, long_cloud, monkeypatch):
+    """The same histograms as from pairs, over tiles that centres share; no list of neighbours is written."""
+    from curvetree.operators import locality
+
+    stored, kept = [], tiles.materialise
+
+    def spy(df, name, **options):
+        stored.append(name)
+        assert not any(t.startswith("array") for _, t in df.dtypes)
+        return kept(df, name, **options)
+
+    index, grid, q = build_index(long_cloud, "hilbert", 16, 300, fit_grid(long_cloud, box="cubic")), fit_grid(long_cloud), clouds.all_centres(long_cloud)
+    pairs = locality.list_gaps(locality.neighbour_ranks(index, long_cloud, q, 9, grid)).localCheckpoint()
+    for module in (tiles, locality):
+        monkeypatch.setattr(module, "materialise", spy)
+    counted = locality.neighbour_gaps(index, long_cloud, q, 9, grid).localCheckpoint()
+    assert stored
+    costs.assert_same_set(locality.histogram(counted), locality.histogram(pairs))
+    costs.assert_same_set(locality.histogram(counted, False), locality.histogram(pairs, False))
+    want = locality.gap_multiplicity(pairs).groupBy("curve", "d", "n").agg(F.count("*").alias("h"))
+    costs.assert_same_set(counted, want)
