@@ -24,6 +24,7 @@ from ..operators.local import COUNTERS, LINEAR, STRUCTURES, LinearOctree, Pointe
 from ..operators.octree import build_tree, octants
 from ..operators.relational import radius_gridjoin
 from ..operators.reorder import Index, build_index, jump_profile, reorder
+from ..operators.sizes import bytes_held, count_nodes
 from ..operators.tiles import knn_tiles, radius_tiles
 from ..sources import clouds
 
@@ -45,6 +46,8 @@ class Bench:
         self.index = cache(self._index)
         self.cube = cache(self._cube)
         self.xyz = cache(self._xyz)
+        self.nodes = cache(lambda name, structure: count_nodes(clouds.load(spark, sf_dir, name), fit_grid(self.cloud(name)), structure))
+        self.points = cache(lambda name: clouds.load(spark, sf_dir, name).count())
 
     def _index(self, name: str, curve: str = "hilbert", bucket: int = 128) -> Index:
         return build_index(self.cloud(name), curve, bucket, self.tile_points)
@@ -201,14 +204,14 @@ MADE = {"linear octree": "ranges", "pointer octree": "pointer", "non-complete oc
 
 
 def w13(b: Bench, names: Iterable[str] = ("order", "event", "part")) -> list[Row]:
-    """Bytes of the arrays that each structure really holds, and their share of the cloud's."""
+    """Bytes of the arrays that each structure holds, and their share of the cloud's. Nodes are counted by tasks."""
     out = []
     for name, (label, structure) in product(names, MADE.items()):
-        tree, xyz = local_structure(b, name, structure, "hilbert")
-        held = {label: tree.node_bytes()}
+        nodes, points = b.nodes(name, structure), b.points(name)
+        held = {label: bytes_held(structure, nodes, points)}
         if structure == "ranges":
-            held["linear octree without boxes"] = tree.node_bytes(centres=False)
-        out += [{"cloud": name, "structure": k, "nodes": len(tree.lo), "points": len(xyz), "bytes": v, "overhead": v / (len(xyz) * costs.POINT_BYTES)} for k, v in held.items()]
+            held["linear octree without boxes"] = bytes_held(structure, nodes, points, boxes=False)
+        out += [{"cloud": name, "structure": k, "nodes": nodes, "points": points, "bytes": v, "overhead": v / (points * costs.POINT_BYTES)} for k, v in held.items()]
     return out
 
 
@@ -217,9 +220,9 @@ def w14(b: Bench, names: Iterable[str] = ("order", "event", "part")) -> list[Row
     out = []
     for name in names:
         for label in costs.LAYOUT_BYTES:
-            tree, xyz = local_structure(b, name, MADE[label], "hilbert")
-            rho = len(tree.lo) / len(xyz)
-            row = {"cloud": name, "structure": label, "rho": rho, "measured": tree.node_bytes() / (len(xyz) * costs.POINT_BYTES), "model": costs.expected_overhead(*costs.LAYOUT_BYTES[label], rho)}
+            nodes, points = b.nodes(name, MADE[label]), b.points(name)
+            rho = nodes / points
+            row = {"cloud": name, "structure": label, "rho": rho, "measured": bytes_held(MADE[label], nodes, points) / (points * costs.POINT_BYTES), "model": costs.expected_overhead(*costs.LAYOUT_BYTES[label], rho)}
             out.append(row | {"published_model": costs.expected_overhead(*costs.STRUCTURE_BYTES[label], rho)})
     return out
 

@@ -155,3 +155,25 @@ def test_gaps_are_counted_without_stored_lists(spark, long_cloud, monkeypatch):
     costs.assert_same_set(locality.histogram(counted, False), locality.histogram(pairs, False))
     want = locality.gap_multiplicity(pairs).groupBy("curve", "d", "n").agg(F.count("*").alias("h"))
     costs.assert_same_set(counted, want)
+
+
+def test_nodes_are_counted_without_the_cloud_on_the_driver(spark, monkeypatch):
+    """As many nodes and bytes as the structures themselves have, with coincident points and medians among equals."""
+    import numpy as np
+
+    from curvetree.operators.sizes import bytes_held, count_nodes
+    from curvetree.workloads import experiments
+
+    rng = np.random.default_rng(11)
+    xyz = np.concatenate((rng.integers(0, 40, (1500, 3)) * [9.0, 5.0, 2.3], np.full((300, 3), 41.4)))
+    cloud = spark.createDataFrame([(i, *p) for i, p in enumerate(xyz.tolist())], "pid long, x double, y double, z double").localCheckpoint()
+    b = experiments.Bench(spark, "made")
+    monkeypatch.setattr(clouds, "load", lambda *_: cloud)
+    monkeypatch.setattr(experiments.clouds, "load", lambda *_: cloud)
+    want = {label: experiments.local_structure(b, "made", structure, "hilbert")[0] for label, structure in experiments.MADE.items()}
+    monkeypatch.setattr(experiments, "local_structure", None)
+    for label, structure in experiments.MADE.items():
+        assert count_nodes(cloud, fit_grid(cloud), structure, branch=500) == len(want[label].lo), label
+        assert bytes_held(structure, len(want[label].lo), len(xyz)) == want[label].node_bytes()
+    rows = experiments.w13(experiments.Bench(spark, "made"), ("made",))
+    assert {r["structure"]: (r["nodes"], r["bytes"]) for r in rows if "without" not in r["structure"]} == {k: (len(t.lo), t.node_bytes()) for k, t in want.items()}
