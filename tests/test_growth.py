@@ -177,3 +177,29 @@ def test_nodes_are_counted_without_the_cloud_on_the_driver(spark, monkeypatch):
         assert bytes_held(structure, len(want[label].lo), len(xyz)) == want[label].node_bytes()
     rows = experiments.w13(experiments.Bench(spark, "made"), ("made",))
     assert {r["structure"]: (r["nodes"], r["bytes"]) for r in rows if "without" not in r["structure"]} == {k: (len(t.lo), t.node_bytes()) for k, t in want.items()}
+
+
+def test_centres_of_one_tile_are_searched_once(spark, long_cloud, monkeypatch):
+    """A centre whose neighbours all lie in its tile is not routed again; what was stored on the way is deleted."""
+    import os
+
+    from curvetree.operators import locality, reorder
+    from curvetree.plans import ranks
+
+    routed, stored, kept = [], [], tiles.materialise
+
+    def spy(df, name, **options):
+        out = kept(df, name, **options)
+        stored.append((name, out._scratch.removeprefix("file://")))
+        if name == "routed":
+            routed.append(out.select("cid").distinct().count())
+        return out
+
+    for module in (tiles, locality, reorder, ranks):
+        monkeypatch.setattr(module, "materialise", spy)
+    index, q = build_index(long_cloud, "hilbert", 16, 300, fit_grid(long_cloud, box="cubic")), clouds.all_centres(long_cloud)
+    counted = locality.neighbour_gaps(index, long_cloud, q, 9, fit_grid(long_cloud))
+    assert counted.groupBy("curve").agg(F.sum(F.col("n") * F.col("h")).alias("all")).filter("all = 4000 * 9").count() == 3
+    assert 0 < routed[-1] < 1000
+    left = {name for name, path in stored if os.path.exists(path)}
+    assert "gaps" in left and "points" in left and not left & {"ranked", "ranked-points"}
