@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.curves import encode
-from ..functions.grid import fit_grid
+from ..functions.grid import GridSpec, as_cubic, fit_grid
 from ..functions.kernels import KERNELS, SPHERE
 from ..operators import costs, features, locality, relational, tiles
 from ..operators.octree import build_tree, with_boxes
@@ -22,6 +22,7 @@ from . import sqltext as s
 # few points to a leaf and a large radius, so that octants are contained and the shortcut is exercised
 CLOUD, RADIUS, BUCKET, TILE_POINTS, K, FULL_RADIUS = "event", 200.0, 16, 2000, 20, 50.0
 _INDEXES: dict[tuple, Index] = {}
+_GRIDS: dict[tuple, GridSpec] = {}
 
 
 def index_of(spark: SparkSession, d: str, name: str = CLOUD, curve: str = "hilbert", bucket: int = BUCKET, tile_points: int = TILE_POINTS, box: str = "axis") -> Index:
@@ -29,13 +30,22 @@ def index_of(spark: SparkSession, d: str, name: str = CLOUD, curve: str = "hilbe
     grid: octants as long as they are wide give tight bounds, whatever the extents of the axes."""
     key = (spark.sparkContext.applicationId, d, name, curve, bucket, tile_points, box)
     if key not in _INDEXES:
-        cloud = clouds.load(spark, d, name)
+        cloud, grid = clouds.load(spark, d, name), grid_of(spark, d, name)
+        total = cloud.count()
         # tiles grow with the cloud, to a size that a task searches as a whole: each costs a task the same few milliseconds
-        tile_points = max(tile_points, min(cloud.count() // 64, 50_000))
-        _INDEXES[key] = build_index(cloud, curve, bucket, tile_points, fit_grid(cloud, box=box))
+        tile_points = max(tile_points, min(total // 64, 50_000))
+        _INDEXES[key] = build_index(cloud, curve, bucket, tile_points, as_cubic(grid) if box == "cubic" else grid, total)
     return _INDEXES[key]
 
 
+def grid_of(spark: SparkSession, d: str, name: str = CLOUD) -> GridSpec:
+    """The grid of a cloud's bounding box, fitted once a session like its indexes."""
+    key = (spark.sparkContext.applicationId, d, name)
+    if key not in _GRIDS:
+        _GRIDS[key] = fit_grid(clouds.load(spark, d, name))
+    return _GRIDS[key]
+
+
 def indexed(spark: SparkSession, d: str, curve: str = "hilbert", name: str = CLOUD, box: str = "axis") -> tuple[Index, DataFrame]:
     return index_of(spark, d, name, curve, box=box), clouds.id_centres(clouds.load(spark, d, name))
 
@@ -176,8 +186,8 @@ def _lists(spark: SparkSession, d: str, name: str = "part", share: float = 1.0,
 
 
 def _gaps(spark: SparkSession, d: str, name: str = "part", share: float = 1.0, k: int = 50, curves: tuple[str, ...] = ("none", "morton", "hilbert")) -> DataFrame:
-    p, index = clouds.load(spark, d, name), index_of(spark, d, name, bucket=32, box="cubic")
-    return locality.neighbour_gaps(index, p, clouds.share_of_centres(index.points, share), k, fit_grid(p), curves)
+    index = index_of(spark, d, name, bucket=32, box="cubic")
+    return locality.neighbour_gaps(index, clouds.load(spark, d, name), clouds.share_of_centres(index.points, share), k, grid_of(spark, d, name), curves)
 
 
 def histogram(curve: str, spark: SparkSession, d: str) -> DataFrame:

@@ -203,3 +203,54 @@ def test_centres_of_one_tile_are_searched_once(spark, long_cloud, monkeypatch):
     assert 0 < routed[-1] < 1000
     left = {name for name, path in stored if os.path.exists(path)}
     assert "gaps" in left and "points" in left and not left & {"ranked", "ranked-points"}
+
+
+@pytest.mark.parametrize("structure", ["prune", "pointer", "kd_ten"])
+def test_blocks_of_centres_share_their_rows(monkeypatch, structure):
+    """Nearest neighbours of close centres by full matrices, of scattered ones singly: both as brute force has them, ties too."""
+    import numpy as np
+
+    from curvetree.functions.curves import np_encode
+    from curvetree.functions.grid import GridSpec
+    from curvetree.operators import local
+
+    rng = np.random.default_rng(2)
+    for xyz in (rng.integers(0, 12, (3000, 3)) * [7.0, 1.0, 3.0] + 1e6, np.concatenate((rng.random((2500, 3)), np.full((500, 3), 0.3)))):
+        low = xyz.min(axis=0)
+        grid, pid = GridSpec(tuple(low), (float((xyz - low).max()),) * 3, box="cubic"), rng.permutation(3000)
+        code = np_encode(grid.np_cells(xyz), "hilbert", grid.levels)
+        order = np.lexsort((pid, code))
+        xyz, pid, code = xyz[order], pid[order], code[order]
+        tree = local.build_local(structure, xyz, code, grid, "hilbert", 32, (0, 0), (low, low + grid.ext[0]))
+        tested, single = [], local.np_d2
+        monkeypatch.setattr(local, "np_d2", lambda p, c, *a: tested.append(len(p)) or single(p, c, *a))  # noqa: B023
+        for who, reach, most in ((np.arange(3000), np.inf, 4096), (np.arange(3000), grid.ext[0] ** 2 / 50, 4096), (rng.permutation(3000)[:300], np.inf, 100)):
+            monkeypatch.setattr(local, "BLOCK_ROWS", most)
+            tested.clear()
+            c, d, item = tree.knn_batch(xyz[who], 20, pid, pid[who], np.full(len(who), reach))
+            assert bool(tested) == (most == 100)  # no pair of a centre and a row is gathered where blocks serve
+            got = {(a, b) for a, b in zip(c.tolist(), item.tolist(), strict=True)}
+            for i, w in enumerate(who.tolist()):
+                far = single(xyz, xyz[[w]])
+                near = np.lexsort((pid, np.arange(3000) != w, far))[:20]
+                near = near[far[near] <= reach]
+                assert {(i, p) for p in pid[near].tolist()} <= got
+                got -= {(i, p) for p in pid[near].tolist()}
+            assert not got
+        monkeypatch.setattr(local, "np_d2", single)
+
+
+def test_ranks_of_gaps_need_no_join_and_grids_one_fit(spark, sf_dir, monkeypatch):
+    from curvetree.operators import locality
+
+    fitted, fit, joined, join = [], searches.fit_grid, [], type(spark.range(1)).join
+    monkeypatch.setattr(searches, "fit_grid", lambda *a, **o: fitted.append(a) or fit(*a, **o))
+    monkeypatch.setattr(searches, "_GRIDS", {})
+    monkeypatch.setattr(searches, "_INDEXES", {})
+    index = searches.index_of(spark, sf_dir, "part", bucket=32, box="cubic")
+    searches.QUERIES["locality_hist_none"](spark, sf_dir).count()
+    searches.QUERIES["locality_invariants"](spark, sf_dir).count()
+    assert len(fitted) == 1
+    monkeypatch.setattr(type(index.points), "join", lambda a, b, on=None, *more: joined.append(on) or join(a, b, on, *more))
+    locality.neighbour_gaps(index, index.points, clouds.all_centres(index.points), 5, searches.grid_of(spark, sf_dir, "part"))
+    assert "pid" not in joined
